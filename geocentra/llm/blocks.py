@@ -168,10 +168,16 @@ def covered(starts: np.ndarray, ends: np.ndarray, n: int) -> np.ndarray:
     return np.cumsum(steps[:n]) > 0
 
 
-def runs(mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Starts and ends of the maximal runs of True."""
-    edge = np.flatnonzero(np.diff(np.concatenate(([False], mask, [False])).astype(np.int8)))
-    return edge[0::2], edge[1::2]
+def runs_by_text(mask: np.ndarray, by_text: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Starts, ends and texts of the maximal runs of True; a run ends where its text ends."""
+    if not len(mask):
+        z = np.zeros(0, np.int64)
+        return z, z, z
+    new_text = np.zeros(len(mask) + 1, bool)
+    new_text[by_text] = True
+    first = np.flatnonzero(mask & (np.concatenate(([True], ~mask[:-1])) | new_text[:-1]))
+    last = np.flatnonzero(mask & (np.concatenate((~mask[1:], [True])) | new_text[1:])) + 1
+    return first, last, np.searchsorted(by_text, first, side="right") - 1
 
 
 def joined(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray, counts: np.ndarray) -> pa.Array:

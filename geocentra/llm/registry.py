@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
-from geocentra.llm import substring_dedup
+from geocentra.llm import decontaminate, substring_dedup
 
 
 def queries() -> dict:
-    return {"op1_substring_dedup": substring_dedup.op1_substring_dedup}
+    return {
+        "op1_substring_dedup": substring_dedup.op1_substring_dedup,
+        "op2_decontaminate": decontaminate.op2_decontaminate,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_substring_dedup": substring_dedup.ORACLE}
+    return {
+        "op1_substring_dedup": substring_dedup.ORACLE,
+        "op2_decontaminate": decontaminate.ORACLE,
+    }

@@ -155,12 +155,7 @@ def _remove(width: int):
             total = np.diff(by_doc)
             before = np.concatenate(([0], np.cumsum(gone)))
             removed = before[by_doc[1:]] - before[by_doc[:-1]]
-            # Runs end with their text.
-            mark = np.concatenate((gone, [False]))
-            owner = np.repeat(np.arange(n), total)
-            a = np.flatnonzero(gone & (np.concatenate(([True], ~gone[:-1] | (owner[1:] != owner[:-1]))) if len(gone) else gone))
-            z = np.flatnonzero(gone & (~mark[1:] | (np.concatenate((owner[1:] != owner[:-1], [True])) if len(gone) else gone))) + 1
-            own = owner[a]
+            a, z, own = B.runs_by_text(gone, by_doc)
             out.append(
                 pa.table(
                     {
