@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from geocentra.llm import decontaminate, substring_dedup
+from geocentra.llm import decontaminate, minhash, substring_dedup
 
 
 def queries() -> dict:
     return {
         "op1_substring_dedup": substring_dedup.op1_substring_dedup,
         "op2_decontaminate": decontaminate.op2_decontaminate,
+        "op7_near_duplicates": minhash.op7_near_duplicates,
     }
 
 
@@ -16,4 +17,5 @@ def oracle_sql() -> dict[str, str]:
     return {
         "op1_substring_dedup": substring_dedup.ORACLE,
         "op2_decontaminate": decontaminate.ORACLE,
+        "op7_near_duplicates": minhash.ORACLE,
     }
