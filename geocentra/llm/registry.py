@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from geocentra.llm import decontaminate, minhash, substring_dedup
+from geocentra.llm import decontaminate, minhash, substring_dedup, topk
 
 
 def queries() -> dict:
@@ -10,6 +10,7 @@ def queries() -> dict:
         "op1_substring_dedup": substring_dedup.op1_substring_dedup,
         "op2_decontaminate": decontaminate.op2_decontaminate,
         "op7_near_duplicates": minhash.op7_near_duplicates,
+        "op10_top_k": topk.op10_top_k,
     }
 
 
@@ -18,4 +19,5 @@ def oracle_sql() -> dict[str, str]:
         "op1_substring_dedup": substring_dedup.ORACLE,
         "op2_decontaminate": decontaminate.ORACLE,
         "op7_near_duplicates": minhash.ORACLE,
+        "op10_top_k": topk.ORACLE,
     }
