@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from geocentra.llm import decontaminate, minhash, substring_dedup, topk
+from geocentra.llm import chat, decontaminate, minhash, substring_dedup, topk, url_rules
 
 
 def queries() -> dict:
@@ -10,6 +10,8 @@ def queries() -> dict:
         "op1_substring_dedup": substring_dedup.op1_substring_dedup,
         "op2_decontaminate": decontaminate.op2_decontaminate,
         "op7_near_duplicates": minhash.op7_near_duplicates,
+        "op8_chat_format": chat.op8_chat_format,
+        "op9_url_rules": url_rules.op9_url_rules,
         "op10_top_k": topk.op10_top_k,
     }
 
@@ -19,5 +21,6 @@ def oracle_sql() -> dict[str, str]:
         "op1_substring_dedup": substring_dedup.ORACLE,
         "op2_decontaminate": decontaminate.ORACLE,
         "op7_near_duplicates": minhash.ORACLE,
+        "op8_chat_format": chat.ORACLE,
         "op10_top_k": topk.ORACLE,
     }
