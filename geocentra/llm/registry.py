@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from geocentra.llm import chat, decontaminate, minhash, substring_dedup, topk, url_rules
+from geocentra.llm import chat, decontaminate, minhash, packing, substring_dedup, topk, url_rules
 
 
 def queries() -> dict:
     return {
         "op1_substring_dedup": substring_dedup.op1_substring_dedup,
         "op2_decontaminate": decontaminate.op2_decontaminate,
+        "op5_best_fit_packing": packing.op5_best_fit_packing,
         "op7_near_duplicates": minhash.op7_near_duplicates,
         "op8_chat_format": chat.op8_chat_format,
         "op9_url_rules": url_rules.op9_url_rules,
