@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from geocentra.llm import chat, decontaminate, katz, minhash, packing, substring_dedup, topk, url_rules
+from geocentra.llm import chat, decontaminate, katz, kneser_ney, minhash, packing, substring_dedup, topk, url_rules
 
 
 def queries() -> dict:
     return {
         "op1_substring_dedup": substring_dedup.op1_substring_dedup,
         "op2_decontaminate": decontaminate.op2_decontaminate,
+        "op3_quality_classifier": kneser_ney.op3_quality_classifier,
         "op4_katz_scores": katz.op4_katz_scores,
         "op5_best_fit_packing": packing.op5_best_fit_packing,
         "op7_near_duplicates": minhash.op7_near_duplicates,
