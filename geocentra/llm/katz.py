@@ -17,8 +17,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from geocentra.llm import blocks as B
+from geocentra.llm.exchange import ask, asked_of, requests, slices
 from geocentra.llm.plan import cut, load, parts_for, text_bytes
-from geocentra.llm.substring_dedup import _slices
 
 PIECE_BYTES = 16 << 20
 BUCKET_BYTES = 24 << 20
@@ -100,28 +100,6 @@ class Group:
         return h[by_hash], before[by_hash], word[by_hash], np.bincount(mine[self.train], minlength=len(h)), mine
 
 
-def _ask(bucket_hash: np.ndarray, n_buckets: int, g: int, *columns: np.ndarray) -> list[tuple[int, int, bytes]]:
-    """One blob for each bucket: hashes (ascending) and columns beside them."""
-    bucket = B.bucket_of(bucket_hash, n_buckets)
-    out = []
-    for k, s in _slices(bucket, n_buckets):
-        # Ascending values share their leading bytes: planes of differences compress.
-        step = np.diff(bucket_hash[s], prepend=np.uint64(0))
-        planes = step.view(np.uint8).reshape(-1, 8)
-        out.append((k, g, B.pack(*(np.ascontiguousarray(planes[:, i]) for i in range(8)), *(c[s] for c in columns))))
-    return out
-
-
-def _asked(blob: bytes) -> tuple[np.ndarray, list[np.ndarray]]:
-    arrays = B.unpack(blob)
-    return np.cumsum(np.stack(arrays[:8], axis=1).view(np.uint64).ravel(), dtype=np.uint64), arrays[8:]
-
-
-def _requests(rows: list[tuple[int, int, bytes]]) -> pa.RecordBatch:
-    bucket, g, blob = zip(*rows, strict=True) if rows else ((), (), ())
-    return pa.RecordBatch.from_arrays([pa.array(bucket, pa.int32()), pa.array(g, pa.int64()), pa.array(blob, pa.binary())], names=["bucket", "g", "blob"])
-
-
 def _ask_counts(order: int, n_buckets: int):
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -131,7 +109,7 @@ def _ask_counts(order: int, n_buckets: int):
                     h, n = group.vocabulary, np.bincount(group.word[group.train], minlength=len(group.vocabulary))
                 else:
                     h, _, _, n, _ = group.bigrams()
-                yield _requests(_ask(h, n_buckets, g, n.astype(np.int32)))
+                yield requests(ask(h, n_buckets, g, n.astype(np.int32)))
 
     return run
 
@@ -146,7 +124,7 @@ def _count(order: int):
     """
 
     def run(table: pa.Table) -> pa.Table:
-        asked = [_asked(b) for b in table.column("blob").to_pylist()]
+        asked = [asked_of(b) for b in table.column("blob").to_pylist()]
         groups = table.column("g").to_numpy()
         bucket = table.column("bucket")[0].as_py()
         h = np.concatenate([a[0] for a in asked])
@@ -176,7 +154,7 @@ def _count(order: int):
             owner[1:] = number[shared[1:]] != number[shared[:-1]]
             back = np.lexsort((where[shared], who[shared]))
             shared, owner = shared[back], owner[back]
-            for i, s in _slices(who[shared], len(asked)):
+            for i, s in slices(who[shared], len(asked)):
                 at = where[shared[s]]
                 g.append(int(groups[i]))
                 b.append(bucket)
@@ -242,7 +220,7 @@ class Answers:
         return np.concatenate(out).astype(dtype) if out else np.zeros(n, dtype)
 
     def placed(self, kind: int, h: np.ndarray, total: np.ndarray, owned: np.ndarray) -> None:
-        edges = dict(_slices(B.bucket_of(h, self.n_buckets), self.n_buckets))
+        edges = dict(slices(B.bucket_of(h, self.n_buckets), self.n_buckets))
         for k, (gap, count, owner) in self.by_kind.get(kind, {}).items():
             at = edges[k].start + np.cumsum(gap.astype(np.int64))
             total[at] = count
@@ -276,8 +254,8 @@ def _ask_weights(n_buckets: int, model: Model):
             hist, count, order = _histories(group, c, model)
             kept = np.bincount(slot, weights=model.d2[np.minimum(total, TRUSTED + 1)] * total, minlength=len(hist))
             mass = np.bincount(slot, weights=model.word_probability(c[word]), minlength=len(hist))
-            out = _ask(hist[order], n_buckets, g, count[order].astype(np.int32), kept[order], mass[order])
-        return pa.Table.from_batches([_requests(out)])
+            out = ask(hist[order], n_buckets, g, count[order].astype(np.int32), kept[order], mass[order])
+        return pa.Table.from_batches([requests(out)])
 
     return run
 
@@ -288,7 +266,7 @@ def _weigh(table: pa.Table) -> pa.Table:
     A history all of whose bigrams are trusted would keep no mass for others; it
     gives 1 of count + 1, and its weight is negative to say so.
     """
-    asked = [_asked(b) for b in table.column("blob").to_pylist()]
+    asked = [asked_of(b) for b in table.column("blob").to_pylist()]
     h = np.concatenate([a[0] for a in asked])
     count, kept, mass = (np.concatenate([a[1][i] for a in asked]) for i in range(3))
     _, number = np.unique(h, return_inverse=True)

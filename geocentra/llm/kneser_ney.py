@@ -11,8 +11,9 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from geocentra.llm import blocks as B
+from geocentra.llm.exchange import slices
 from geocentra.llm.plan import cut, load, parts_for, text_bytes
-from geocentra.llm.substring_dedup import _group, _slices
+from geocentra.llm.substring_dedup import _group
 
 #: Tokens are bytes; the model is of this order. A gram of ORDER bytes is one exact integer.
 ORDER = 5
@@ -50,7 +51,7 @@ def _packed_rows(language: int, gram: np.ndarray, *columns: np.ndarray) -> list[
     shard = shard_of(language, gram)
     order = np.argsort(shard, kind="stable")
     out = []
-    for k, s in _slices(shard[order], N_SHARDS):
+    for k, s in slices(shard[order], N_SHARDS):
         at = order[s]
         out.append((k, B.pack(np.diff(gram[at], prepend=0), *(c[at] for c in columns))))
     return out
@@ -223,7 +224,7 @@ def _score(docs: pa.Table, answers: pa.Table) -> pa.Table:
         shard = shard_of(one, gram)
         value = np.empty(len(gram), np.float32)
         order = np.argsort(shard, kind="stable")
-        for k, s in _slices(shard[order], N_SHARDS):
+        for k, s in slices(shard[order], N_SHARDS):
             value[order[s]] = B.unpack(got[k])[0]
         tables[one] = gram, value
     out = []
@@ -318,13 +319,13 @@ def classify(
     # The bound: the least hashes of a language, found by an approximate quantile of the hash and so spread over all data.
     sizes = candidates.groupBy("lang").agg(F.count(F.lit(1)).alias("n"))
     share = F.least(F.lit(1.0), F.lit(float(max_training_texts)) / F.col("n"))
-    sample = candidates.join(F.broadcast(sizes), "lang").where((F.shiftright("mark", 1).cast("double") / 2.0**63 + 0.5) <= share).select("text", "lang")
+    sample = candidates.join(sizes, "lang").where((F.shiftright("mark", 1).cast("double") / 2.0**63 + 0.5) <= share).select("text", "lang")
     scored = cut(score_texts(docs, sample, id_col, text_col, lang_col, tuple(dict.fromkeys([*carry, lang_col]))).withColumn("lang", F.coalesce(F.col(f"carried.{lang_col}").cast("string"), F.lit(""))))
     calibration = scored.join(trusted.where(half == 1).withColumnRenamed("trusted_id", "id"), "id").where("score is not null")
     middle = calibration.groupBy("lang").agg(F.percentile_approx(-F.col("score") / F.col("n_tokens"), 0.5, 10000).alias("middle"))
     rate = (-F.col("score") + prior_tokens * F.col("middle")) / (F.col("n_tokens") + prior_tokens)
-    limits = calibration.join(F.broadcast(middle), "lang").groupBy("lang", "middle").agg((F.percentile_approx(rate, quantile, 100000) + slack).alias("threshold"))
-    judged = scored.join(F.broadcast(limits), "lang", "left").withColumn("rate", rate)
+    limits = calibration.join(middle, "lang").groupBy("lang", "middle").agg((F.percentile_approx(rate, quantile, 100000) + slack).alias("threshold"))
+    judged = scored.join(limits, "lang", "left").withColumn("rate", rate)
     return judged.select(
         "id", F.col(f"carried.{lang_col}").alias("lang"), "n_tokens", "score", F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens")).alias("perplexity"), "rate", "threshold",
         F.coalesce(F.col("rate") <= F.col("threshold"), F.lit(True)).alias("kept"), "carried",

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from geocentra.llm import chat, decontaminate, katz, kneser_ney, minhash, packing, substring_dedup, topk, url_rules
+from geocentra.llm import chat, decontaminate, katz, kneser_ney, minhash, packing, substring_dedup, suffix_dedup, topk, url_rules
 
 
 def queries() -> dict:
@@ -12,6 +12,7 @@ def queries() -> dict:
         "op3_quality_classifier": kneser_ney.op3_quality_classifier,
         "op4_katz_scores": katz.op4_katz_scores,
         "op5_best_fit_packing": packing.op5_best_fit_packing,
+        "op6_suffix_dedup": suffix_dedup.op6_suffix_dedup,
         "op7_near_duplicates": minhash.op7_near_duplicates,
         "op8_chat_format": chat.op8_chat_format,
         "op9_url_rules": url_rules.op9_url_rules,

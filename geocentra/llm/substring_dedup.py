@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from geocentra.llm import blocks as B
+from geocentra.llm.exchange import doc_table, slices
 from geocentra.llm.plan import load, parts_for, text_bytes
 
 BUCKET_BYTES = 16 << 20
@@ -18,21 +19,6 @@ GROUP_BYTES = 8 << 20
 PIECE_BYTES = 8 << 20
 
 
-def _slices(part: np.ndarray, n: int) -> Iterator[tuple[int, slice]]:
-    """The runs of an ascending array of part numbers."""
-    edges = np.searchsorted(part, np.arange(n + 1))
-    for k in np.flatnonzero(np.diff(edges)).tolist():
-        yield k, slice(int(edges[k]), int(edges[k + 1]))
-
-
-def doc_table(doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """First places and lengths of the runs in an array in which equal entries are adjacent."""
-    if not len(doc):
-        return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    first = np.concatenate(([0], np.flatnonzero(doc[1:] != doc[:-1]) + 1))
-    return first, np.diff(np.concatenate((first, [len(doc)])))
-
-
 def _send_windows(width: int, n_buckets: int):
     """Map side: every window hash of a piece of text once, and what is already a repeat inside the piece."""
 
@@ -62,7 +48,7 @@ def _send_windows(width: int, n_buckets: int):
                 again &= (ids[doc[order]] != ids[doc[order[head]]]) | (pos[order] != pos[order[head]])
             sent, local = order[~again], np.sort(order[again])
             part, blobs = [], []
-            for k, piece_of in _slices(B.bucket_of(h[sent], n_buckets), n_buckets):
+            for k, piece_of in slices(B.bucket_of(h[sent], n_buckets), n_buckets):
                 w = np.sort(sent[piece_of])
                 first, count = doc_table(doc[w])
                 d = doc[w[first]]
