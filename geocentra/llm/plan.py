@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import contextlib
 import math
 import tempfile
+from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -29,3 +31,20 @@ def cut(df: DataFrame) -> DataFrame:
     if sc.getCheckpointDir() is None:
         sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="spark-checkpoint-"))
     return df.checkpoint(eager=True)
+
+
+@contextlib.contextmanager
+def fixed_plan(spark: SparkSession) -> Iterator[None]:
+    """Adaptive replanning off: a checkpoint then keeps the partitioning of its plan, and later joins need no shuffle of it."""
+    was = spark.conf.get("spark.sql.adaptive.enabled")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        yield
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", was)
+
+
+def cut_by(df: DataFrame, parts: int, key: str) -> DataFrame:
+    """The rows dealt to `parts` partitions by `key` and checkpointed, so that they stay dealt."""
+    with fixed_plan(df.sparkSession):
+        return cut(df.repartition(parts, key))

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from geocentra.llm import blocks as B
 from geocentra.llm.exchange import ask, asked_of, doc_table, requests, slices
-from geocentra.llm.plan import cut, load, parts_for, text_bytes
+from geocentra.llm.plan import cut_by, load, parts_for, text_bytes
 from geocentra.llm.substring_dedup import found_positions
 
 GROUP_BYTES = 12 << 20
@@ -417,7 +417,7 @@ def suffix_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     spark = docs.sparkSession
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
     n_buckets = parts_for(spark, text_bytes(rows, "text"), BUCKET_BYTES)
-    groups = cut(rows.mapInArrow(_make_groups, "g long, blob binary").repartition(n_buckets, "g"))
+    groups = cut_by(rows.mapInArrow(_make_groups, "g long, blob binary"), n_buckets, "g")
     asked = groups.mapInArrow(_ask_anchors(length, n_buckets), "bucket int, g long, blob binary")
     shared = asked.groupBy("bucket").applyInArrow(_share, "g long, bucket int, blob binary")
     regions = groups.groupBy("g").cogroup(shared.groupBy("g")).applyInArrow(_send_regions(length, n_buckets), "bucket int, g long, blob binary")
