@@ -12,11 +12,12 @@ from pyspark.sql import functions as F
 
 from geocentra.llm import blocks as B
 from geocentra.llm.components import connected_components
-from geocentra.llm.plan import cut, load, parts_for, text_bytes
-from geocentra.llm.substring_dedup import _slices, doc_table
+from geocentra.llm.exchange import doc_table, slices
+from geocentra.llm.plan import cut, fixed_plan, load, parts_for, text_bytes
 
 PIECE_BYTES = 4 << 20
 BUCKET_BYTES = 16 << 20
+BLOCK_ROWS = 1024
 
 
 @dataclass(frozen=True)
@@ -35,6 +36,15 @@ class Banding:
     def minima(self) -> int:
         return 2 * self.half * self.rows
 
+    def agreeing(self, percent: int) -> int:
+        """How many minima must agree before full sets are compared.
+
+        Of 48 minima a pair of similarity 0.8 has 38.4 +- 2.8 equal; 5.5 standard
+        deviations less are asked for, which adds some 1e-6 to the share missed.
+        """
+        s = percent / 100
+        return max(0, int(self.minima * s - 5.5 * (self.minima * s * (1 - s)) ** 0.5))
+
 
 def shingle_sets(column: pa.Array, width: int) -> tuple[np.ndarray, np.ndarray]:
     """Distinct shingle hashes of each text, ascending, and the offsets of the texts into them.
@@ -86,12 +96,13 @@ def _sign(width: int, banding: Banding):
             yield pa.RecordBatch.from_arrays(
                 [
                     piece.column("id"),
+                    piece.column("version"),
                     pa.array(size, pa.int64()),
                     pa.array(prints[:, 0].view(np.int64)),
                     pa.array(prints[:, 1].view(np.int64)),
                     pa.array([blob[i : i + step] for i in range(0, len(blob), step)], pa.binary()),
                 ],
-                names=["id", "n", "p1", "p2", "minima"],
+                names=["id", "version", "n", "p1", "p2", "minima"],
             )
 
     return run
@@ -111,11 +122,12 @@ def table_keys(minima: np.ndarray, banding: Banding) -> np.ndarray:
 def _send_keys(banding: Banding, n_buckets: int):
     """Each key once a batch, with its smallest document; further documents of a key are linked on the spot.
 
-    Rows with `blob` go to buckets of keys. Rows with `key` list the members of groups
-    of this batch, and rows with `a`, `b` are candidate links.
+    Blobs of three arrays are keys for their bucket; blobs of four are what a batch
+    found by itself (members of keys, and candidate links) and pass through any bucket.
     """
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        turn = 0
         for batch in batches:
             for lo in range(0, batch.num_rows, 4096):
                 piece = batch.slice(lo, 4096)
@@ -130,70 +142,73 @@ def _send_keys(banding: Banding, n_buckets: int):
                 order = np.argsort(key, kind="stable")
                 hs, doc = key[order], order // n_keys
                 new = np.concatenate(([True], hs[1:] != hs[:-1]))
-                head = doc[np.maximum.accumulate(np.where(new, np.arange(len(hs)), 0))]
-                later = np.flatnonzero(~new & (doc != head))
-                pairs = np.unique(np.stack((ids[head[later]], ids[doc[later]]), axis=1), axis=0) if len(later) else np.zeros((0, 2), np.int64)
-                # Members: all documents of keys that several documents of this batch share.
-                grouped = np.unique(hs[later])
-                members = np.flatnonzero(np.isin(hs, grouped)) if len(grouped) else np.zeros(0, np.int64)
                 part, blobs = [], []
                 first = np.flatnonzero(new)
-                for k, which in _slices(B.bucket_of(hs[first], n_buckets), n_buckets):
+                for k, which in slices(B.bucket_of(hs[first], n_buckets), n_buckets):
                     at = first[which]
                     at = at[np.argsort(doc[at], kind="stable")]
                     f, c = doc_table(doc[at])
                     part.append(k)
                     blobs.append(B.pack(ids[doc[at[f]]], c.astype(np.int32), B.low_bytes(hs[at], 8)))
-                nb, nm, np_ = len(part), len(members), len(pairs)
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array(part + [None] * (nm + np_), pa.int32()),
-                        pa.array(blobs + [None] * (nm + np_), pa.binary()),
-                        _padded(nb, hs[members].view(np.int64), np_),
-                        _padded(nb, np.concatenate((ids[doc[members]], pairs[:, 0])), 0),
-                        _padded(nb + nm, pairs[:, 1], 0),
-                    ],
-                    names=["bucket", "blob", "key", "a", "b"],
-                )
+                many = ~new | np.concatenate((~new[1:], [False]))
+                if many.any():
+                    part.append(turn % n_buckets)
+                    blobs.append(B.pack(*_groups(hs[many], ids[doc[many]])))
+                    turn += 1
+                yield pa.RecordBatch.from_arrays([pa.array(part, pa.int32()), pa.array(blobs, pa.binary())], names=["bucket", "blob"])
 
     return run
 
 
+def _groups(hs: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Of keys in order, each with several documents, ascending: the (key, document) members, and links to the smallest."""
+    new = np.ones(len(hs), bool)
+    new[1:] = hs[1:] != hs[:-1]
+    head = np.maximum.accumulate(np.where(new, np.arange(len(hs)), 0))
+    pairs = np.stack((doc[head[~new]], doc[~new]), axis=1)
+    pairs = np.unique(pairs[pairs[:, 0] != pairs[:, 1]], axis=0)
+    return hs.view(np.int64), doc, np.ascontiguousarray(pairs[:, 0]), np.ascontiguousarray(pairs[:, 1])
+
+
 def _padded(before: int, values: np.ndarray, after: int) -> pa.Array:
     return pa.concat_arrays([pa.nulls(before, pa.int64()), pa.array(values, pa.int64()), pa.nulls(after, pa.int64())])
 
 
 def _meet(table: pa.Table) -> pa.Table:
     """One bucket of keys: links of each document to the smallest of its key, and the members of keys."""
-    key, doc = [], []
+    key, doc, found = [], [], []
     for blob in table.column("blob").to_pylist():
-        ids, count, h = B.unpack(blob)
-        key.append(B.from_bytes(h))
-        doc.append(np.repeat(ids, count))
-    hs, doc = np.concatenate(key), np.concatenate(doc)
-    order = np.argsort(hs)
-    hs, doc = hs[order], doc[order]
-    same = hs[1:] == hs[:-1]
-    shared = np.concatenate((same, [False])) | np.concatenate(([False], same))
-    hs, doc = hs[shared], doc[shared]
-    order = np.lexsort((doc, hs))
-    hs, doc = hs[order], doc[order]
-    if not len(hs):
-        return pa.table({"key": pa.nulls(0, pa.int64()), "a": pa.nulls(0, pa.int64()), "b": pa.nulls(0, pa.int64())})
-    new = np.concatenate(([True], hs[1:] != hs[:-1]))
-    head = np.maximum.accumulate(np.where(new, np.arange(len(hs)), 0))
-    pairs = np.stack((doc[head[~new]], doc[~new]), axis=1)
-    pairs = np.unique(pairs[pairs[:, 0] != pairs[:, 1]], axis=0)
-    return pa.table({"key": _padded(0, hs.view(np.int64), len(pairs)), "a": _padded(0, np.concatenate((doc, pairs[:, 0])), 0), "b": _padded(len(hs), pairs[:, 1], 0)})
-
-
-def _verify(width: int, percent: int):
-    """Pairs of compressed texts whose full shingle sets are similar enough."""
+        arrays = B.unpack(blob)
+        if len(arrays) == 4:
+            found.append(arrays)
+        else:
+            ids, count, h = arrays
+            key.append(B.from_bytes(h))
+            doc.append(np.repeat(ids, count))
+    if key:
+        hs, doc = np.concatenate(key), np.concatenate(doc)
+        order = np.argsort(hs)
+        hs, doc = hs[order], doc[order]
+        same = hs[1:] == hs[:-1]
+        shared = np.concatenate((same, [False])) | np.concatenate(([False], same))
+        hs, doc = hs[shared], doc[shared]
+        order = np.lexsort((doc, hs))
+        found.append(_groups(hs[order], doc[order]))
+    key, doc, a, b = (np.concatenate(x) for x in zip(*found, strict=True)) if found else [np.zeros(0, np.int64)] * 4
+    return pa.table({"key": _padded(0, key, len(a)), "a": _padded(0, np.concatenate((doc, a)), 0), "b": _padded(len(key), b, 0)})
+
+
+def _verify(width: int, percent: int, agreeing: int):
+    """Pairs of compressed texts whose full shingle sets are similar enough, of those whose minima agree often enough."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for lo in range(0, batch.num_rows, 256):
                 piece = batch.slice(lo, 256)
+                ma, mb = (B.text_block(piece.column(c))[0].view(np.uint32).reshape(piece.num_rows, -1) for c in ("ma", "mb"))
+                piece = piece.filter(pa.array((ma == mb).sum(axis=1) >= agreeing))
+                if not piece.num_rows:
+                    continue
                 texts = [B.unpack(x)[0] for side in ("za", "zb") for x in piece.column(side).to_pylist()]
                 n = piece.num_rows
                 offs = np.concatenate(([0], np.cumsum([len(t) for t in texts])))
@@ -216,14 +231,60 @@ def _compress(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for piece in B.chunks(batches, "text", PIECE_BYTES):
         raw, offs = B.text_block(piece.column("text"))
         z = [B.pack(raw[a:b]) for a, b in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
-        yield pa.RecordBatch.from_arrays([piece.column("id"), pa.array(z, pa.binary())], names=["id", "z"])
+        yield pa.RecordBatch.from_arrays([piece.column("id"), piece.column("version"), pa.array(z, pa.binary())], names=["id", "version", "z"])
+
+
+def _compare_blocks(width: int, percent: int, agreeing: int):
+    """All pairs between two blocks of documents (or within one) that are not yet connected: a spanning set of their links.
+
+    One document at a time is compared to all that lie in other components, have a
+    fitting size and agree in enough minima; connected documents are not compared again.
+    """
+
+    def run(table: pa.Table) -> pa.Table:
+        within = table.column("i")[0].as_py() == table.column("j")[0].as_py()
+        side = (table.column("block").to_numpy() == table.column("j").to_numpy()).astype(bool)
+        ids, component = table.column("id").to_numpy(), table.column("c").to_numpy().copy()
+        minima = B.text_block(table.column("minima"))[0].view(np.uint32).reshape(len(ids), -1)
+        values, sizes = [], []
+        for blob in table.column("z").to_pylist():
+            raw = B.unpack(blob)[0]
+            value, offs = shingle_sets(B.strings(raw, np.array([0, len(raw)])), width)
+            values.append(value)
+            sizes.append(int(offs[-1]))
+        size = np.array(sizes)
+        _, code = np.unique(np.concatenate(values), return_inverse=True)
+        offs = np.concatenate(([0], np.cumsum(size)))
+        mark = np.zeros(int(code.max(initial=0)) + 1, bool)
+        out: list[tuple[int, int]] = []
+        for x in range(len(ids)) if within else np.flatnonzero(~side).tolist():
+            other = component != component[x]
+            if not within:
+                other &= side
+            other &= 100 * np.minimum(size, size[x]) >= percent * np.maximum(size, size[x])
+            y = np.flatnonzero(other)
+            y = y[(minima[y] == minima[x]).sum(axis=1) >= agreeing]
+            if not len(y):
+                continue
+            mine = code[offs[x] : offs[x + 1]]
+            mark[mine] = True
+            common = np.add.reduceat(mark[code[B.ranges(offs[y], size[y])]].astype(np.int64), np.cumsum(size[y]) - size[y])
+            mark[mine] = False
+            for k in y[100 * common >= percent * (size[x] + size[y] - common)].tolist():
+                if component[k] != component[x]:
+                    out.append((int(ids[x]), int(ids[k])))
+                    component[component == component[k]] = component[x]
+        return pa.table({"a": pa.array([a for a, _ in out], pa.int64()), "b": pa.array([b for _, b in out], pa.int64())})
+
+    return run
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, banding: Banding = Banding()) -> DataFrame:
     """Group documents whose sets of `width`-word shingles (A-Z folded) have a Jaccard similarity of percent/100 or more.
 
     Returns one row per id: id, n_shingles, component (the smallest id reachable over
-    confirmed links, itself included) and kept (id = component).
+    confirmed links, itself included), kept (id = component) and version (the hash of
+    the text that was taken for this id).
 
     Null and empty texts have no shingles and link with nothing. Rows without an id
     are given back with their size, no component, and kept. Rows that repeat an id
@@ -231,45 +292,53 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     An empty table gives no rows.
 
     Equal sets are one class from the start. Of a key's documents each is compared to
-    the key's smallest; members of a key that are still in different components after
-    that are compared in full, so no candidate is dropped, yet a large group of near
-    copies costs about one comparison a member.
+    the key's smallest. Documents that keys connect are a family; a family that these
+    links leave in several components is compared in blocks of BLOCK_ROWS, all that is
+    not yet connected with all, so no candidate is dropped. A large family is spread
+    over pairs of blocks; a block emits only links that join components.
     """
     spark = docs.sparkSession
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
+    text = F.col(text_col).cast("string")
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), text.alias("text"), F.xxhash64(text).alias("version"))
     size = text_bytes(rows, "text")
-    signed = rows.mapInArrow(_sign(width, banding), "id long, n long, p1 long, p2 long, minima binary")
-    signed = cut(signed)
-    one = signed.where("id is not null").groupBy("id").agg(F.max(F.struct("n", "p1", "p2", "minima")).alias("s")).select("id", "s.*")
+    signed = cut(rows.mapInArrow(_sign(width, banding), "id long, version long, n long, p1 long, p2 long, minima binary"))
+    one = signed.where("id is not null").groupBy("id").agg(F.max(F.struct("n", "version", "p1", "p2", "minima")).alias("s")).select("id", "s.*")
     classes = one.where("n > 0").groupBy("n", "p1", "p2").agg(F.min(F.struct("id", "minima")).alias("s")).select("n", "p1", "p2", "s.*")
     n_buckets = parts_for(spark, size, BUCKET_BYTES)
-    sent = cut(classes.select("id", "minima").mapInArrow(_send_keys(banding, n_buckets), "bucket int, blob binary, key long, a long, b long"))
-    met = sent.where("bucket is not null").groupBy("bucket").applyInArrow(_meet, "key long, a long, b long")
-    seen = cut(met.unionByName(sent.where("bucket is null").select("key", "a", "b")))
-    compressed = rows.where("id is not null").mapInArrow(_compress, "id long, z binary")
+    sent = classes.select("id", "minima").mapInArrow(_send_keys(banding, n_buckets), "bucket int, blob binary")
+    seen = cut(sent.groupBy("bucket").applyInArrow(_meet, "key long, a long, b long"))
+    # Texts of documents that share a key with another, partitioned by id once for all comparisons.
+    involved = seen.select(F.col("a").alias("id")).unionByName(seen.where("b is not null").select(F.col("b").alias("id"))).distinct()
+    chosen = one.join(involved, "id").select("id", "n", F.col("version").alias("chosen"), "minima")
+    compressed = rows.where("id is not null").mapInArrow(_compress, "id long, version long, z binary").repartition(n_buckets, "id")
+    with fixed_plan(spark):
+        texts = cut(compressed.join(chosen, "id").where("version = chosen").dropDuplicates(["id"]).select("id", "n", "minima", "z"))
 
     def confirmed(pairs: DataFrame) -> DataFrame:
         """Of candidate pairs (a, b), those that the full sets confirm."""
-        left = pairs.join(compressed.select(F.col("id").alias("a"), F.col("z").alias("za")), "a")
-        both = left.join(compressed.select(F.col("id").alias("b"), F.col("z").alias("zb")), "b")
-        return both.select("a", "b", "za", "zb").mapInArrow(_verify(width, percent), "a long, b long")
+        left = pairs.join(texts.select(F.col("id").alias("a"), F.col("n").alias("na"), F.col("minima").alias("ma"), F.col("z").alias("za")), "a")
+        both = left.join(texts.select(F.col("id").alias("b"), F.col("n").alias("nb"), F.col("minima").alias("mb"), F.col("z").alias("zb")), "b")
+        fits = both.where(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
+        return fits.select("a", "b", "ma", "mb", "za", "zb").mapInArrow(_verify(width, percent, banding.agreeing(percent)), "a long, b long")
 
-    first = seen.where("key is null").select("a", "b").distinct()
-    links = cut(confirmed(first))
+    tried = cut(seen.where("key is null").select("a", "b").distinct())
+    links = cut(confirmed(tried))
     component = connected_components(links)
-    # Keys whose members are not all in one component, beyond the links already tried.
-    placed = seen.where("key is not null").select("key", F.col("a").alias("id")).distinct().join(component.select(F.col("node").alias("id"), "component"), "id", "left").select("key", "id", F.coalesce("component", "id").alias("c"))
-    mixed = placed.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.count(F.lit(1)).alias("k")).where("lo <> hi and k > 2").select("key")
-    left = placed.join(mixed, "key")
-    rest = left.select("key", F.col("id").alias("a"), F.col("c").alias("ca")).join(left.select("key", F.col("id").alias("b"), F.col("c").alias("cb")), "key").where("a < b and ca <> cb").select("a", "b").distinct()
-    rest = rest.join(first, ["a", "b"], "left_anti")
-    more = cut(confirmed(rest))
+    # Documents that keys connect, directly or not, are a family; what a family's links so far leave
+    # apart is compared in blocks, all with all.
+    family = connected_components(tried)
+    placed = cut(family.select(F.col("node").alias("id"), F.col("component").alias("family")).join(component.select(F.col("node").alias("id"), "component"), "id", "left").select("id", "family", F.coalesce("component", "id").alias("c")))
+    apart = placed.groupBy("family").agg(F.count(F.lit(1)).alias("k"), F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi and k > 2").select("family", F.ceil(F.col("k") / BLOCK_ROWS).alias("blocks"))
+    dealt = placed.join(apart, "family").select("family", "id", "c", "blocks", F.pmod(F.xxhash64("id"), F.col("blocks")).alias("block"))
+    paired = dealt.join(texts, "id").select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"))
+    tasks = paired.select("family", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "id", "c", "minima", "z")
+    more = cut(tasks.groupBy("family", "i", "j").applyInArrow(_compare_blocks(width, percent, banding.agreeing(percent)), "a long, b long"))
     if not more.isEmpty():
         component = connected_components(links.unionByName(more))
     by_class = classes.select("n", "p1", "p2", F.col("id").alias("head")).join(component.select(F.col("node").alias("head"), "component"), "head", "left").select("n", "p1", "p2", F.coalesce("component", "head").alias("component"))
-    named = one.select("id", "n", "p1", "p2").join(by_class, ["n", "p1", "p2"], "left")
-    found = named.select("id", F.col("n").alias("n_shingles"), F.coalesce("component", "id").alias("component"))
-    nameless = signed.where("id is null").select("id", F.col("n").alias("n_shingles"), F.lit(None).cast("long").alias("component"))
+    named = one.select("id", "version", "n", "p1", "p2").join(by_class, ["n", "p1", "p2"], "left")
+    found = named.select("id", "version", F.col("n").alias("n_shingles"), F.coalesce("component", "id").alias("component"))
+    nameless = signed.where("id is null").select("id", "version", F.col("n").alias("n_shingles"), F.lit(None).cast("long").alias("component"))
     return found.unionByName(nameless).withColumn("kept", F.coalesce(F.col("id") == F.col("component"), F.lit(True)))
 
 
