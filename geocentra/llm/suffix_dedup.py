@@ -19,9 +19,8 @@ from pyspark.sql import functions as F
 from geocentra.llm import blocks as B
 from geocentra.llm.exchange import ask, asked_of, doc_table, requests, slices
 from geocentra.llm.plan import cut_by, load, parts_for, text_bytes
-from geocentra.llm.substring_dedup import found_positions
 
-GROUP_BYTES = 12 << 20
+GROUP_BYTES = 8 << 20
 BUCKET_BYTES = 24 << 20
 PIECE_BYTES = 1 << 20
 TRANSFORM_BYTES = 1 << 20
@@ -33,28 +32,41 @@ SPLIT = 1024
 # --- the transform -------------------------------------------------------------------------
 
 
-def _order(text: np.ndarray, end: np.ndarray, depth: int) -> np.ndarray:
-    """Places of a text's suffixes in order of their first `depth` symbols, up to their own end mark (symbol 0)."""
+#: Symbols that one 64-bit key holds: 257 ** 7 < 2 ** 63.
+KEY = 7
+
+
+def _keys(text: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """The first KEY symbols of every suffix, up to its end mark, as one number."""
     n = len(text)
-    padded = np.concatenate((text, np.zeros(8, np.uint16))).astype(np.uint64)
-    key = np.zeros(n, np.uint64)
-    for j in range(6):  # six symbols of at most 257 fit into 54 bits
-        inside = np.arange(n) + j <= end
-        key = key * np.uint64(257) + np.where(inside, padded[j : j + n], 0).astype(np.uint64)
+    place = np.arange(n)
+    padded = np.concatenate((text, np.zeros(KEY, np.uint16))).astype(np.uint64)
+    key = padded[:n].copy()
+    for j in range(1, KEY):
+        key = key * np.uint64(257) + np.where(place + j <= end, padded[j : j + n], np.uint64(0))
+    return key
+
+
+def _order(key: np.ndarray, end: np.ndarray, depth: int) -> np.ndarray:
+    """Places of suffixes in order of their first `depth` symbols, up to their own end mark, by doubling from their keys."""
+    n = len(key)
+    place, h = np.arange(n), KEY
     order = np.argsort(key)
-    h = 6
-    while True:
+    while h < depth:
         ranked = key[order]
         new = np.ones(n, bool)
         new[1:] = ranked[1:] != ranked[:-1]
-        if h >= depth or new.all():
-            return order
+        if new.all():
+            break
         rank = np.empty(n, np.uint64)
         rank[order] = np.cumsum(new).astype(np.uint64)
-        after = np.arange(n) + h
-        key = rank * np.uint64(n + 1) + np.where(after <= end, rank[np.minimum(after, n - 1)], 0).astype(np.uint64)
+        after = np.zeros(n, np.uint64)
+        after[:-h] = rank[h:]
+        after[place + h > end] = 0
+        key = rank * np.uint64(n + 1) + after
         order = np.argsort(key)
         h *= 2
+    return order
 
 
 def repeats(text: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
@@ -62,22 +74,32 @@ def repeats(text: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
 
     `text` is of bytes plus one, each segment ended by a 0. Common prefixes shorter
     than `length` are found by increasing value: a level holds the intervals of all
-    strings of its length that an earlier level has not told apart; extended to the left by
-    each symbol before them they give the next level's, and the right end of each new
-    interval is where suffixes part.
+    strings of its length that end where the level before has told suffixes apart;
+    extended to the left by each symbol before them they give the next level's, and
+    the right end of each new interval is where suffixes part. Prefixes shorter than
+    KEY are read off the keys, so the first level is that of KEY symbols.
     """
     n = len(text)
     ends = np.flatnonzero(text == 0)
-    end = ends[np.searchsorted(ends, np.arange(n))]
-    order = _order(text, end, length)
-    before = text[order - 1].astype(np.int64)  # the transform; the first suffix has the last symbol, an end, before it
-    # Where the suffix that starts one symbol earlier stands.
+    end = np.repeat(ends, np.diff(ends, prepend=-1))
+    key = _keys(text, end)
+    order = _order(key, end, length)
+    before = text[order - 1]  # the transform; the first suffix has the last symbol, an end, before it
+    # Where the suffix that starts one symbol earlier stands: by that symbol, then in the order that is.
     step = np.empty(n, np.int64)
     step[np.argsort(before, kind="stable")] = np.arange(n)
-    new = np.zeros(n + 1, bool)
-    new[[0, n]] = True
-    lo, hi = np.array([0]), np.array([n])
-    for _ in range(length):
+    before = before.astype(np.int64)
+    ranked = key[order]
+    new = np.ones(n + 1, bool)
+    new[1:n] = ranked[1:] != ranked[:-1]
+    if length <= KEY:
+        raise ValueError(f"length must exceed {KEY}")
+    part = np.zeros(n + 1, bool)
+    part[1:n] = new[1:n] & (ranked[1:] // np.uint64(257) == ranked[:-1] // np.uint64(257))
+    known = np.flatnonzero(new)
+    hi = np.flatnonzero(part)
+    lo = known[np.searchsorted(known, hi) - 1]
+    for _ in range(KEY, length):
         size = hi - lo
         # Intervals of one suffix extend to one; others by each of their symbols.
         single = lo[size == 1]
@@ -133,7 +155,8 @@ def anchors(raw: np.ndarray, offs: np.ndarray, length: int) -> tuple[np.ndarray,
     around = np.concatenate((np.zeros(width - 1, np.uint32), least))
     most = _slide(around, width, np.maximum)[: len(h)]
     at = np.flatnonzero((rank == most) & (most > 0))
-    return at, h[at] & ~np.uint64(0xFF)
+    # Least hashes are small ones: scramble them again, so that they spread evenly.
+    return at, B.mix(h[at]) & ~np.uint64(0xFF)
 
 
 def _make_groups(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -294,8 +317,7 @@ def _compare(length: int):
             arrays = B.unpack(blob)
             if len(arrays) == 4:
                 ids, count, begin, size = arrays
-                n = np.maximum(size.astype(np.int64) - length + 1, 0)
-                found.append((np.full(int(n.sum()), g), np.repeat(np.repeat(ids, count), n), B.ranges(begin.astype(np.int64), n)))
+                found.append((np.full(len(begin), g), np.repeat(ids, count), begin.astype(np.int64), begin.astype(np.int64) + size))
             else:
                 parts.append((np.full(len(arrays[0]), g), *arrays))
         if parts:
@@ -308,8 +330,7 @@ def _compare(length: int):
             f, c = doc_table(same[order])
             later = ids[order] != np.repeat(ids[order[f]], c)
             late = order[later]
-            n = np.maximum(size[late] - length + 1, 0)
-            found.append((np.repeat(g[late], n), np.repeat(ids[late], n), B.ranges(begin[late], n)))
+            found.append((g[late], ids[late], begin[late], begin[late] + size[late]))
             kept = order[~later]
             kept = kept[np.argsort(route[kept], kind="stable")]
             f, c = doc_table(route[kept])
@@ -335,56 +356,62 @@ def _batches(route: np.ndarray, size: np.ndarray) -> Iterator[slice]:
         at = to
 
 
-def _transformed(rows: np.ndarray, g: np.ndarray, ids: np.ndarray, begin: np.ndarray, size: np.ndarray, at: np.ndarray, raw: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def _transformed(rows: np.ndarray, g: np.ndarray, ids: np.ndarray, begin: np.ndarray, size: np.ndarray, at: np.ndarray, raw: np.ndarray, length: int) -> tuple[np.ndarray, ...]:
+    """(group, document, begin, end) of the intervals that strings of a smaller document cover."""
     n = size[rows]
     text = np.zeros(int(n.sum()) + len(rows), np.uint16)
     first = np.cumsum(n + 1) - (n + 1)
     text[B.ranges(first, n)] = raw[B.ranges(at[rows], n)].astype(np.uint16) + 1
     order, new = repeats(text, length)
-    segment = np.searchsorted(first, order, side="right") - 1
-    whole = order + length <= first[segment] + n[segment]
-    run = np.cumsum(new) - 1
+    segment = np.repeat(np.arange(len(rows), dtype=np.int32), n + 1)[order]
+    run = np.cumsum(new)
+    whole = order + length <= (first + n)[segment]
     order, segment, run = order[whole], segment[whole], run[whole]
-    doc = ids[rows[segment]]
-    least = np.full(int(run.max(initial=-1)) + 1, np.iinfo(np.int64).max)
-    np.minimum.at(least, run, doc)
-    late = doc > least[run]
-    order, segment = order[late], segment[late]
-    return g[rows[segment]], doc[late], begin[rows[segment]] + order - first[segment]
-
-
-def _found(found: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> pa.Table:
+    head, count = doc_table(run)
+    doc = ids[rows][segment]
+    late = doc > np.repeat(np.minimum.reduceat(doc, head), count) if len(doc) else np.zeros(0, bool)
+    # Starts in a row become one interval; segments are apart by their end marks.
+    start = np.sort(order[late])
+    new = np.ones(len(start), bool)
+    new[1:] = start[1:] != start[:-1] + 1
+    a = np.flatnonzero(new)
+    z = np.concatenate((a[1:], [len(start)])) - 1 if len(a) else a
+    own = np.searchsorted(first, start[a], side="right") - 1
+    shift = begin[rows][own] - first[own]
+    return g[rows][own], ids[rows][own], start[a] + shift, start[z] + shift + length
+
+
+def _found(found: list[tuple[np.ndarray, ...]]) -> pa.Table:
     g, blobs = [], []
     if found:
-        group, doc, pos = (np.concatenate(x) for x in zip(*found, strict=True))
-        order = np.lexsort((pos, doc, group))
-        group, doc, pos = group[order], doc[order], pos[order]
-        new = np.ones(len(pos), bool)
-        new[1:] = (pos[1:] != pos[:-1]) | (doc[1:] != doc[:-1]) | (group[1:] != group[:-1])
-        group, doc, pos = group[new], doc[new], pos[new]
+        group, doc, begin, end = (np.concatenate(x) for x in zip(*found, strict=True))
+        order = np.lexsort((begin, doc, group))
+        group, doc, begin, end = group[order], doc[order], begin[order], end[order]
         first, count = doc_table(group)
         for a, n in zip(first.tolist(), count.tolist(), strict=True):
             f, c = doc_table(doc[a : a + n])
             g.append(int(group[a]))
-            blobs.append(B.pack(doc[a : a + n][f], c.astype(np.int32), B.gaps(pos[a : a + n], c)))
+            blobs.append(B.pack(doc[a : a + n][f], c.astype(np.int32), B.gaps(begin[a : a + n], c), (end - begin)[a : a + n].astype(np.int32)))
     return pa.table({"g": pa.array(g, pa.int64()), "blob": pa.array(blobs, pa.binary())})
 
 
-def _remove(length: int):
+def _remove():
     def run(groups: pa.Table, late: pa.Table) -> pa.Table:
         names = ["id", "n_bytes", "n_removed", "spans", "kept"]
         if not groups.num_rows:
             z = np.zeros(0, np.int64)
             return pa.table([pa.array([], pa.int64())] * 3 + [B.span_lists(z, z, z, 0), pa.array([], pa.binary())], names=names)
         group = Group(groups.column("blob")[0].as_py())
-        doc, pos = found_positions(late.column("blob").to_pylist())
+        parts = [B.unpack(x) for x in late.column("blob").to_pylist()]
+        doc, pos, wide = (np.concatenate([f(x) for x in parts]) if parts else np.zeros(0, np.int64) for f in (lambda x: np.repeat(x[0], x[1]), lambda x: B.ungaps(x[2], x[1].astype(np.int64)), lambda x: x[3].astype(np.int64)))
+        order = np.argsort(doc, kind="stable")
+        doc, pos, wide = doc[order], pos[order], wide[order]
         lo, hi = np.searchsorted(doc, group.ids, side="left"), np.searchsorted(doc, group.ids, side="right")
         count = np.where(group.known, hi - lo, 0)
         row = np.repeat(np.arange(len(group.ids)), count)
-        start = pos[B.ranges(lo, count)] + group.offs[row]
-        fits = start + length <= group.offs[row + 1]
-        start = start[fits]
-        gone = B.covered(start, start + length, len(group.raw))
+        at = B.ranges(lo, count)
+        start = np.minimum(pos[at] + group.offs[row], group.offs[row + 1])
+        gone = B.covered(start, np.minimum(start + wide[at], group.offs[row + 1]), len(group.raw))
         kept = np.concatenate(([0], np.cumsum(~gone)))
         a, z, owner = B.runs_by_text(gone, group.offs)
         size, n = np.diff(group.offs), np.diff(kept[group.offs])
@@ -423,7 +450,7 @@ def suffix_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     regions = groups.groupBy("g").cogroup(shared.groupBy("g")).applyInArrow(_send_regions(length, n_buckets), "bucket int, g long, blob binary")
     late = regions.groupBy("bucket").applyInArrow(_compare(length), "g long, blob binary")
     spans = "array<struct<start:long,end:long>>"
-    return groups.groupBy("g").cogroup(late.groupBy("g")).applyInArrow(_remove(length), f"id long, n_bytes long, n_removed long, spans {spans}, kept binary")
+    return groups.groupBy("g").cogroup(late.groupBy("g")).applyInArrow(_remove(), f"id long, n_bytes long, n_removed long, spans {spans}, kept binary")
 
 
 def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
