@@ -59,6 +59,18 @@ def fixed_plan(spark: SparkSession) -> Iterator[None]:
         spark.conf.set("spark.sql.adaptive.enabled", was)
 
 
+@contextlib.contextmanager
+def small_batches(spark: SparkSession, rows: int = 1000) -> Iterator[None]:
+    """Fewer rows in an Arrow batch while long texts go to Python: the batches are buffered on both sides."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    was = spark.conf.get(key)
+    spark.conf.set(key, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, was)
+
+
 def cut_dealt(df: DataFrame) -> DataFrame:
     """The rows checkpointed with the partitioning of their plan, for a plan that ends in, or keeps, an exchange."""
     shared_folder(df.sparkSession)
