@@ -6,6 +6,8 @@ Nothing here loops over words or bytes in Python. Working memory is bounded by
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -21,6 +23,13 @@ _MASK64 = (1 << 64) - 1
 SPACE_BYTES = (0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D)
 
 
+def release() -> None:
+    """Give memory that is free back to the machine: a Python worker otherwise keeps the most it ever used."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # only in the GNU C library
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def byte_table(separators: tuple[int, ...]) -> np.ndarray:
     table = np.ones(256, dtype=bool)
     table[list(separators)] = False
@@ -66,6 +75,20 @@ def chunks(batches: Iterator[pa.RecordBatch], text: str, limit: int = CHUNK_BYTE
             at = to
 
 
+def gathered(batches: Iterator[pa.RecordBatch], text: str, limit: int) -> Iterator[list[pa.RecordBatch]]:
+    """Lists of consecutive pieces of batches, each list of about `limit` bytes of text."""
+    held, size = [], 0
+    for piece in chunks(batches, text, limit):
+        n = int(text_block(piece.column(text))[1][-1])
+        if held and size + n > limit:
+            yield held
+            held, size = [], 0
+        held.append(piece)
+        size += n
+    if held:
+        yield held
+
+
 def words(raw: np.ndarray, offs: np.ndarray, table: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Starts and ends (byte positions) of all words and, by text, the offsets into them. No word spans two texts."""
     keep = table[raw]
@@ -199,6 +222,13 @@ def joined(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray, counts: np.nda
     return strings(out[whole], np.concatenate(([0], np.cumsum(lengths))))
 
 
+def without(raw: np.ndarray, offs: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> pa.Array:
+    """The texts without the bytes starts[i] .. ends[i]-1."""
+    keep = ~covered(starts, ends, len(raw))
+    kept = np.concatenate(([0], np.cumsum(keep)))
+    return strings(raw[keep], kept[offs])
+
+
 def strings(raw: np.ndarray, offs: np.ndarray) -> pa.Array:
     return pa.Array.from_buffers(pa.string(), len(offs) - 1, [None, pa.py_buffer(np.ascontiguousarray(offs, dtype=np.int32)), pa.py_buffer(np.ascontiguousarray(raw))])
 

@@ -125,7 +125,7 @@ def _apply(index, carry_text: bool):
             first, last, owner = B.runs_by_text(hit, by_text)
             spans = B.span_lists(first - by_text[owner], last - by_text[owner], owner, n)
             if carry_text:
-                clean = _without(piece.column("text"), starts, ends, first, last, owner)
+                clean = B.without(*B.text_block(piece.column("text")), starts[first], ends[last - 1])
             else:
                 clean = pa.nulls(n, pa.string())
             yield pa.RecordBatch.from_arrays(
@@ -136,14 +136,6 @@ def _apply(index, carry_text: bool):
     return run
 
 
-def _without(column: pa.Array, starts: np.ndarray, ends: np.ndarray, first: np.ndarray, last: np.ndarray, owner: np.ndarray) -> pa.Array:
-    """The texts without the bytes from the first to the last word of each run."""
-    raw, offs = B.text_block(column)
-    gone = B.covered(starts[first], ends[last - 1], len(raw))
-    kept = np.concatenate(([0], np.cumsum(~gone)))
-    return B.strings(raw[~gone], kept[offs])
-
-
 def decontaminate(
     docs: DataFrame,
     items: DataFrame,
@@ -237,7 +229,7 @@ def _merge(carry_text: bool):
             hit = B.covered(a, z, len(starts))
             before = np.concatenate(([0], np.cumsum(hit)))
             first, last, whose = B.runs_by_text(hit, by_text)
-            clean = _without(piece.column("text"), starts, ends, first, last, whose) if carry_text else pa.nulls(n, pa.string())
+            clean = B.without(*B.text_block(piece.column("text")), starts[first], ends[last - 1]) if carry_text else pa.nulls(n, pa.string())
             yield pa.RecordBatch.from_arrays(
                 [piece.column("id"), pa.array(np.diff(by_text), pa.int64()), pa.array(before[by_text[1:]] - before[by_text[:-1]], pa.int64()), inside.field("so_far"), B.span_lists(first - by_text[whose], last - by_text[whose], whose, n), clean, inside.field("carried")],
                 names=["id", "n_words", "n_hit", "items", "spans", "clean_text", "carried"],

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterable, Iterator, Sequence
 
 import numpy as np
@@ -19,9 +20,11 @@ from geocentra.llm.substring_dedup import _group
 ORDER = 5
 N_SHARDS = 64
 GROUP_BYTES = 8 << 20
-PIECE_BYTES = 2 << 20
+PIECE_BYTES = 1 << 19
 #: Per language, at most this many trusted texts train the model: the documented bound of the training sample.
 MAX_TRAINING_TEXTS = 4000
+#: Languages that get a model.
+MAX_LANGUAGES = 256
 
 
 def byte_grams(raw: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -167,12 +170,28 @@ def shard_scores(gram: np.ndarray, count: np.ndarray, low: LowOrders, asked: np.
     return np.log10(p)
 
 
+def _shrink(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for piece in B.chunks(batches, "text", PIECE_BYTES):
+        raw, offs = B.text_block(piece.column("text"))
+        z = [B.pack(raw[a:b]) for a, b in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
+        yield pa.RecordBatch.from_arrays([piece.column("id"), pa.array(z, pa.binary()), piece.column("lang"), piece.column("g"), piece.column("carried")], names=["id", "z", "lang", "g", "carried"])
+
+
+def _expanded(table: pa.Table) -> pa.Table:
+    """A group with its texts again; its size is bounded by GROUP_BYTES on average."""
+    texts = [B.unpack(z)[0] for z in table.column("z").to_pylist()]
+    offs = np.concatenate(([0], np.cumsum([len(t) for t in texts], dtype=np.int64)))
+    raw = np.concatenate(texts) if texts else np.zeros(0, np.uint8)
+    return table.drop_columns(["z"]).append_column("text", B.strings(raw, offs))
+
+
 def _ask_grams(table: pa.Table) -> pa.Table:
     """A group's distinct grams, to their shards."""
+    B.release()
     out = []
     if table.num_rows:
         g = table.column("g")[0].as_py()
-        for one, gram in _group_grams(table):
+        for one, gram in _group_grams(_expanded(table)):
             out += [(k, one, g, blob) for k, blob in _packed_rows(one, gram)]
     shard, lang, g, blob = zip(*out, strict=True) if out else ((), (), (), ())
     return pa.table({"shard": pa.array(shard, pa.int32()), "lang": pa.array(lang, pa.int64()), "g": pa.array(g, pa.int32()), "blob": pa.array(blob, pa.binary())})
@@ -193,6 +212,7 @@ def _answer(low: dict[int, LowOrders]):
     """Join of one shard's counts with all groups that asked it."""
 
     def run(model: pa.Table, asked: pa.Table) -> pa.Table:
+        B.release()
         g, lang, blob = asked.column("g"), asked.column("lang"), []
         counts = {}
         for one, b in zip(model.column("lang").to_pylist(), model.column("blob").to_pylist(), strict=True):
@@ -212,10 +232,12 @@ def _answer(low: dict[int, LowOrders]):
 
 def _score(docs: pa.Table, answers: pa.Table) -> pa.Table:
     """log10 probability of each text of a group; null where its language has no model."""
+    B.release()
     told: dict[int, dict[int, bytes]] = {}
     for one, k, b in zip(*(answers.column(c).to_pylist() for c in ("lang", "shard", "blob")), strict=True):
         told.setdefault(one, {})[k] = b
     tables: dict[int, tuple[np.ndarray, np.ndarray] | None] = {}
+    docs = _expanded(docs)
     for one, gram in _group_grams(docs) if docs.num_rows else ():
         got = told.get(one, {})
         if any(b is None for b in got.values()) or not got:
@@ -246,23 +268,22 @@ def _score(docs: pa.Table, answers: pa.Table) -> pa.Table:
     return pa.concat_tables(out)
 
 
-def score_texts(docs: DataFrame, trusted: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", carry: Sequence[str] = ()) -> DataFrame:
-    """id, n_tokens, score (log10 probability; null if the language has no trusted text) and carried, for every text.
+def score_texts(rows: DataFrame, trusted: DataFrame) -> DataFrame:
+    """For rows of id, text, lang (a 64-bit name) and carried: id, n_tokens, score (log10 probability), carried.
 
-    `trusted` holds texts (columns text, lang). The count table of the model is spread
-    over shards; groups of documents send each shard their distinct grams and are
-    answered in the same order.
+    The score is null if the language has no trusted text (`trusted`: text, lang). The
+    count table of the model is spread over shards; groups of documents send each shard
+    their distinct grams, which meet the shard's counts there and are answered in the
+    same order.
     """
-    spark = docs.sparkSession
-    lang = F.xxhash64(F.coalesce(F.col(lang_col).cast("string"), F.lit("")))
-    carried = F.struct(*[F.col(c) for c in carry]) if carry else F.struct(F.lit(True).alias("none"))
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"), lang.alias("lang"), carried.alias("carried"))
-    learn = trusted.select(F.xxhash64(F.coalesce(F.col("lang").cast("string"), F.lit(""))).alias("lang"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    counted = learn.mapInArrow(_count_grams, "shard int, lang long, blob binary").groupBy("shard", "lang").applyInArrow(_merge_counts, "shard int, lang long, kind int, key long, value long, blob binary")
+    counted = trusted.mapInArrow(_count_grams, "shard int, lang long, blob binary").groupBy("shard", "lang").applyInArrow(_merge_counts, "shard int, lang long, kind int, key long, value long, blob binary")
     model = cut(counted)
     low = _low_orders(model)
-    n_groups = parts_for(spark, text_bytes(rows, "text"), GROUP_BYTES)
-    grouped = rows.select("id", "text", "lang", "carried", _group(n_groups).alias("g"))
+    n_groups = parts_for(rows.sparkSession, text_bytes(rows, "text"), GROUP_BYTES)
+    # Texts are compressed before they are dealt to groups.
+    plain = rows.select("id", "text", "lang", "carried", _group(n_groups).alias("g"))
+    kinds = T.StructType([T.StructField("id", T.LongType()), T.StructField("z", T.BinaryType()), T.StructField("lang", T.LongType()), T.StructField("g", T.IntegerType()), T.StructField("carried", rows.schema["carried"].dataType)])
+    grouped = plain.mapInArrow(_shrink, kinds)
     asked = grouped.groupBy("g").applyInArrow(_ask_grams, "shard int, lang long, g int, blob binary")
     told = model.where("kind = 0").select("shard", "lang", "blob").groupBy("shard").cogroup(asked.groupBy("shard")).applyInArrow(_answer(low), "g int, lang long, shard int, blob binary")
     out = T.StructType([T.StructField("id", T.LongType()), T.StructField("n_tokens", T.LongType()), T.StructField("score", T.DoubleType()), T.StructField("carried", rows.schema["carried"].dataType)])
@@ -294,7 +315,6 @@ def classify(
     slack: float = 0.02,
     prior_tokens: int = 200,
     max_training_texts: int = MAX_TRAINING_TEXTS,
-    carry: Sequence[str] = (),
 ) -> DataFrame:
     """Judge every text by its perplexity under a model of trusted text of its language.
 
@@ -305,31 +325,43 @@ def classify(
     Smoothing adds `prior_tokens` tokens at the language's median rate, so that short
     texts are not rejected for a few rare letters.
 
-    Returns id, lang, n_tokens (bytes and one end), score (log10 probability),
-    perplexity, rate (smoothed -log10 a token), threshold, kept and carried (a struct of the
-    columns in `carry`). Languages without trusted text have no threshold and keep all.
+    Returns id, version (the xxhash64 of the text), lang, n_tokens (bytes and one end),
+    score (log10 probability), perplexity, rate (smoothed -log10 a token), threshold and
+    kept. Languages without trusted text have no threshold and keep all; so do all but
+    the MAX_LANGUAGES languages with most trusted texts, which bounds the model.
 
     Null texts are empty, a null language is a language of its own; null or repeated
     ids and repeated rows are judged row by row; empty tables are fine.
     """
-    trusted = labels.where((F.col("quality") == 1) & (F.coalesce(F.col("toxic"), F.lit(0)) == 0)).select(F.col("doc_id").cast("long").alias("trusted_id")).distinct()
-    half = F.pmod(F.xxhash64("trusted_id", F.lit(11)), F.lit(2))
-    place = docs.select(F.col(id_col).cast("long").alias("trusted_id"), F.coalesce(F.col(lang_col).cast("string"), F.lit("")).alias("lang"), F.col(text_col).alias("text"))
-    candidates = place.join(trusted.where(half == 0), "trusted_id").withColumn("mark", F.xxhash64("trusted_id", F.lit(13)))
-    # The bound: the least hashes of a language, found by an approximate quantile of the hash and so spread over all data.
-    sizes = candidates.groupBy("lang").agg(F.count(F.lit(1)).alias("n"))
-    share = F.least(F.lit(1.0), F.lit(float(max_training_texts)) / F.col("n"))
-    sample = candidates.join(sizes, "lang").where((F.shiftright("mark", 1).cast("double") / 2.0**63 + 0.5) <= share).select("text", "lang")
-    scored = cut(score_texts(docs, sample, id_col, text_col, lang_col, tuple(dict.fromkeys([*carry, lang_col]))).withColumn("lang", F.coalesce(F.col(f"carried.{lang_col}").cast("string"), F.lit(""))))
-    calibration = scored.join(trusted.where(half == 1).withColumnRenamed("trusted_id", "id"), "id").where("score is not null")
-    middle = calibration.groupBy("lang").agg(F.percentile_approx(-F.col("score") / F.col("n_tokens"), 0.5, 10000).alias("middle"))
-    rate = (-F.col("score") + prior_tokens * F.col("middle")) / (F.col("n_tokens") + prior_tokens)
-    limits = calibration.join(middle, "lang").groupBy("lang", "middle").agg((F.percentile_approx(rate, quantile, 100000) + slack).alias("threshold"))
-    judged = scored.join(limits, "lang", "left").withColumn("rate", rate)
-    return judged.select(
-        "id", F.col(f"carried.{lang_col}").alias("lang"), "n_tokens", "score", F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens")).alias("perplexity"), "rate", "threshold",
-        F.coalesce(F.col("rate") <= F.col("threshold"), F.lit(True)).alias("kept"), "carried",
-    )
+    trusted = labels.where((F.col("quality") == 1) & (F.coalesce(F.col("toxic"), F.lit(0)) == 0)).select(F.col("doc_id").cast("long").alias("id")).distinct()
+    name = F.xxhash64(F.coalesce(F.col(lang_col).cast("string"), F.lit("")))
+    text = F.col(text_col).cast("string")
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), text.alias("text"), name.alias("lang"), F.struct(name.alias("name"), F.col(lang_col).alias("lang"), F.xxhash64(text).alias("version")).alias("carried"))
+    half = F.pmod(F.xxhash64("id", F.lit(11)), F.lit(2))
+    # The bound on the sample: a share of each language by hash, and so spread over all data.
+    counted = rows.select("id", "lang").join(trusted.where(half == 0), "id").groupBy("lang").agg(F.count(F.lit(1)).alias("n"))
+    sizes = {r["lang"]: r["n"] for r in counted.orderBy(F.desc("n"), "lang").limit(MAX_LANGUAGES).collect()}
+    mark = F.pmod(F.xxhash64("id", F.lit(13)), F.lit(1 << 20))
+    chosen = F.lit(False)
+    for one, n in sizes.items():
+        chosen = chosen | ((F.col("lang") == one) & (mark < math.ceil((1 << 20) * min(1.0, max_training_texts / n))))
+    sample = rows.where(chosen & (half == 0)).select("id", "text", "lang").join(trusted, "id").select("text", "lang")
+    scored = cut(score_texts(rows, sample).select("id", "n_tokens", "score", "carried.*"))
+    # Per language: the usual rate of trusted texts, then the quantile of their smoothed rates. At most MAX_LANGUAGES rows.
+    calibration = scored.join(trusted.where(half == 1), "id").where("score is not null")
+    usual = {r["name"]: r["m"] for r in calibration.groupBy("name").agg(F.percentile_approx(-F.col("score") / F.col("n_tokens"), 0.5, 10000).alias("m")).collect()}
+    rate = (-F.col("score") + prior_tokens * _by_language(usual)) / (F.col("n_tokens") + prior_tokens)
+    limits = {r["name"]: r["t"] + slack for r in calibration.groupBy("name").agg(F.percentile_approx(rate, quantile, 100000).alias("t")).collect()} if usual else {}
+    judged = scored.withColumn("rate", rate).withColumn("threshold", _by_language(limits))
+    perplexity = F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens"))
+    return judged.select("id", "version", "lang", "n_tokens", "score", perplexity.alias("perplexity"), "rate", "threshold", F.coalesce(F.col("rate") <= F.col("threshold"), F.lit(True)).alias("kept"))
+
+
+def _by_language(values: dict[int, float]) -> Column:
+    """A number for each of a bounded set of languages, null for others."""
+    if not values:
+        return F.lit(None).cast("double")
+    return F.create_map(*[F.lit(x) for pair in values.items() for x in pair])[F.col("name")]
 
 
 def op3_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from geocentra.llm import blocks as B
 from geocentra.llm.components import connected_components
 from geocentra.llm.exchange import doc_table, slices
-from geocentra.llm.plan import cut, fixed_plan, load, parts_for, text_bytes
+from geocentra.llm.plan import cut, cut_dealt, load, parts_for, text_bytes
 
 PIECE_BYTES = 4 << 20
 BUCKET_BYTES = 16 << 20
@@ -176,6 +176,7 @@ def _padded(before: int, values: np.ndarray, after: int) -> pa.Array:
 
 def _meet(table: pa.Table) -> pa.Table:
     """One bucket of keys: links of each document to the smallest of its key, and the members of keys."""
+    B.release()
     key, doc, found = [], [], []
     for blob in table.column("blob").to_pylist():
         arrays = B.unpack(blob)
@@ -311,8 +312,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     involved = seen.select(F.col("a").alias("id")).unionByName(seen.where("b is not null").select(F.col("b").alias("id"))).distinct()
     chosen = one.join(involved, "id").select("id", "n", F.col("version").alias("chosen"), "minima")
     compressed = rows.where("id is not null").mapInArrow(_compress, "id long, version long, z binary").repartition(n_buckets, "id")
-    with fixed_plan(spark):
-        texts = cut(compressed.join(chosen, "id").where("version = chosen").dropDuplicates(["id"]).select("id", "n", "minima", "z"))
+    texts = cut_dealt(compressed.join(chosen, "id").where("version = chosen").dropDuplicates(["id"]).select("id", "n", "minima", "z"))
 
     def confirmed(pairs: DataFrame) -> DataFrame:
         """Of candidate pairs (a, b), those that the full sets confirm."""

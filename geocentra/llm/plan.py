@@ -2,14 +2,15 @@
 
 from __future__ import annotations
 
-import contextlib
 import math
-import tempfile
-from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from geocentra.plans.checkpoint import cut, cut_by, cut_dealt, shared_folder, small_batches
+
+__all__ = ["cut", "cut_by", "cut_dealt", "load", "parts_for", "shared_folder", "small_batches", "text_bytes"]
+
 
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
@@ -23,34 +24,3 @@ def text_bytes(docs: DataFrame, text: str) -> int:
 def parts_for(spark: SparkSession, size: int, each: int) -> int:
     """Enough parts that one holds about `each` bytes, and no fewer than the session's shuffle partitions."""
     return max(int(spark.conf.get("spark.sql.shuffle.partitions")), math.ceil(size / each))
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: the session's, and one of the machine only where none is set, as in tests."""
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="spark-checkpoint-"))
-    return sc.getCheckpointDir()
-
-
-def cut(df: DataFrame) -> DataFrame:
-    """The rows, written to the checkpoint folder that all executors share."""
-    shared_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
-
-
-@contextlib.contextmanager
-def fixed_plan(spark: SparkSession) -> Iterator[None]:
-    """Adaptive replanning off: a checkpoint then keeps the partitioning of its plan, and later joins need no shuffle of it."""
-    was = spark.conf.get("spark.sql.adaptive.enabled")
-    spark.conf.set("spark.sql.adaptive.enabled", "false")
-    try:
-        yield
-    finally:
-        spark.conf.set("spark.sql.adaptive.enabled", was)
-
-
-def cut_by(df: DataFrame, parts: int, key: str) -> DataFrame:
-    """The rows dealt to `parts` partitions by `key` and checkpointed, so that they stay dealt."""
-    with fixed_plan(df.sparkSession):
-        return cut(df.repartition(parts, key))

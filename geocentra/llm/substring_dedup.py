@@ -67,6 +67,7 @@ def _send_windows(width: int, n_buckets: int):
 
 def _judge(table: pa.Table) -> pa.Table:
     """One bucket of hashes: all but the earliest start of each; by group of documents."""
+    B.release()
     known, late = [], []
     for blob in table.column("blob").to_pylist():
         ids, group, count, gap, *h = B.unpack(blob)
@@ -125,8 +126,9 @@ def positions_of(ids: pa.Array, doc: np.ndarray, pos: np.ndarray) -> tuple[np.nd
     return np.repeat(np.arange(len(value)), count), pos[B.ranges(lo, count)]
 
 
-def _remove(width: int):
+def _remove(width: int, in_place: bool):
     def run(docs: pa.Table, late: pa.Table) -> pa.Table:
+        B.release()
         doc, pos = found_positions(late.column("blob").to_pylist())
         out = []
         for piece in B.chunks(docs.combine_chunks().to_batches(), "text", PIECE_BYTES):
@@ -148,7 +150,7 @@ def _remove(width: int):
                         "id": piece.column("id"),
                         "n_words": pa.array(total, pa.int64()),
                         "n_removed": pa.array(removed, pa.int64()),
-                        "kept_text": B.joined(raw, starts[~gone], ends[~gone], total - removed),
+                        "kept_text": B.without(raw, offs, starts[a], ends[z - 1]) if in_place else B.joined(raw, starts[~gone], ends[~gone], total - removed),
                         "spans": B.span_lists(a - by_doc[own], z - by_doc[own], own, n),
                         "carried": piece.column("carried"),
                     }
@@ -171,14 +173,15 @@ def _group(size: int):
     return F.pmod(F.when(F.col("id").isNull(), F.xxhash64("text")).otherwise(F.xxhash64("id")), F.lit(size)).cast("int")
 
 
-def substring_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 20, carry: Sequence[str] = ()) -> DataFrame:
+def substring_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 20, carry: Sequence[str] = (), in_place: bool = False) -> DataFrame:
     """Remove every word that a repeated window of `width` words covers.
 
     A window is removed if its word sequence also starts earlier: in a document of a
     smaller id, or earlier in the same document. Windows are judged on the input.
-    Returns id, n_words, n_removed, kept_text (kept words joined by one space), spans
-    (maximal removed word intervals) and carried (a struct of the columns in `carry`,
-    so that clashing names stay apart).
+    Returns id, n_words, n_removed, kept_text (kept words joined by one space; with
+    `in_place` the text as it was, but for what lies from the first to the last word of
+    each removed interval), spans (maximal removed word intervals) and carried (a
+    struct of the columns in `carry`, so that clashing names stay apart).
 
     Null or empty texts have no words. Rows without an id cannot be ordered: they lose
     nothing and protect nothing. Rows that repeat an id are versions of one document:
@@ -206,7 +209,7 @@ def substring_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
             T.StructField("carried", rows.schema["carried"].dataType),
         ]
     )
-    return rows.groupBy("g").cogroup(late.groupBy("g")).applyInArrow(_remove(width), out)
+    return rows.groupBy("g").cogroup(late.groupBy("g")).applyInArrow(_remove(width, in_place), out)
 
 
 def op1_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

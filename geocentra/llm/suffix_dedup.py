@@ -207,6 +207,7 @@ def _ask_anchors(length: int, n_buckets: int):
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for g, blob in zip(batch.column("g").to_pylist(), batch.column("blob").to_pylist(), strict=True):
+                B.release()
                 group = Group(blob)
                 _, h, doc, first = _by_hash(group, length)
                 if not len(first):
@@ -254,6 +255,7 @@ def _send_regions(length: int, n_buckets: int):
     """
 
     def run(groups: pa.Table, answers: pa.Table) -> pa.Table:
+        B.release()
         if not groups.num_rows or not answers.num_rows:
             return pa.Table.from_batches([requests([])])
         g, group = groups.column("g")[0].as_py(), Group(groups.column("blob")[0].as_py())
@@ -312,6 +314,7 @@ def _compare(length: int):
     """One bucket of regions: which starts of strings of `length` bytes also start in a smaller document."""
 
     def run(table: pa.Table) -> pa.Table:
+        B.release()
         parts, found = [], []
         for g, blob in zip(table.column("g").to_pylist(), table.column("blob").to_pylist(), strict=True):
             arrays = B.unpack(blob)
@@ -397,6 +400,7 @@ def _found(found: list[tuple[np.ndarray, ...]]) -> pa.Table:
 
 def _remove():
     def run(groups: pa.Table, late: pa.Table) -> pa.Table:
+        B.release()
         names = ["id", "n_bytes", "n_removed", "spans", "kept"]
         if not groups.num_rows:
             z = np.zeros(0, np.int64)
