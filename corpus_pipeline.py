@@ -1,5 +1,74 @@
-STAGES, ORACLE_SQL = [], None
+"""The corpus pipeline: five stages, each over all that the one before it kept."""
 
+from __future__ import annotations
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+import uuid
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from geocentra.llm.decontaminate import decontaminate
+from geocentra.llm.kneser_ney import classify
+from geocentra.llm.minhash import near_duplicates
+from geocentra.llm.packing import pack_best_fit
+from geocentra.llm.plan import load, shared_folder
+from geocentra.llm.substring_dedup import substring_dedup
+
+COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
+OTHERS = ["doc_id", "lang", "source", "n_chars"]
+
+
+def _again(got: DataFrame, text: str) -> DataFrame:
+    """The columns of documents from an operator's carried ones; a null text stays null if nothing was to be cut from it."""
+    return got.select("carried.doc_id", F.col(text).alias("text"), "carried.lang", "carried.source", F.length(text).cast("long").alias("n_chars"))
+
+
+def _same_text(docs: DataFrame, found: DataFrame) -> DataFrame:
+    """The rows of docs whose id and text are among those of `found` (id, version), nulls equal to nulls."""
+    wanted = found.select(F.col("id").alias("kept_id"), F.col("version").alias("kept_version")).distinct()
+    same = F.col("doc_id").cast("long").eqNullSafe(F.col("kept_id")) & (F.xxhash64(F.col("text").cast("string")) == F.col("kept_version"))
+    return docs.join(wanted, same, "left_semi").select(*COLUMNS)
+
+
+def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Rejected documents go. Judged by perplexity under trusted text of their language."""
+    return _same_text(docs, classify(docs, load(spark, sf_dir, "labels")).where("kept"))
+
+
+def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near copies stays, that of the smallest id; documents without an id all stay."""
+    named = _same_text(docs.where("doc_id is not null"), near_duplicates(docs, width=5, percent=80).where("kept and id is not null"))
+    if not docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).isEmpty():
+        named = named.dropDuplicates(["doc_id"])
+    return named.unionByName(docs.where("doc_id is null").select(*COLUMNS))
+
+
+def substrings(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Passages of 20 words and more that occur earlier are cut out of the text; every document stays."""
+    return _again(substring_dedup(docs, carry=OTHERS, in_place=True), "kept_text")
+
+
+def leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Passages of benchmark items, 10 words and more, are cut out of the text; every document stays."""
+    return _again(decontaminate(docs, load(spark, sf_dir, "benchmark"), carry=OTHERS, clean_text=True), "clean_text")
+
+
+def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All texts in bins of 2048 words, no two of one source or one text together."""
+    return pack_best_fit(docs).withColumnRenamed("id", "doc_id")
+
+
+STAGES = [("quality classifier", quality), ("near-dedup", near_dedup), ("substring dedup", substrings), ("decontamination", leaks), ("packing", packing)]
+
+# SQL cannot express the model of the first stage.
+ORACLE_SQL = None
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages over documents; what each returns is written as Parquet to the shared folder and read by the next."""
+    docs = load(spark, sf_dir, "documents")
+    folder = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
+    for k, (_, stage) in enumerate(STAGES):
+        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}")
+        docs = spark.read.parquet(f"{folder}/{k}")
+    return docs
