@@ -18,9 +18,9 @@ from pyspark.sql import functions as F
 
 from geocentra.llm import blocks as B
 from geocentra.llm.exchange import ask, asked_of, requests, slices
-from geocentra.llm.plan import cut, load, parts_for, text_bytes
+from geocentra.llm.plan import cut, cut_by, load, parts_for, small_batches, text_bytes
 
-PIECE_BYTES = 16 << 20
+PIECE_BYTES = 6 << 20
 BUCKET_BYTES = 24 << 20
 #: Good-Turing discounts counts up to this one; larger counts are trusted.
 TRUSTED = 5
@@ -32,9 +32,10 @@ END, BEGIN = np.uint64(1), np.uint64(2)
 def _tokenise(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Groups of texts: their words' hashes, and by text the words' places among these, in order of frequency."""
     task, k = TaskContext.get().partitionId(), 0
-    for piece in B.chunks(batches, "text", PIECE_BYTES):
+    for pieces in B.gathered(batches, "text", PIECE_BYTES):
+        B.release()
         parts = []
-        for small in B.chunks([piece], "text"):
+        for small in B.chunks(pieces, "text", 1 << 20):
             raw, offs = B.text_block(small.column("text"))
             raw = B.LOWER[raw]
             starts, ends, by_text = B.words(raw, offs, B.NON_SPACE)
@@ -50,9 +51,9 @@ def _tokenise(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rank = np.empty(len(order), np.uint32)
         rank[order] = np.arange(len(order), dtype=np.uint32)
         code = rank[code].view(np.uint8).reshape(-1, 4)
-        blob = B.pack(size.astype(np.int32), piece.column("held").to_numpy(zero_copy_only=False).astype(np.uint8), B.low_bytes(vocabulary[order]), *(np.ascontiguousarray(code[:, i]) for i in range(4)))
-        ids = piece.column("id")
-        yield pa.RecordBatch.from_arrays([pa.array([(task << 24) + k], pa.int64()), pa.array([blob], pa.binary()), pa.array([ids.to_pylist()], pa.list_(pa.int64()))], names=["g", "blob", "ids"])
+        blob = B.pack(size.astype(np.int32), np.concatenate([x.column("held").to_numpy(zero_copy_only=False) for x in pieces]).astype(np.uint8), B.low_bytes(vocabulary[order]), *(np.ascontiguousarray(code[:, i]) for i in range(4)))
+        ids = [i for x in pieces for i in x.column("id").to_pylist()]
+        yield pa.RecordBatch.from_arrays([pa.array([(task << 24) + k], pa.int64()), pa.array([blob], pa.binary()), pa.array([ids], pa.list_(pa.int64()))], names=["g", "blob", "ids"])
         k += 1
 
 
@@ -62,7 +63,7 @@ class Group:
     def __init__(self, blob: bytes):
         size, held, vocabulary, *planes = B.unpack(blob)
         self.size, self.held = size.astype(np.int64) + 1, held.astype(bool)
-        h = B.from_bytes(vocabulary)
+        h = B.mix(B.from_bytes(vocabulary))  # 56 bits, spread over 64 again
         order = np.argsort(h)
         place = np.empty(len(order), np.int64)
         place[order] = np.arange(len(order))
@@ -104,6 +105,7 @@ def _ask_counts(order: int, n_buckets: int):
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for g, blob in zip(batch.column("g").to_pylist(), batch.column("blob").to_pylist(), strict=True):
+                B.release()
                 group = Group(blob)
                 if order == 1:
                     h, n = group.vocabulary, np.bincount(group.word[group.train], minlength=len(group.vocabulary))
@@ -125,6 +127,7 @@ def _count(order: int):
 
     def run(table: pa.Table) -> pa.Table:
         asked = [asked_of(b) for b in table.column("blob").to_pylist()]
+        B.release()
         groups = table.column("g").to_numpy()
         bucket = table.column("bucket")[0].as_py()
         h = np.concatenate([a[0] for a in asked])
@@ -231,7 +234,7 @@ def _histories(group: Group, c: np.ndarray, model: Model) -> tuple[np.ndarray, n
     """Hashes of the words that can stand before another (ascending; the beginning is last), their counts, and an order."""
     h = np.concatenate((group.vocabulary, [BEGIN]))
     count = np.concatenate((c, [model.n_texts]))
-    count[:-1][group.vocabulary == END] = 0
+    count[:-1][group.vocabulary == B.mix(np.array([END]))] = 0
     h = B.mix(h)
     return h, count, np.argsort(h)
 
@@ -241,6 +244,7 @@ def _ask_weights(n_buckets: int, model: Model):
 
     def run(groups: pa.Table, answers: pa.Table) -> pa.Table:
         out = []
+        B.release()
         if groups.num_rows:
             g = groups.column("g")[0].as_py()
             group, got = Group(groups.column("blob")[0].as_py()), Answers(answers, n_buckets)
@@ -290,6 +294,7 @@ def _score(n_buckets: int, model: Model):
     kinds = [pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64()]
 
     def run(groups: pa.Table, answers: pa.Table) -> pa.Table:
+        B.release()
         if not groups.num_rows:
             return pa.table({n: pa.array([], k) for n, k in zip(names, kinds, strict=True)})
         group, got = Group(groups.column("blob")[0].as_py()), Answers(answers, n_buckets)
@@ -336,7 +341,8 @@ def katz_scores(docs: DataFrame, held_out: Column, id_col: str = "doc_id", text_
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(held_out, F.lit(False)).alias("held"), text.alias("text"))
     n_buckets = parts_for(spark, text_bytes(rows, "text"), BUCKET_BYTES)
-    groups = cut(rows.mapInArrow(_tokenise, "g long, blob binary, ids array<long>").repartition(n_buckets, "g"))
+    with small_batches(spark):
+        groups = cut_by(rows.mapInArrow(_tokenise, "g long, blob binary, ids array<long>"), n_buckets, "g")
     n_texts = rows.where(~F.col("held")).count()
     answers, stats = [], []
     for order in (1, 2):
