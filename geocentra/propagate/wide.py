@@ -1,0 +1,106 @@
+"""Counters as one row of p small columns: a round is one join and one aggregate of p maxima, all in generated code.
+
+The layout for rounds in which most registers rise. Registers are bytes; partial
+maxima come before the shuffle, so that an arc costs p bytes once and a receiver one
+row per map task. Sizes and registers equal those of the row layout bit for bit.
+"""
+
+from __future__ import annotations
+
+import time
+import uuid
+from dataclasses import dataclass, field
+from functools import reduce
+
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
+
+from geocentra.errors import ParameterError
+from geocentra.graph.model import Graph
+from geocentra.plans.checkpoint import cut_by, shared_folder
+from geocentra.propagate.balls import seed_items
+from geocentra.propagate.fixpoint import oriented
+from geocentra.sketch.registers import estimate, log2_registers, register_of
+
+#: Beyond this many columns generated code no longer compiles in one piece.
+MAX_REGISTERS = 256
+
+
+@dataclass
+class WideRun:
+    """As a BallRun: profile and final registers, and what each round cost."""
+
+    steps: DataFrame
+    last: DataFrame
+    p: int
+    runs: int
+    seconds: list[float] = field(default_factory=list)
+    truncated: bool = False
+
+    def profile(self) -> DataFrame:
+        return self.steps.select("node", "run", "t", estimate(F.col("s"), F.col("z"), self.p).alias("size"))
+
+    def registers(self) -> DataFrame:
+        """node, run, reg, rho of all registers that are not zero."""
+        columns = F.array(*[F.col(f"r{i}") for i in range(self.p)])
+        return self.last.select("node", "run", F.posexplode(columns).alias("reg", "rho")).where("rho > 0").select("node", "run", "reg", F.col("rho").cast("int").alias("rho"))
+
+    @property
+    def rounds(self) -> WideRun:
+        return self
+
+    def stats(self) -> DataFrame:
+        """t, changed_nodes, seconds."""
+        times = self.steps.sparkSession.createDataFrame(list(enumerate(self.seconds)), "t int, seconds double")
+        return self.steps.groupBy("t").agg(F.countDistinct("node").alias("changed_nodes")).join(times, "t", "left")
+
+
+def _sums(p: int) -> tuple[Column, Column]:
+    """Sum of 2**-rho and number of zero registers, over a table of powers; dyadic, so exact in any order."""
+    table = F.array(*[F.lit(2.0**-k) for k in range(64)])
+    s = reduce(lambda a, b: a + b, (F.get(table, F.col(f"r{i}").cast("int")) for i in range(p)))
+    z = reduce(lambda a, b: a + b, (F.when(F.col(f"r{i}") == 0, 1).otherwise(0) for i in range(p)))
+    return s, z
+
+
+def wide_balls(graph: Graph, p: int = 64, runs: int = 1, direction: str = "in", hash: str = "md5", weighted: bool = False, max_iter: int | None = None) -> WideRun:
+    """Ball sketches in the wide layout; parameters as those of ball_sketches."""
+    log2_registers(p)
+    if p > MAX_REGISTERS:
+        raise ParameterError(f"the wide layout has up to {MAX_REGISTERS} registers, not {p}")
+    spark = graph.arcs.sparkSession
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    names = [f"r{i}" for i in range(p)]
+    folder = f"{shared_folder(spark)}/wide-{uuid.uuid4().hex}"
+    schema = "node long, run int, " + ", ".join(f"{n} byte" for n in names) + ", changed boolean, t int, s double, z int"
+    arcs = cut_by(oriented(graph, direction), parts, "tx")
+
+    def written(df: DataFrame, t: int) -> DataFrame:
+        s, z = _sums(p)
+        df.select("node", "run", *names, "changed", F.lit(t).alias("t"), F.when(F.col("changed"), s).alias("s"), F.when(F.col("changed"), z).alias("z")).write.parquet(f"{folder}/round={t}")
+        return spark.read.schema(schema).parquet(f"{folder}/round={t}")
+
+    began = time.time()
+    reg, rho = register_of(F.col("text"), p, hash)
+    items = seed_items(graph, runs, weighted).select("node", "run", reg.alias("reg"), rho.alias("rho"))
+    first = [F.coalesce(F.max(F.when(F.col("reg") == i, F.col("rho"))), F.lit(0)).cast("byte").alias(n) for i, n in enumerate(names)]
+    state = written(items.groupBy("node", "run").agg(*first).withColumn("changed", F.lit(True)), 0)
+    t, seconds, truncated = 0, [time.time() - began], False
+    while True:
+        if max_iter is not None and t >= max_iter:
+            truncated = True
+            break
+        began = time.time()
+        t += 1
+        sent = state.where("changed").select(F.col("node").alias("tx"), "run", *names).join(arcs, "tx")
+        met = sent.groupBy(F.col("rx").alias("node"), "run").agg(*[F.max(n).alias(f"m{i}") for i, n in enumerate(names)])
+        both = state.select("node", "run", *names).join(met, ["node", "run"], "left")
+        rose = reduce(lambda a, b: a | b, (F.col(f"m{i}") > F.col(n) for i, n in enumerate(names)))
+        # greatest() passes over nulls, so a node that received nothing keeps its own.
+        then = written(both.select("node", "run", *[F.greatest(F.col(n), F.col(f"m{i}")).alias(n) for i, n in enumerate(names)], F.coalesce(rose, F.lit(False)).alias("changed")), t)
+        seconds.append(time.time() - began)
+        if then.where("changed").limit(1).isEmpty():
+            break
+        state = then
+    steps = spark.read.schema(schema).parquet(*[f"{folder}/round={k}" for k in range(t + (1 if truncated else 0))]).where("changed").select("node", "run", "t", "s", "z")
+    return WideRun(steps, state, p, runs, seconds[: t + (1 if truncated else 0)], truncated)

@@ -216,7 +216,11 @@ query("sample_nodes", f"WITH {S.graph('g1')} SELECT id AS node FROM nodes WHERE
 )
 
 _P9 = f"{S.sketch_counts('g9')}"
-_WT = Window.partitionBy("node").orderBy("t")
+
+
+def _by_time():
+    return Window.partitionBy("node").orderBy("t")
+
 
 
 def _profile(s, d):
@@ -224,25 +228,25 @@ def _profile(s, d):
 
 
 query("profile_lag", f"{_P9} SELECT node, t, round(size - coalesce(lag(size) OVER (PARTITION BY node ORDER BY t), 0), 6) AS grown FROM profile")(
-    lambda s, d: _profile(s, d).select("node", "t", F.round(F.col("size") - F.coalesce(F.lag("size").over(_WT), F.lit(0.0)), 6).alias("grown"))
+    lambda s, d: _profile(s, d).select("node", "t", F.round(F.col("size") - F.coalesce(F.lag("size").over(_by_time()), F.lit(0.0)), 6).alias("grown"))
 )
 query(
     "profile_lead_first_last",
     f"{_P9} SELECT node, t, round(lead(size) OVER w, 6) AS following, round(first_value(size) OVER w, 6) AS smallest, round(last_value(size) OVER u, 6) AS largest, round(nth_value(size, 2) OVER u, 6) AS second FROM profile WINDOW w AS (PARTITION BY node ORDER BY t), u AS (PARTITION BY node ORDER BY t ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)",
 )(
-    lambda s, d: (lambda u: rounded(_profile(s, d).select("node", "t", F.lead("size").over(_WT).alias("following"), F.first("size").over(_WT).alias("smallest"), F.last("size").over(u).alias("largest"), F.nth_value("size", 2).over(u).alias("second")), ["following", "smallest", "largest", "second"]))(
-        _WT.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    lambda s, d: (lambda u: rounded(_profile(s, d).select("node", "t", F.lead("size").over(_by_time()).alias("following"), F.first("size").over(_by_time()).alias("smallest"), F.last("size").over(u).alias("largest"), F.nth_value("size", 2).over(u).alias("second")), ["following", "smallest", "largest", "second"]))(
+        _by_time().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     )
 )
 _C9 = f"{S.exact_counts('g9')}"
 query("running_ball_size", f"{_C9} SELECT node, t, sum(n) OVER (PARTITION BY node ORDER BY t ROWS UNBOUNDED PRECEDING) AS size FROM counts")(
-    lambda s, d: counts_of(s, d, "g9").select("node", "t", F.sum("n").over(_WT.rowsBetween(Window.unboundedPreceding, 0)).alias("size"))
+    lambda s, d: counts_of(s, d, "g9").select("node", "t", F.sum("n").over(_by_time().rowsBetween(Window.unboundedPreceding, 0)).alias("size"))
 )
 query("moving_gain", f"{_C9} SELECT node, t, round(avg(n / (t + 1)) OVER (PARTITION BY node ORDER BY t ROWS BETWEEN 1 PRECEDING AND 1 FOLLOWING), 6) AS gain FROM counts")(
-    lambda s, d: counts_of(s, d, "g9").select("node", "t", F.round(F.avg(F.col("n") / (F.col("t") + 1)).over(_WT.rowsBetween(-1, 1)), 6).alias("gain"))
+    lambda s, d: counts_of(s, d, "g9").select("node", "t", F.round(F.avg(F.col("n") / (F.col("t") + 1)).over(_by_time().rowsBetween(-1, 1)), 6).alias("gain"))
 )
 query("range_frame_distance", f"{_C9} SELECT node, t, sum(n) OVER (PARTITION BY node ORDER BY t RANGE BETWEEN 2 PRECEDING AND CURRENT ROW) AS near FROM counts")(
-    lambda s, d: counts_of(s, d, "g9").select("node", "t", F.sum("n").over(_WT.rangeBetween(-2, 0)).alias("near"))
+    lambda s, d: counts_of(s, d, "g9").select("node", "t", F.sum("n").over(_by_time().rangeBetween(-2, 0)).alias("near"))
 )
 
 # --- scalar, array, map, JSON, date functions ----------------------------------------------
