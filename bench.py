@@ -18,6 +18,7 @@ from geocentra.graph import views  # noqa: E402
 from geocentra.graph.generators import kronecker  # noqa: E402
 from geocentra.propagate.balls import ball_sketches, pattern_balls  # noqa: E402
 from geocentra.propagate.exact import exact_pairs  # noqa: E402
+from geocentra.propagate.wide import wide_balls  # noqa: E402
 
 SF = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = int(os.environ.get("BENCH_CPUS", "8"))
@@ -51,8 +52,9 @@ def main() -> None:
     views.graph(spark, SF, "g5").arcs.count()  # warm up
     g1 = views.graph(spark, SF, "g1")
     for p in (16, 64, 256):
-        measured(f"balls_parts_p{p}", g1, lambda g, p=p: ball_sketches(g, p=p))
-    measured("balls_customer_supplier_p64", views.graph(spark, SF, "g3").symmetrise(), lambda g: ball_sketches(g, p=64))
+        measured(f"balls_parts_p{p}", g1, lambda g, p=p: wide_balls(g, p=p))
+    measured("balls_parts_rows_p16", g1, lambda g: ball_sketches(g, p=16))
+    measured("balls_customer_supplier_p64", views.graph(spark, SF, "g3").symmetrise(), lambda g: wide_balls(g, p=64))
     measured("balls_sparse_parts_p64", views.graph(spark, SF, "g2"), lambda g: ball_sketches(g, p=64))
     hand = views.graph(spark, SF, "g4")
     measured("balls_handoff_p64", hand, lambda g: ball_sketches(g, p=64))

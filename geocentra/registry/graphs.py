@@ -16,6 +16,7 @@ from geocentra.graph.generators import kronecker
 from geocentra.graph.model import Graph, graph_stats, indegree
 from geocentra.propagate.balls import ball_sketches, pattern_balls
 from geocentra.propagate.exact import ads_estimate, all_distances_sketch, exact_pairs, sampled_bfs
+from geocentra.propagate.wide import wide_balls
 from geocentra.registry import sql as S
 from geocentra.sketch.native import native_balls
 from geocentra.sketch.packed import packed_balls
@@ -270,6 +271,7 @@ def packed_g2(spark, d):
     return packed_balls(views.graph(spark, d, "g2"), p=64)
 
 
+query("wide_g5", f"{S.sketch_counts('g5')} SELECT node, t, round(size, 6) AS size FROM profile")(lambda spark, d: rounded(wide_balls(views.graph(spark, d, "g5")).profile().drop("run"), ["size"]))
 query("native_sketch_g2")(lambda spark, d: native_balls(views.graph(spark, d, "g2"), lg_k=6))
 
 

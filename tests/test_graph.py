@@ -12,6 +12,7 @@ from geocentra.graph.components import giant_share, strong_components, weak_comp
 from geocentra.graph.model import Graph, degrees, graph_stats, scale_weights
 from geocentra.propagate.balls import ball_sketches, pattern_balls
 from geocentra.propagate.exact import ads_estimate, all_distances_sketch, exact_pairs
+from geocentra.propagate.wide import wide_balls
 from geocentra.sketch.packed import pack_registers, packed_balls, unpack_registers
 from geocentra.sketch.registers import alpha, hll_count, log2_registers, md5_bits, register_bits, register_of
 
@@ -132,6 +133,9 @@ def test_delta_full_packed_agree(spark):
     rows = sorted(map(tuple, delta.registers().select("node", "reg", "rho").collect()))
     assert rows == sorted(map(tuple, full.registers().select("node", "reg", "rho").collect()))
     assert rows == sorted(map(tuple, packed_balls(graph).collect()))
+    wide = wide_balls(graph, p=16)
+    assert sorted(map(tuple, wide.profile().collect())) == sorted(map(tuple, ball_sketches(graph, p=16).profile().collect()))
+    assert wide_balls(graph, p=16, max_iter=1).truncated
     again = unpack_registers(pack_registers(delta.registers().drop("run"), 64), 64)
     assert rows == sorted(map(tuple, again.collect()))
     runs = ball_sketches(graph, runs=2).registers().where("run = 0").select("node", "reg", "rho")
