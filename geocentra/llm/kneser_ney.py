@@ -25,6 +25,9 @@ PIECE_BYTES = 1 << 19
 MAX_TRAINING_TEXTS = 4000
 #: Languages that get a model.
 MAX_LANGUAGES = 256
+#: A threshold comes from texts within 0, 1 or 2 doublings of a length: the narrowest with so many, else from all of the language.
+MIN_CALIBRATION = 30
+WIDTHS = (0, 1, 2)
 
 
 def byte_grams(raw: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -313,21 +316,20 @@ def classify(
     lang_col: str = "lang",
     quantile: float = 0.999,
     slack: float = 0.02,
-    prior_tokens: int = 200,
     max_training_texts: int = MAX_TRAINING_TEXTS,
 ) -> DataFrame:
     """Judge every text by its perplexity under a model of trusted text of its language.
 
     `labels` (doc_id, quality, toxic) names trusted documents: quality 1 and not toxic.
     Half of them, by a hash of the id, train the model (at most `max_training_texts` a
-    language, those with the least hashes); the other half set the language's
-    threshold, the given quantile of their smoothed log perplexity, plus `slack`.
-    Smoothing adds `prior_tokens` tokens at the language's median rate, so that short
-    texts are not rejected for a few rare letters.
+    language, those with the least hashes); the other half set the thresholds, the
+    given quantile of the log perplexity of those of about the same length, plus
+    `slack`: rates of short texts vary more, and are allowed to. There is no lower
+    threshold, as trained texts and their copies have low perplexity too.
 
     Returns id, version (the xxhash64 of the text), lang, n_tokens (bytes and one end),
-    score (log10 probability), perplexity, rate (smoothed -log10 a token), threshold and
-    kept. Languages without trusted text have no threshold and keep all; so do all but
+    score (log10 probability), perplexity, rate (-log10 a token), threshold and
+    kept. Empty texts are kept. Languages without trusted text have no threshold and keep all; so do all but
     the MAX_LANGUAGES languages with most trusted texts, which bounds the model.
 
     Null texts are empty, a null language is a language of its own; null or repeated
@@ -347,21 +349,27 @@ def classify(
         chosen = chosen | ((F.col("lang") == one) & (mark < math.ceil((1 << 20) * min(1.0, max_training_texts / n))))
     sample = rows.where(chosen & (half == 0)).select("id", "text", "lang").join(trusted, "id").select("text", "lang")
     scored = cut(score_texts(rows, sample).select("id", "n_tokens", "score", "carried.*"))
-    # Per language: the usual rate of trusted texts, then the quantile of their smoothed rates. At most MAX_LANGUAGES rows.
-    calibration = scored.join(trusted.where(half == 1), "id").where("score is not null")
-    usual = {r["name"]: r["m"] for r in calibration.groupBy("name").agg(F.percentile_approx(-F.col("score") / F.col("n_tokens"), 0.5, 10000).alias("m")).collect()}
-    rate = (-F.col("score") + prior_tokens * _by_language(usual)) / (F.col("n_tokens") + prior_tokens)
-    limits = {r["name"]: r["t"] + slack for r in calibration.groupBy("name").agg(F.percentile_approx(rate, quantile, 100000).alias("t")).collect()} if usual else {}
-    judged = scored.withColumn("rate", rate).withColumn("threshold", _by_language(limits))
-    perplexity = F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens"))
-    return judged.select("id", "version", "lang", "n_tokens", "score", perplexity.alias("perplexity"), "rate", "threshold", F.coalesce(F.col("rate") <= F.col("threshold"), F.lit(True)).alias("kept"))
-
-
-def _by_language(values: dict[int, float]) -> Column:
-    """A number for each of a bounded set of languages, null for others."""
-    if not values:
-        return F.lit(None).cast("double")
-    return F.create_map(*[F.lit(x) for pair in values.items() for x in pair])[F.col("name")]
+    rate = -F.col("score") / F.col("n_tokens")
+    judged = scored.withColumn("rate", rate).withColumn("octave", _octave(F.col("n_tokens")))
+    limits = F.broadcast(_thresholds(judged.join(trusted.where(half == 1), "id").where("score is not null"), quantile, slack))
+    told = judged.join(limits, ["name", "octave"], "left")
+    perplexity = F.pow(F.lit(10.0), rate)
+    kept = F.coalesce((F.col("rate") <= F.col("threshold")) | (F.col("n_tokens") <= 1), F.lit(True))
+    return told.select("id", "version", "lang", "n_tokens", "score", perplexity.alias("perplexity"), "rate", "threshold", kept.alias("kept"))
+
+
+def _octave(n_tokens: Column) -> Column:
+    return F.floor(F.log2(n_tokens)).cast("int")
+
+
+def _thresholds(calibration: DataFrame, quantile: float, slack: float) -> DataFrame:
+    """name, octave, threshold: for every length of every language of `calibration` (name, octave, rate), at most 64 rows a language."""
+    near = [F.struct(F.lit(w).alias("w"), (F.col("octave") + k).alias("o")) for w in WIDTHS for k in range(-w, w + 1)]
+    spread = calibration.select("name", "rate", F.explode(F.array(*near, F.struct(F.lit(-1).alias("w"), F.lit(0).alias("o")))).alias("x")).select("name", "rate", "x.*")
+    found = spread.groupBy("name", "w", "o").agg(F.count(F.lit(1)).alias("n"), F.percentile_approx("rate", quantile, 100000).alias("t"))
+    at = {(r["name"], r["w"], r["o"]): r["t"] for r in found.where((F.col("w") < 0) | (F.col("n") >= MIN_CALIBRATION)).collect()}
+    rows = [(name, o, slack + next(at[k] for k in [*((name, w, o) for w in WIDTHS), (name, -1, 0)] if k in at)) for name in sorted({k[0] for k in at}) for o in range(64)]
+    return calibration.sparkSession.createDataFrame(rows, "name long, octave int, threshold double")
 
 
 def op3_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
