@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from geocentra.llm.decontaminate import decontaminate
 from geocentra.llm.kneser_ney import classify
 from geocentra.llm.minhash import near_duplicates
-from geocentra.llm.packing import pack_best_fit
+from geocentra.llm.packing import near_cluster_names, pack_best_fit
 from geocentra.llm.plan import load, shared_folder
 from geocentra.llm.substring_dedup import substring_dedup
 
@@ -54,8 +54,8 @@ def leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All texts in bins of 2048 words, no two of one source or one text together."""
-    return pack_best_fit(docs).withColumnRenamed("id", "doc_id")
+    """All texts in bins of 2048 words, no two of one source or two near copies together."""
+    return pack_best_fit(docs, clusters=near_cluster_names(docs)).withColumnRenamed("id", "doc_id")
 
 
 STAGES = [("quality classifier", quality), ("near-dedup", near_dedup), ("substring dedup", substrings), ("decontamination", leaks), ("packing", packing)]

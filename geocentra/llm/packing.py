@@ -7,6 +7,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from geocentra.llm.minhash import near_duplicates
 from geocentra.llm.plan import load, parts_for
 
 GROUP_ROWS = 2048
@@ -126,13 +127,15 @@ def word_count(text: Column) -> Column:
 
 
 def pack_best_fit(
-    docs: DataFrame, capacity: int = 2048, id_col: str = "doc_id", text_col: str = "text", source_col: str | None = "source", n_tokens: Column | None = None, cluster: Column | None = None, group_rows: int = GROUP_ROWS
+    docs: DataFrame, capacity: int = 2048, id_col: str = "doc_id", text_col: str = "text", source_col: str | None = "source", n_tokens: Column | None = None, cluster: Column | None = None, group_rows: int = GROUP_ROWS, clusters: DataFrame | None = None
 ) -> DataFrame:
     """Pack texts into bins of `capacity` tokens, best fit by decreasing length.
 
     No bin holds two texts of one source, nor two of one duplicate cluster. `n_tokens`
     is a column of lengths (default: words) and `cluster` one of cluster names
-    (default: a hash of the text). A text longer than a bin is cut into pieces of full
+    (default: a hash of the text). `clusters` (id, version, component; see
+    near_cluster_names) names the clusters of texts by id and hash of the text, and goes
+    before `cluster`. A text longer than a bin is cut into pieces of full
     bins and a rest. Returns one row a piece: id, piece, first_token, n_tokens, bin,
     slot, start (the piece's place in the bin), source, cluster.
 
@@ -151,12 +154,33 @@ def pack_best_fit(
         (F.col(source_col).cast("string") if source_col else F.lit(None).cast("string")).alias("source"),
         (cluster if cluster is not None else F.when(F.length(text) > 0, F.xxhash64(text))).cast("long").alias("cluster"),
         F.xxhash64(id_col, text_col).alias("order"),
+        F.xxhash64(F.col(text_col).cast("string")).alias("version"),
     )
+    if clusters is not None:
+        rows = _renamed(rows, clusters)
     n_groups = parts_for(spark, docs.count(), group_rows)
-    return rows.withColumn("g", F.pmod("order", F.lit(n_groups)).cast("int")).groupBy("g").applyInArrow(
+    return rows.drop("version").withColumn("g", F.pmod("order", F.lit(n_groups)).cast("int")).groupBy("g").applyInArrow(
         _pack(capacity), "id long, piece long, first_token long, n_tokens long, bin long, slot long, start long, source string, cluster long"
     )
 
 
+def near_cluster_names(docs: DataFrame) -> DataFrame:
+    """id, version, component: the groups of near copies (five words, similarity 0.8), exact copies included."""
+    return near_duplicates(docs, width=5, percent=80).where("id is not null and n_shingles > 0").select("id", "version", "component")
+
+
+def _renamed(rows: DataFrame, clusters: DataFrame) -> DataFrame:
+    """Rows with their clusters: by id and version; if these are not named, by version alone, and else as they are.
+
+    Rows already named ask for a version by a hash of their own, so that no version has many rows in the second join.
+    """
+    by_text = clusters.groupBy("version").agg(F.min("component").alias("same")).withColumnRenamed("version", "asked")
+    named = rows.join(clusters.dropDuplicates(["id"]), ["id", "version"], "left")
+    asked = F.when(F.col("component").isNull() & F.col("cluster").isNotNull(), F.col("version")).otherwise(F.xxhash64("order", F.lit(17)))
+    found = named.withColumn("asked", asked).join(by_text, "asked", "left")
+    return found.withColumn("cluster", F.coalesce("component", F.when(F.col("cluster").isNotNull() & (F.col("asked") == F.col("version")), F.col("same")), "cluster")).drop("component", "asked", "same")
+
+
 def op5_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pack_best_fit(load(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
+    docs = load(spark, sf_dir, "documents")
+    return pack_best_fit(docs, clusters=near_cluster_names(docs)).withColumnRenamed("id", "doc_id")

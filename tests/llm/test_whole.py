@@ -1,8 +1,9 @@
 """Cases of the training-data operators that bounds used to leave out."""
 
 import random
+from collections import Counter
 
-from geocentra.llm import kneser_ney
+from geocentra.llm import kneser_ney, packing
 
 SYLLABLES = ["an", "ber", "co", "del", "er", "fin", "ga"]
 
@@ -28,3 +29,23 @@ def test_classifier_limits_go_by_length(spark):
     got = {r["id"]: r["kept"] for r in kneser_ney.classify(docs, labels).collect()}
     assert not any(got[400 + i] for i in range(20))
     assert sum(got[i] for i in range(400)) >= 392
+
+
+def test_near_copies_share_no_bin(spark):
+    rng = random.Random(7)
+    base = prose(rng, 120).split()
+    rows = []
+    for i in range(30):
+        changed = list(base)
+        changed[4 * i] = "zz"
+        rows.append((i, " ".join(changed), f"s{i}"))
+    rows += [(100 + i, prose(rng, 120), f"t{i}") for i in range(30)]
+    # A repeated id with a text of its own, a row without an id, and texts without words.
+    rows += [(5, " ".join(base), "u0"), (None, rows[0][1], "u1"), (200, "", "u2"), (201, None, "u3")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = packing.pack_best_fit(docs, capacity=600, group_rows=1 << 20, clusters=packing.near_cluster_names(docs).coalesce(1)).collect()
+    assert len(got) == len(rows)
+    near = Counter(r["bin"] for r in got if r["id"] is None or r["id"] < 100)
+    assert len({r["cluster"] for r in got if r["source"] in {f"s{i}" for i in range(30)} | {"u1"} and r["id"] != 5}) == 1
+    assert max(near[r["bin"]] for r in got if r["source"].startswith("s") and r["id"] != 5) <= 2
+    assert max(Counter((r["bin"], r["cluster"]) for r in got if r["cluster"] is not None).values()) == 1
