@@ -2,11 +2,19 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from collections.abc import Iterable, Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from geocentra.errors import ParameterError
 from geocentra.graph.model import Graph
+from geocentra.sketch.registers import md5_bits
+
+#: A draw is a hash modulo this.
+_DRAWS = 1 << 30
 
 
 def _graph(arcs: DataFrame, spark: SparkSession, n: int) -> Graph:
@@ -41,24 +49,48 @@ def grid(spark: SparkSession, rows: int, columns: int) -> Graph:
     return _graph(right.unionByName(down), spark, rows * columns)
 
 
-def kronecker(spark: SparkSession, initiator: list[list[float]], k: int, arcs: int, seed: int = 0) -> Graph:
+def _mixed(x: np.ndarray) -> np.ndarray:
+    """A bijective scrambling of 64-bit values (the public splitmix64 finaliser)."""
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+def _draws(bounds: list[int], s: int, k: int, seed: int):
+    """Arcs by number -> their ends: k cells each, from hashes of (seed, number, level)."""
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            h = _mixed(batch.column("id").to_numpy().astype(np.uint64) + np.uint64(seed * 0x9E3779B97F4A7C15 % (1 << 64)))
+            src, dst = np.zeros(len(h), np.int64), np.zeros(len(h), np.int64)
+            for level in range(1, k + 1):
+                cell = np.searchsorted(bounds, (_mixed(h + np.uint64(level)) % np.uint64(_DRAWS)).astype(np.int64), side="right")
+                src, dst = src * s + cell // s, dst * s + cell % s
+            yield pa.RecordBatch.from_arrays([pa.array(src), pa.array(dst)], names=["src", "dst"])
+
+    return run
+
+
+def kronecker(spark: SparkSession, initiator: list[list[float]], k: int, arcs: int, seed: int = 0, portable: bool = False) -> Graph:
     """A stochastic Kronecker graph of s**k nodes: each arc draws k cells of the s x s initiator.
 
     Every draw is a hash of (seed, arc, level), so that the graph does not depend on
-    the partitioning. Repeats and loops go, so there are somewhat fewer arcs.
+    the partitioning; a `portable` graph draws from md5 and is the same in any engine.
+    Repeats and loops go, so there are somewhat fewer arcs.
     """
     s = len(initiator)
     flat = [float(x) for row in initiator for x in row]
     if s < 2 or any(len(row) != s for row in initiator) or min(flat) < 0 or sum(flat) <= 0:
         raise ParameterError("initiator must be a square of at least 2 x 2 non-negative numbers")
-    total, bounds = 0.0, []
-    for x in flat:
-        total += x / sum(flat)
-        bounds.append(total)
-    cell = lambda u: sum((F.when(u >= b, 1).otherwise(0) for b in bounds[:-1]), F.lit(0))
-    draw = lambda level: F.pmod(F.xxhash64("id", level, F.lit(seed)), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    cells = F.transform(F.sequence(F.lit(1), F.lit(k)), lambda level: cell(draw(level)))
-    drawn = spark.range(arcs).select(cells.alias("cells"))
-    value = lambda part: F.aggregate("cells", F.lit(0).cast("long"), lambda acc, c: acc * s + part(c))
-    ends = drawn.select(value(lambda c: F.floor(c / s)).alias("src"), value(lambda c: c % s).alias("dst"))
+    bounds = [round(sum(flat[: i + 1]) / sum(flat) * _DRAWS) for i in range(len(flat) - 1)]
+    if not portable:
+        return _graph(spark.range(arcs).mapInArrow(_draws(bounds, s, k, seed), "src long, dst long").where("src <> dst").distinct(), spark, s**k)
+
+    def cell(level: int) -> Column:
+        u = F.pmod(md5_bits(F.concat_ws(":", F.lit(seed), F.col("id").cast("string"), F.lit(level))), F.lit(_DRAWS))
+        return sum((F.when(u >= b, 1).otherwise(0) for b in bounds), F.lit(0))
+
+    drawn = spark.range(arcs).select(F.array(*[cell(level) for level in range(1, k + 1)]).alias("cells"))
+    end = lambda part: F.aggregate("cells", F.lit(0).cast("long"), lambda acc, c: acc * s + part(c))
+    ends = drawn.select(end(lambda c: F.floor(c / s)).alias("src"), end(lambda c: c % s).alias("dst"))
     return _graph(ends.where("src <> dst").distinct(), spark, s**k)

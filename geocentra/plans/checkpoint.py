@@ -10,28 +10,33 @@ from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 
+from geocentra.errors import ParameterError
+
 
 def shared_folder(spark: SparkSession) -> str:
-    """The session's checkpoint folder; one of the machine only where none is set, as in tests."""
+    """The session's checkpoint folder. A folder of the machine serves only where the driver is the only machine, as in tests."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="spark-checkpoint-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if folder is None and not sc.master.startswith("local"):
+            raise ParameterError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="spark-checkpoint-"))
     return sc.getCheckpointDir()
 
 
 _FOLDERS: dict[str, str] = {}
 
 
-def _own_folder(spark: SparkSession) -> str:
+def own_folder(spark: SparkSession) -> str:
     """A folder of this driver's inside the shared one, deleted when the driver ends."""
     app = spark.sparkContext.applicationId
     if app not in _FOLDERS:
         _FOLDERS[app] = f"{shared_folder(spark)}/tables-{uuid.uuid4().hex}"
-        atexit.register(_delete, spark, _FOLDERS[app])
+        atexit.register(delete_folder, spark, _FOLDERS[app])
     return _FOLDERS[app]
 
 
-def _delete(spark: SparkSession, folder: str) -> None:
+def delete_folder(spark: SparkSession, folder: str) -> None:
     with contextlib.suppress(Exception):  # the session may have ended first
         jvm = spark.sparkContext._jvm
         path = jvm.org.apache.hadoop.fs.Path(folder)
@@ -43,7 +48,7 @@ def cut(df: DataFrame) -> DataFrame:
 
     (A checkpoint would compute its last stage twice.)
     """
-    path = f"{_own_folder(df.sparkSession)}/{uuid.uuid4().hex}"
+    path = f"{own_folder(df.sparkSession)}/{uuid.uuid4().hex}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 

@@ -76,12 +76,16 @@ def ball_sketches(graph: Graph, p: int = 64, runs: int = 1, direction: str = "in
     Distances are those of other nodes to a node (direction="in") or from it ("out").
     All runs share one scan of the arcs in a round. Run k is seeded with k.
     """
+    return BallRun(fixpoint(rank_seeds(graph, p, runs, hash, weighted), graph, MAXIMUM, direction, propagation, max_iter), p, runs)
+
+
+def rank_seeds(graph: Graph, p: int, runs: int = 1, hash: str = "md5", weighted: bool = False) -> DataFrame:
+    """node, run, item, value: the register and rank with which each counter starts."""
     log2_registers(p)
     if runs < 1:
         raise ParameterError(f"runs must be at least 1, not {runs}")
     reg, rho = register_of(F.col("text"), p, hash)
-    seeds = seed_items(graph, runs, weighted).select("node", "run", reg.alias("item"), rho.alias("value"))
-    return BallRun(fixpoint(seeds, graph, MAXIMUM, direction, propagation, max_iter), p, runs)
+    return seed_items(graph, runs, weighted).select("node", "run", reg.alias("item"), rho.alias("value"))
 
 
 def pattern_balls(graph: Graph, patterns: int = 32, runs: int = 1, direction: str = "in", averaging: str = "independent", propagation: str = "full", max_iter: int | None = None) -> BallRun:
@@ -90,18 +94,21 @@ def pattern_balls(graph: Graph, patterns: int = 32, runs: int = 1, direction: st
     averaging="independent" puts every item into every pattern (each with a hash of its
     own); "stochastic" puts it into one.
     """
+    seeds, kind = pattern_seeds(graph, patterns, runs, averaging)
+    return BallRun(fixpoint(seeds, graph, BITS, direction, propagation, max_iter), patterns, runs, kind)
+
+
+def pattern_seeds(graph: Graph, patterns: int, runs: int = 1, averaging: str = "independent") -> tuple[DataFrame, str]:
+    """node, run, item, value: the patterns with which each counter starts; and how sizes are read off them."""
     items = seed_items(graph, runs, False)
     if averaging == "independent":
         each = items.select("node", "run", "text", F.explode(F.sequence(F.lit(0), F.lit(patterns - 1))).alias("item"))
         h = md5_bits(F.concat_ws(":", "text", F.concat(F.lit("k"), F.col("item").cast("string"))))
-        seeds = each.select("node", "run", "item", _bit(rank(h, MD5_BITS)).alias("value"))
-    elif averaging == "stochastic":
+        return each.select("node", "run", "item", _bit(rank(h, MD5_BITS)).alias("value")), "fm"
+    if averaging == "stochastic":
         reg, rho = register_of(F.col("text"), max(16, patterns), "md5")
-        seeds = items.select("node", "run", (reg % patterns).alias("item"), _bit(rho).alias("value"))
-    else:
-        raise ParameterError(f"averaging must be 'independent' or 'stochastic', not {averaging!r}")
-    kind = "fm" if averaging == "independent" else "fm_stochastic"
-    return BallRun(fixpoint(seeds, graph, BITS, direction, propagation, max_iter), patterns, runs, kind)
+        return items.select("node", "run", (reg % patterns).alias("item"), _bit(rho).alias("value")), "fm_stochastic"
+    raise ParameterError(f"averaging must be 'independent' or 'stochastic', not {averaging!r}")
 
 
 def _bit(rho: F.Column) -> F.Column:
