@@ -89,7 +89,7 @@ class PackedRun:
         """node, run, item, value after the last round, of all that are not zero."""
         rows = self._rows(self.state_at)
         if len(self.state_at) > 1:
-            rows = rows.groupBy("block").applyInArrow(K.fold(self.counter), K.ROW)
+            rows = rows.repartition("block").sortWithinPartitions("block", "kind").groupBy("block").applyInArrow(K.fold(self.counter), K.ROW)
         return rows.select("run", "a", "b").mapInArrow(K.registers(self.counter), "node long, run int, item long, value long")
 
     def registers(self) -> DataFrame:
@@ -144,7 +144,8 @@ class _Tables:
         self.folder, self.name, self.blocks = f"{own_folder(spark)}/{name}", name.replace("-", "_"), 1
         self.names: list[int] = []
         self.work = spark.newSession()
-        self.settings({"spark.sql.adaptive.enabled": "false", "spark.sql.unionOutputPartitioning": "true", "spark.sql.execution.arrow.maxRecordsPerBatch": "16", "spark.sql.sources.bucketing.maxBuckets": "100000"})
+        # Rows, not columns: a union of columnar scans would not keep the tables' dealing.
+        self.settings({"spark.sql.parquet.enableVectorizedReader": "false", "spark.sql.adaptive.enabled": "false", "spark.sql.unionOutputPartitioning": "true", "spark.sql.sources.bucketing.autoBucketedScan.enabled": "false", "spark.sql.execution.arrow.maxRecordsPerBatch": "16", "spark.sql.sources.bucketing.maxBuckets": "100000"})
         self.made: dict[str, str] = {}
 
     def settings(self, values: dict[str, str]) -> None:
@@ -326,8 +327,11 @@ def _deal(tables: _Tables, seeds: DataFrame, graph: Graph, counter: K.Counter, d
 
 
 def _summary(tables: _Tables, name: str) -> list[tuple[int, int, int]]:
-    """block, changed counters, bytes that came: a row for each block and run."""
-    return [tuple(r) for r in tables.rows(name).select("block", "n", "got").collect()]
+    """block, changed counters, bytes that came: a row for each block and run, each met in one task."""
+    rows = tables.rows(name).select("block", "run", "n", "got").collect()
+    if len({(r["block"], r["run"]) for r in rows}) < len(rows):
+        raise RuntimeError(f"a block of {name} was dealt to several tasks")
+    return [(r["block"], r["n"], r["got"]) for r in rows]
 
 
 def _messages(tables: _Tables, counter: K.Counter, sending: list[str], told: list[tuple[int, int, int]], hubs, propagation: str) -> DataFrame:
