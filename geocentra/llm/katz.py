@@ -57,6 +57,11 @@ def _tokenise(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         k += 1
 
 
+def narrow(n: np.ndarray) -> np.ndarray:
+    """Counts in 32 bits where all of them fit, else in 64."""
+    return n.astype(np.int32 if not len(n) or n.max() <= np.iinfo(np.int32).max else np.int64)
+
+
 class Group:
     """A group's tokens. `word` numbers them in the ascending vocabulary; `before` is the previous word, -1 at a beginning."""
 
@@ -111,7 +116,7 @@ def _ask_counts(order: int, n_buckets: int):
                     h, n = group.vocabulary, np.bincount(group.word[group.train], minlength=len(group.vocabulary))
                 else:
                     h, _, _, n, _ = group.bigrams()
-                yield requests(ask(h, n_buckets, g, n.astype(np.int32)))
+                yield requests(ask(h, n_buckets, g, narrow(n)))
 
     return run
 
@@ -139,14 +144,15 @@ def _count(order: int):
         new[1:] = h[order_[1:]] != h[order_[:-1]]
         number = np.empty(len(h), np.int64)
         number[order_] = np.cumsum(new) - 1
-        total = np.bincount(number, weights=n).astype(np.int64)
+        total = np.zeros(int(number.max()) + 1, np.int64)
+        np.add.at(total, number, n)
         g, b, blob, count = [], [], [], []
         if order == 1:
             edges = np.concatenate(([0], np.cumsum([len(a[0]) for a in asked])))
             for i in range(len(asked)):
                 g.append(int(groups[i]))
                 b.append(bucket)
-                blob.append(B.pack(total[number[edges[i] : edges[i + 1]]].astype(np.int32)))
+                blob.append(B.pack(narrow(total[number[edges[i] : edges[i + 1]]])))
                 count.append(None)
         else:
             shared = np.flatnonzero(np.bincount(number)[number] > 1)
@@ -161,7 +167,7 @@ def _count(order: int):
                 at = where[shared[s]]
                 g.append(int(groups[i]))
                 b.append(bucket)
-                blob.append(B.pack(B.gaps(at, np.array([len(at)])), total[number[shared[s]]].astype(np.int32), owner[s].astype(np.uint8)))
+                blob.append(B.pack(B.gaps(at, np.array([len(at)])), narrow(total[number[shared[s]]]), owner[s].astype(np.uint8)))
                 count.append(None)
         often = np.bincount(np.minimum(total[total > 0], TRUSTED + 2), minlength=TRUSTED + 3)
         stats = {r: int(often[r]) for r in range(1, TRUSTED + 2)} | {-1: int(total.sum()), -2: int((total > 0).sum())}
@@ -258,7 +264,7 @@ def _ask_weights(n_buckets: int, model: Model):
             hist, count, order = _histories(group, c, model)
             kept = np.bincount(slot, weights=model.d2[np.minimum(total, TRUSTED + 1)] * total, minlength=len(hist))
             mass = np.bincount(slot, weights=model.word_probability(c[word]), minlength=len(hist))
-            out = ask(hist[order], n_buckets, g, count[order].astype(np.int32), kept[order], mass[order])
+            out = ask(hist[order], n_buckets, g, narrow(count[order]), kept[order], mass[order])
         return pa.Table.from_batches([requests(out)])
 
     return run
@@ -273,6 +279,7 @@ def _weigh(table: pa.Table) -> pa.Table:
     asked = [asked_of(b) for b in table.column("blob").to_pylist()]
     h = np.concatenate([a[0] for a in asked])
     count, kept, mass = (np.concatenate([a[1][i] for a in asked]) for i in range(3))
+    count = count.astype(np.int64)
     _, number = np.unique(h, return_inverse=True)
     kept, mass = np.bincount(number, weights=kept), np.bincount(number, weights=mass)
     left = 1 - kept[number] / np.maximum(count, 1)
