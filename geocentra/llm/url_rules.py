@@ -65,10 +65,17 @@ def mine_rules(labelled: DataFrame, min_support: float = 0.002, min_confidence:
 
 
 def matched_urls(pages: DataFrame, rules: DataFrame) -> DataFrame:
-    """The distinct urls that hold all tokens of some rule: an inverted index of tokens, and counts of hits."""
-    index = rules.select(F.explode("tokens").alias("token"), "rule_id", "n")
-    hits = pages.select("url").where("url is not null").distinct().select("url", F.explode(tokens_of(F.col("url"))).alias("token")).join(index, "token")
-    return hits.groupBy("url", "rule_id", "n").agg(F.count(F.lit(1)).alias("k")).where("k = n").select("url").distinct()
+    """The distinct urls that hold all tokens of some rule: an inverted index that posts each rule under its rarest token only.
+
+    A url that holds a rule's rarest token is compared with the whole rule, so that a
+    token that is in most urls costs nothing unless it is a rule by itself.
+    """
+    urls = pages.select("url").where("url is not null").distinct().select("url", tokens_of(F.col("url")).alias("held"))
+    named = rules.select("rule_id", "tokens", F.explode("tokens").alias("token"))
+    often = urls.select(F.explode("held").alias("token")).join(named.select("token").distinct(), "token", "left_semi").groupBy("token").agg(F.count(F.lit(1)).alias("k"))
+    index = named.join(often, "token").groupBy("rule_id").agg(F.min(F.struct("k", "token")).alias("rarest"), F.first("tokens").alias("tokens")).select(F.col("rarest.token").alias("token"), "tokens")
+    hits = urls.select("url", "held", F.explode("held").alias("token")).join(index, "token")
+    return hits.where(F.size(F.array_except("tokens", "held")) == 0).select("url").distinct()
 
 
 def judge_urls(pages: DataFrame, rules: list[tuple[str, str]], labelled: DataFrame, min_support: float = 0.002, min_confidence: float = 0.5) -> DataFrame:
@@ -80,8 +87,12 @@ def judge_urls(pages: DataFrame, rules: list[tuple[str, str]], labelled: DataFra
     repeated and null ids included; empty tables of pages or labels are fine.
     """
     rows = pages.select("page_id", "url").select("page_id", "url", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
+    ruled = longest_rule(rows.where("url is not null"), rules)
     mined = matched_urls(rows, mine_rules(labelled, min_support, min_confidence)).select("url", F.lit("block").alias("mined"))
-    return longest_rule(rows, rules).join(mined, "url", "left").select("page_id", "url", "host", "path", "rule", F.coalesce("rule_verdict", "mined", F.lit("allow")).alias("verdict"))
+    # Rows without a url, however many, meet nobody in the joins.
+    none = rows.where("url is null").select("*", F.lit(None).cast("string").alias("rule"), F.lit(None).cast("string").alias("rule_verdict"), F.lit(None).cast("string").alias("mined"))
+    judged = ruled.join(mined, "url", "left").unionByName(none)
+    return judged.select("page_id", "url", "host", "path", "rule", F.coalesce("rule_verdict", "mined", F.lit("allow")).alias("verdict"))
 
 
 # The rules of the query.
