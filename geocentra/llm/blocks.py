@@ -156,19 +156,19 @@ def _span_sums(values: np.ndarray, first: np.ndarray, last: np.ndarray, base: in
     return out
 
 
-def word_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of each word: a polynomial over its bytes, scrambled with its length."""
-    h = _span_sums(raw, starts, ends, _BASE, _BASE_INV)
+def word_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray, second: bool = False) -> np.ndarray:
+    """A 64-bit hash of each word: a polynomial over its bytes, scrambled with its length. The `second` has another base."""
+    h = _span_sums(raw, starts, ends, *((_ROLL, _ROLL_INV) if second else (_BASE, _BASE_INV)))
     return mix(h + (ends - starts).astype(U64) * U64(0xA0761D6478BD642F))
 
 
-def window_hashes(items: np.ndarray, width: int) -> np.ndarray:
+def window_hashes(items: np.ndarray, width: int, second: bool = False) -> np.ndarray:
     """Rabin-Karp: the rolling hash of items[i : i + width] for every i, from prefix sums."""
     n = len(items) - width + 1
     if n <= 0:
         return np.zeros(0, U64)
     first = np.arange(n, dtype=np.int64)
-    return mix(_span_sums(items, first, first + width, _ROLL, _ROLL_INV))
+    return mix(_span_sums(items, first, first + width, *((_BASE, _BASE_INV) if second else (_ROLL, _ROLL_INV))))
 
 
 def ranges(first: np.ndarray, count: np.ndarray) -> np.ndarray:
@@ -316,6 +316,23 @@ def low_bytes(h: np.ndarray, n: int = 7) -> np.ndarray:
     return np.ascontiguousarray(h).view(np.uint8).reshape(-1, 8)[:, :n]
 
 
+def same_spans(raw: np.ndarray, a: np.ndarray, b: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Whether the `size` bytes from a and from b are equal, one by one."""
+    out = np.ones(len(size), bool)
+    step = 1 << 22
+    end = np.cumsum(size)
+    lo = 0
+    while lo < len(size):
+        hi = max(lo + 1, int(np.searchsorted(end, (end[lo - 1] if lo else 0) + step, side="right")))
+        some = np.flatnonzero(size[lo:hi]) + lo
+        if len(some):
+            n = size[some]
+            equal = raw[ranges(a[some], n)] == raw[ranges(b[some], n)]
+            out[some] = np.logical_and.reduceat(equal, np.cumsum(n) - n)
+        lo = hi
+    return out
+
+
 def from_bytes(rows: np.ndarray) -> np.ndarray:
     wide = np.zeros((len(rows), 8), np.uint8)
     wide[:, : rows.shape[1]] = rows

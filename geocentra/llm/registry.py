@@ -24,6 +24,7 @@ def oracle_sql() -> dict[str, str]:
     return {
         "op1_substring_dedup": substring_dedup.ORACLE,
         "op2_decontaminate": decontaminate.ORACLE,
+        "op6_suffix_dedup": suffix_dedup.ORACLE,
         "op7_near_duplicates": minhash.ORACLE,
         "op8_chat_format": chat.ORACLE,
         "op10_top_k": topk.ORACLE,

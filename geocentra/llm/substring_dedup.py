@@ -17,6 +17,8 @@ from geocentra.llm.plan import load, parts_for, text_bytes
 BUCKET_BYTES = 16 << 20
 GROUP_BYTES = 8 << 20
 PIECE_BYTES = 8 << 20
+#: Bytes of a second, independent hash that travel with the seven of the first.
+CHECK_BYTES = 3
 
 
 def _send_windows(width: int, n_buckets: int):
@@ -35,14 +37,15 @@ def _send_windows(width: int, n_buckets: int):
             if not len(at):
                 continue
             h = B.window_hashes(B.word_hashes(raw, starts, ends), width)[at]
+            check = B.window_hashes(B.word_hashes(raw, starts, ends, second=True), width, second=True)[at]
             doc = np.searchsorted(by_doc, at, side="right") - 1
             pos = at - by_doc[doc]
             tied = bool((ids[1:] == ids[:-1]).any())
             if tied:  # versions of one document: order by position across them
                 order = np.lexsort((pos, ids[doc]))
-                h, doc, pos = h[order], doc[order], pos[order]
+                h, check, doc, pos = h[order], check[order], doc[order], pos[order]
             order = B.sorted_with_index(h)
-            again = np.concatenate(([False], h[order[1:]] == h[order[:-1]]))
+            again = np.concatenate(([False], (h[order[1:]] == h[order[:-1]]) & (check[order[1:]] == check[order[:-1]])))
             if tied:
                 head = np.maximum.accumulate(np.where(again, 0, np.arange(len(order))))
                 again &= (ids[doc[order]] != ids[doc[order[head]]]) | (pos[order] != pos[order[head]])
@@ -53,7 +56,7 @@ def _send_windows(width: int, n_buckets: int):
                 first, count = doc_table(doc[w])
                 d = doc[w[first]]
                 part.append(k)
-                blobs.append(B.pack(ids[d], group[d], count.astype(np.int32), B.gaps(pos[w], count), B.low_bytes(h[w])))
+                blobs.append(B.pack(ids[d], group[d], count.astype(np.int32), B.gaps(pos[w], count), np.concatenate((B.low_bytes(h[w]), B.low_bytes(check[w], CHECK_BYTES)), axis=1)))
             if len(local):
                 first, count = doc_table(doc[local])
                 d = doc[local[first]]
@@ -74,18 +77,18 @@ def _judge(table: pa.Table) -> pa.Table:
         count = count.astype(np.int64)
         row = (np.repeat(ids, count), np.repeat(group, count), B.ungaps(gap, count))
         if h:
-            known.append((*row, B.from_bytes(h[0])))
+            known.append((*row, B.from_bytes(h[0][:, :-CHECK_BYTES]), B.from_bytes(h[0][:, -CHECK_BYTES:])))
         else:
             late.append(row)
     if known:
-        doc, group, pos, h = (np.concatenate(x) for x in zip(*known, strict=True))
+        doc, group, pos, h, check = (np.concatenate(x) for x in zip(*known, strict=True))
         order = np.argsort(h)
         hs = h[order]
         same = hs[1:] == hs[:-1]
         shared = order[np.concatenate((same, [False])) | np.concatenate(([False], same))]
-        shared = shared[np.lexsort((pos[shared], doc[shared], h[shared]))]
+        shared = shared[np.lexsort((pos[shared], doc[shared], check[shared], h[shared]))]
         if len(shared):
-            again = np.concatenate(([False], h[shared[1:]] == h[shared[:-1]]))
+            again = np.concatenate(([False], (h[shared[1:]] == h[shared[:-1]]) & (check[shared[1:]] == check[shared[:-1]])))
             head = shared[np.maximum.accumulate(np.where(again, 0, np.arange(len(shared))))]
             gone = shared[again & ((doc[shared] != doc[head]) | (pos[shared] != pos[head]))]
             late.append((doc[gone], group[gone], pos[gone]))
@@ -169,8 +172,8 @@ def _remove(width: int, in_place: bool):
 
 
 def _group(size: int):
-    """A group number that spreads documents evenly, those without an id included."""
-    return F.pmod(F.when(F.col("id").isNull(), F.xxhash64("text")).otherwise(F.xxhash64("id")), F.lit(size)).cast("int")
+    """A group number that spreads documents evenly; those without an id, which may all be equal, by their place in the input."""
+    return F.pmod(F.when(F.col("id").isNull(), F.xxhash64(F.monotonically_increasing_id())).otherwise(F.xxhash64("id")), F.lit(size)).cast("int")
 
 
 def substring_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 20, carry: Sequence[str] = (), in_place: bool = False) -> DataFrame:
@@ -188,8 +191,9 @@ def substring_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     what is found at a position holds for all of them. An empty table gives no rows.
 
     Each piece of text sends a hash once, however often it holds it, so that a window
-    found everywhere costs one record a piece. Windows are compared by 56 bits of hash
-    within a bucket that fixes further bits.
+    found everywhere costs one record a piece. Windows are equal if 56 bits of one rolling
+    hash and 24 of another, over words hashed with other bases, agree within a bucket that
+    fixes up to 8 more: of 10**13 different windows some 20 would be taken for copies.
     """
     spark = docs.sparkSession
     size = text_bytes(docs, text_col)

@@ -284,11 +284,8 @@ def _send_regions(length: int, n_buckets: int):
         tail = np.concatenate((head[1:], [len(place)])) - 1
         begin, end, doc, route = begin[head], end[tail], doc[head], route[head]
         # Of equal regions, only the smallest document's go on.
-        same = _contents(group.raw, begin, end) + route
         ids = group.ids[doc]
-        order = np.lexsort((begin, ids, same))
-        f, c = doc_table(same[order])
-        later = ids[order] != np.repeat(ids[order[f]], c)
+        order, later = _copies(group.raw, begin, end - begin, route, ids)
         keep, late = np.sort(order[~later]), np.sort(order[later])
         bucket = B.bucket_of(route, n_buckets)
         out = []
@@ -305,9 +302,16 @@ def _send_regions(length: int, n_buckets: int):
     return run
 
 
-def _contents(raw: np.ndarray, begin: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of each region's bytes; regions in order of `begin`."""
-    return B.word_hashes(raw, begin, end)
+def _copies(raw: np.ndarray, begin: np.ndarray, size: np.ndarray, route: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """An order of regions by content, and which of them, in it, equal the first of theirs, byte by byte, in a larger document."""
+    same = B.word_hashes(raw, begin, begin + size) + route
+    order = np.lexsort((begin, ids, same))
+    f, c = doc_table(same[order])
+    head = np.repeat(order[f], c)
+    later = (ids[order] != ids[head]) & (size[order] == size[head]) & (route[order] == route[head])
+    at = np.flatnonzero(later)
+    later[at] = B.same_spans(raw, begin[order[at]], begin[head[at]], size[order[at]])
+    return order, later
 
 
 def _compare(length: int):
@@ -328,10 +332,7 @@ def _compare(length: int):
             begin, size = begin.astype(np.int64), size.astype(np.int64)
             at = np.cumsum(size) - size
             # Copies of one region are one text of the smallest document's; the others' are repeats throughout.
-            same = _contents(raw, at, at + size) + route
-            order = np.lexsort((begin, ids, same))
-            f, c = doc_table(same[order])
-            later = ids[order] != np.repeat(ids[order[f]], c)
+            order, later = _copies(raw, at, size, route, ids)
             late = order[later]
             found.append((g[late], ids[late], begin[late], begin[late] + size[late]))
             kept = order[~later]
@@ -457,6 +458,21 @@ def suffix_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return groups.groupBy("g").cogroup(late.groupBy("g")).applyInArrow(_remove(), f"id long, n_bytes long, n_removed long, spans {spans}, kept binary")
 
 
+ORACLE = r"""
+WITH t AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+n AS (SELECT doc_id, h, (length(h) // 2)::BIGINT AS n FROM t),
+windows AS (SELECT doc_id, i AS pos, substr(h, 2 * i + 1, 100) AS seq FROM (SELECT doc_id, h, unnest(range(0, n - 49)) AS i FROM n WHERE n >= 50)),
+late AS (SELECT doc_id, pos FROM (SELECT doc_id, pos, min(doc_id) OVER (PARTITION BY seq) AS head FROM windows) WHERE doc_id > head),
+runs AS (SELECT doc_id, pos, CASE WHEN pos - lag(pos) OVER w <= 50 THEN 0 ELSE 1 END AS fresh FROM late WINDOW w AS (PARTITION BY doc_id ORDER BY pos)),
+spans AS (SELECT doc_id, min(pos) AS a, max(pos) + 50 AS z FROM (SELECT doc_id, pos, sum(fresh) OVER (PARTITION BY doc_id ORDER BY pos) AS k FROM runs) GROUP BY doc_id, k),
+rest AS (SELECT doc_id, a, z, coalesce(lag(z) OVER w, 0) AS before, lead(a) OVER w IS NULL AS last FROM spans WINDOW w AS (PARTITION BY doc_id ORDER BY a)),
+kept AS (SELECT n.doc_id, count(r.a) AS n_spans, coalesce(sum(r.z - r.a), 0)::BIGINT AS n_removed,
+  CASE WHEN count(r.a) = 0 THEN any_value(n.h) ELSE string_agg(substr(n.h, 2 * r.before + 1, 2 * (r.a - r.before)) || CASE WHEN r.last THEN substr(n.h, 2 * r.z + 1) ELSE '' END, '' ORDER BY r.a) END AS h
+  FROM n LEFT JOIN rest r ON n.doc_id = r.doc_id GROUP BY n.doc_id)
+SELECT n.doc_id, n.n AS n_bytes, k.n_removed, k.n_spans, sha256(unhex(k.h)) AS kept_sha256 FROM n JOIN kept k ON n.doc_id = k.doc_id
+"""
+
+
 def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     got = suffix_dedup(load(spark, sf_dir, "documents"))
     return got.select(F.col("id").alias("doc_id"), "n_bytes", "n_removed", F.size("spans").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
