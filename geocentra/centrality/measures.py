@@ -12,6 +12,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from geocentra.errors import ParameterError
+from geocentra.operators.ordered import numbered
+from geocentra.plans.checkpoint import cut
 from geocentra.propagate.balls import BallRun
 
 Discount = Callable[[Column], Column]
@@ -84,6 +86,18 @@ def centralities(counts: DataFrame, discounts: dict[str, Discount] | None = None
     return sums.select("node", "run", "coreach", "sum_dist", closeness(s).alias("closeness"), lin(c, s).alias("lin"), "harmonic", *(discounts or {}))
 
 
+def centralities_of_sums(sums: DataFrame) -> DataFrame:
+    """The same columns from a run that kept sums (node, run, coreach, sum_dist, harmonic, further gains)."""
+    s, c = F.col("sum_dist"), F.col("coreach")
+    more = [x for x in sums.columns if x not in ("node", "run", "coreach", "sum_dist", "harmonic")]
+    return sums.select("node", "run", "coreach", "sum_dist", closeness(s).alias("closeness"), lin(c, s).alias("lin"), "harmonic", *more)
+
+
+def diameter_bound(counts: DataFrame) -> DataFrame:
+    """run, diameter: the last round in which a ball grew; a lower bound for sketches, and exact for exact counts."""
+    return counts.groupBy("run").agg(F.max("t").alias("diameter"))
+
+
 def strict_closeness_exact(counts: DataFrame, n_nodes: int) -> DataFrame:
     """node, run, closeness_strict: 0 unless every node coreaches."""
     sums = ingredients(counts)
@@ -177,8 +191,6 @@ def eccentricity(counts: DataFrame) -> DataFrame:
 
 def katz(graph, beta: float, length: int) -> DataFrame:
     """node, katz: paths of up to `length` arcs into a node, each arc of a path weighing beta. A contrast, not a geometric measure."""
-    from geocentra.plans.checkpoint import cut
-
     now = graph.vertices.select(F.col("id").alias("node"), F.lit(1.0).alias("paths"))
     total = graph.vertices.select(F.col("id").alias("node"), F.lit(0.0).alias("gain"))
     for _ in range(length):
@@ -191,6 +203,6 @@ def ranking(measures: DataFrame, name: str, k: int | None = None) -> DataFrame:
     """node, value and place by decreasing value, ties to the smaller node; the k best if asked for."""
     rows = measures.select("node", F.col(name).alias("value"))
     if k is not None:
-        rows = rows.orderBy(F.desc("value"), "node").limit(k)
-    # Places of all nodes need a global order; of the k best they are over k rows.
-    return rows.withColumn("place", F.row_number().over(Window.orderBy(F.desc("value"), "node")))
+        best = rows.orderBy(F.desc("value"), "node").limit(k)
+        return best.withColumn("place", F.row_number().over(Window.orderBy(F.desc("value"), "node")))
+    return numbered(rows, [F.desc("value"), F.col("node")], "place")

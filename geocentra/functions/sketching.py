@@ -1,10 +1,8 @@
-"""SQL functions, a table function and views over results."""
+"""SQL functions and table functions."""
 
 from __future__ import annotations
 
-import math
-
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 from geocentra.sketch.registers import MD5_BITS, alpha, log2_registers
@@ -26,11 +24,6 @@ def register_sql(spark: SparkSession, p: int = 64) -> None:
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {signature} RETURNS {kind} RETURN {body}")
 
 
-def register_views(profile: DataFrame, centrality: DataFrame) -> None:
-    profile.createOrReplaceTempView("ball_profile")
-    centrality.createOrReplaceTempView("centrality")
-
-
 class NodeBalls:
     """Table function: a profile as an array of (t, size) structs -> rows t, size, grown."""
 
@@ -45,6 +38,14 @@ def register_node_balls(spark: SparkSession) -> None:
     spark.udtf.register("node_balls", F.udtf(NodeBalls, returnType="t int, size double, grown double"))
 
 
-def discount_rows(last: int) -> list[tuple[int, float, float, float, float]]:
-    """t, reciprocal, logarithmic, quadratic, constant for t = 1..last."""
-    return [(t, 1 / t, 1 / math.log2(t + 1), 1 / t**2, 1.0) for t in range(1, last + 1)]
+class ExpandRegisters:
+    """Table function: a packed counter -> rows reg, rho of the registers that are not zero."""
+
+    def eval(self, regs):
+        for reg, rho in enumerate(regs or b""):
+            if rho:
+                yield reg, rho
+
+
+def register_expand_registers(spark: SparkSession) -> None:
+    spark.udtf.register("expand_registers", F.udtf(ExpandRegisters, returnType="reg int, rho int"))

@@ -4,26 +4,24 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from geocentra.errors import ParameterError
 from geocentra.graph.model import KINDS, Graph
+from geocentra.operators.ordered import clean_arcs, succession, succession_in_steps
 
-#: All pairs of vectors are compared up to this many; beyond it knn needs blocks.
-MAX_ALL_PAIRS = 5000
-#: A line that more documents hold joins none of them.
-MAX_LINE_DOCS = 50
+#: Vectors of one block; blocks are compared with each other.
+KNN_BLOCK = 4096
+#: Turns of one conversation that have ids of their own.
+MAX_TURNS = 1 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def _clean(arcs: DataFrame) -> DataFrame:
-    return arcs.where("src is not null and dst is not null and src <> dst").distinct()
-
-
 def _kind(kind: str, key: Column | str) -> Column:
     return (F.lit(KINDS[kind]).cast("long") * F.lit(1 << 56) + (F.col(key) if isinstance(key, str) else key).cast("long")).cast("long")
 
@@ -33,29 +31,24 @@ def text_id(kind: str, text: Column) -> Column:
     return _kind(kind, F.conv(F.substring(F.md5(text.cast("binary")), 1, 14), 16, 10).cast("long"))
 
 
-def _succession(rows: DataFrame, group: list[Column], order: list[str], node: str) -> DataFrame:
-    """node -> the node of the next row of its group: windows are per group, never global."""
-    following = F.lead(node).over(Window.partitionBy(*group).orderBy(*order))
-    return _clean(rows.select(F.col(node).alias("src"), following.alias("dst")))
-
-
 def part_succession(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _succession(table(spark, sf_dir, "lineitem"), [F.col("l_orderkey")], ["l_linenumber", "l_partkey", "l_suppkey"], "l_partkey")
+    return succession(table(spark, sf_dir, "lineitem"), [F.col("l_orderkey")], ["l_linenumber", "l_partkey", "l_suppkey"], "l_partkey")
 
 
 def sparse_part_succession(spark: SparkSession, sf_dir: str) -> DataFrame:
     lines = table(spark, sf_dir, "lineitem").where("l_returnflag = 'R' and l_quantity <= 15")
-    return _succession(lines, [F.col("l_orderkey")], ["l_linenumber", "l_partkey", "l_suppkey"], "l_partkey")
+    return succession(lines, [F.col("l_orderkey")], ["l_linenumber", "l_partkey", "l_suppkey"], "l_partkey")
 
 
 def customer_supplier(spark: SparkSession, sf_dir: str) -> DataFrame:
     orders = table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey")
     lines = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_suppkey")
-    return _clean(orders.join(lines, F.col("o_orderkey") == F.col("l_orderkey")).select(_kind("customer", "o_custkey").alias("src"), _kind("supplier", "l_suppkey").alias("dst")))
+    return clean_arcs(orders.join(lines, F.col("o_orderkey") == F.col("l_orderkey")).select(_kind("customer", "o_custkey").alias("src"), _kind("supplier", "l_suppkey").alias("dst")))
 
 
 def _handoff(events: DataFrame) -> DataFrame:
-    return _succession(events, [F.to_date("ts")], ["ts", "event_id"], "user_id")
+    """A day's events by the second: a day is no window, and may hold any number of events."""
+    return succession_in_steps(events, F.to_date("ts"), F.date_trunc("second", "ts"), ["ts", "event_id"], "user_id")
 
 
 def user_handoff(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -73,12 +66,12 @@ def page_links(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def page_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = page_links(spark, sf_dir).select("page_id", F.explode("links").alias("link"))
-    return _clean(rows.select(_kind("page", "page_id").alias("src"), text_id("term", F.col("link")).alias("dst")))
+    return clean_arcs(rows.select(_kind("page", "page_id").alias("src"), text_id("term", F.col("link")).alias("dst")))
 
 
 def host_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = page_links(spark, sf_dir).select(F.regexp_extract("url", "://([^/?#]*)", 1).alias("host"), F.explode("links").alias("link"))
-    return _clean(rows.select(text_id("host", F.col("host")).alias("src"), text_id("term", F.col("link")).alias("dst")))
+    return clean_arcs(rows.select(text_id("host", F.col("host")).alias("src"), text_id("term", F.col("link")).alias("dst")))
 
 
 def page_page(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -86,25 +79,32 @@ def page_page(spark: SparkSession, sf_dir: str) -> DataFrame:
     links = page_links(spark, sf_dir)
     out = links.select(F.col("page_id").alias("src"), F.explode("links").alias("link")).distinct()
     last = links.where(F.size("links") > 0).select(F.col("page_id").alias("dst"), F.element_at("links", -1).alias("link"))
-    return _clean(out.join(last, "link").select("src", "dst"))
+    return clean_arcs(out.join(last, "link").select("src", "dst"))
+
+
+def turn_node(conv: Column, turn: Column) -> Column:
+    """The node of a conversation's turn; turns that would meet the next conversation's ids are an error."""
+    fits = (turn >= 0) & (turn < MAX_TURNS)
+    return F.when(fits, conv * MAX_TURNS + turn).otherwise(F.raise_error(F.lit(f"a turn is beyond {MAX_TURNS}")).cast("long"))
 
 
 def turn_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
-    turns = table(spark, sf_dir, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("node"), "conv_id", "turn")
-    return _succession(turns, [F.col("conv_id")], ["turn"], "node")
+    turns = table(spark, sf_dir, "conversations").select(turn_node(F.col("conv_id"), F.col("turn")).alias("node"), "conv_id", "turn")
+    return succession(turns, [F.col("conv_id")], ["turn"], "node")
 
 
 def shared_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Lower -> higher id of documents that share a line of 40 characters or more, held by 2 to 50 documents."""
+    """Lower -> next higher id of the documents that hold a line of 40 characters or more: a chain for each line.
+
+    A line that k documents hold gives k - 1 arcs, however many they are, and joins them all.
+    """
     lines = table(spark, sf_dir, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where(F.length("line") >= 40).select("doc_id", F.md5(F.col("line").cast("binary")).alias("line")).distinct()
-    held = lines.groupBy("line").agg(F.count(F.lit(1)).alias("k")).where(F.col("k").between(2, MAX_LINE_DOCS)).select("line")
-    some = lines.join(held, "line")
-    return _clean(some.select("line", F.col("doc_id").alias("src")).join(some.select("line", F.col("doc_id").alias("dst")), "line").where("src < dst").select("src", "dst"))
+    return succession_in_steps(lines.withColumn("node", F.col("doc_id")), F.col("line"), F.shiftright("doc_id", 16), ["doc_id"], "node")
 
 
 def geo_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     c, s, n = (table(spark, sf_dir, x) for x in ("customer", "supplier", "nation"))
-    return _clean(
+    return clean_arcs(
         c.select(_kind("customer", "c_custkey").alias("src"), _kind("nation", "c_nationkey").alias("dst"))
         .unionByName(s.select(_kind("supplier", "s_suppkey").alias("src"), _kind("nation", "s_nationkey").alias("dst")))
         .unionByName(n.select(_kind("nation", "n_nationkey").alias("src"), _kind("region", "n_regionkey").alias("dst")))
@@ -112,19 +112,46 @@ def geo_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def vector_knn(spark: SparkSession, sf_dir: str, k: int = 3) -> DataFrame:
-    """vector -> its k most similar others by cosine, ties to the smaller id; rounded so that engines agree."""
-    rows = table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
-    if rows.count() > MAX_ALL_PAIRS:
-        raise ParameterError(f"vector_knn compares all pairs of up to {MAX_ALL_PAIRS} vectors")
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    rows = rows.select("vec_id", "v", F.sqrt(dot(F.col("v"), F.col("v"))).alias("norm"))
-    other = rows.select(F.col("vec_id").alias("dst"), F.col("v").alias("w"), F.col("norm").alias("m"))
-    # The size check above bounds the side that is broadcast.
-    pairs = rows.select(F.col("vec_id").alias("src"), "v", "norm").crossJoin(F.broadcast(other)).where("src <> dst")
-    near = pairs.select("src", "dst", F.round(dot(F.col("v"), F.col("w")) / (F.col("norm") * F.col("m")), 9).alias("sim"))
+    """vector -> its k most similar others by cosine, ties to the smaller id; rounded so that engines agree.
+
+    Vectors meet in pairs of blocks of about KNN_BLOCK; each pair of blocks gives k rows a vector.
+    """
+    rows = table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v")).where("vec_id is not null and v is not null")
+    n = max(1, -(-rows.count() // KNN_BLOCK))
+    dealt = rows.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(n)).cast("int"))
+    packed = dealt.groupBy("block").applyInArrow(_vector_block, "block int, ids binary, vectors binary, width int")
+    other = packed.select(F.col("block").alias("other"), F.col("ids").alias("ids2"), F.col("vectors").alias("vectors2"))
+    pairs = packed.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(n - 1)))).join(other, "other")
+    near = pairs.groupBy("block", "other").applyInArrow(_nearest(k), "src long, dst long, sim double")
     return near.withColumn("r", F.row_number().over(Window.partitionBy("src").orderBy(F.desc("sim"), "dst"))).where(F.col("r") <= k).select("src", "dst")
 
 
+def _vector_block(table_of: pa.Table) -> pa.Table:
+    ids, v = table_of.column("vec_id").to_numpy(), np.stack(table_of.column("v").to_numpy(zero_copy_only=False))
+    return pa.table({"block": table_of.column("block").slice(0, 1), "ids": pa.array([ids.tobytes()], pa.binary()), "vectors": pa.array([v.tobytes()], pa.binary()), "width": pa.array([v.shape[1]], pa.int32())})
+
+
+def _nearest(k: int):
+    def run(pair: pa.Table) -> pa.Table:
+        row = pair.slice(0, 1).to_pylist()[0]
+        a, b = (np.frombuffer(row[c], np.int64) for c in ("ids", "ids2"))
+        v, w = (np.frombuffer(row[c]).reshape(-1, row["width"]) for c in ("vectors", "vectors2"))
+        by_id = np.argsort(b, kind="stable")
+        b, w = b[by_id], w[by_id]
+        out = []
+        for lo in range(0, len(a), 512):
+            norms = np.sqrt((v[lo : lo + 512] ** 2).sum(axis=1))[:, None] * np.sqrt((w**2).sum(axis=1))[None]
+            sim = np.round(v[lo : lo + 512] @ w.T / norms, 9)
+            sim[a[lo : lo + 512, None] == b[None]] = -np.inf
+            best = np.argsort(-sim, axis=1, kind="stable")[:, :k]
+            out.append((np.repeat(a[lo : lo + 512], best.shape[1]), b[best].ravel(), np.take_along_axis(sim, best, axis=1).ravel()))
+        src, dst, sim = (np.concatenate(x) for x in zip(*out, strict=True))
+        use = np.isfinite(sim)
+        return pa.table({"src": src[use], "dst": dst[use], "sim": sim[use]})
+
+    return run
+
+
 def shingles(df: DataFrame, key: str, text: str, n: int) -> DataFrame:
     """key, shingle: the distinct runs of n words."""
     words = F.filter(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), lambda w: w != "")
@@ -136,7 +163,7 @@ def doc_item(spark: SparkSession, sf_dir: str, n: int = 8) -> DataFrame:
     """document -> benchmark item with which it shares a run of n words."""
     docs = shingles(table(spark, sf_dir, "documents"), "doc_id", "text", n)
     items = shingles(table(spark, sf_dir, "benchmark"), "item_id", "text", n)
-    return _clean(docs.join(items, "shingle").select(_kind("doc", "doc_id").alias("src"), _kind("item", "item_id").alias("dst")))
+    return clean_arcs(docs.join(items, "shingle").select(_kind("doc", "doc_id").alias("src"), _kind("item", "item_id").alias("dst")))
 
 
 VIEWS: dict[str, Callable[[SparkSession, str], DataFrame]] = {

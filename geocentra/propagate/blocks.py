@@ -23,9 +23,9 @@ SPARSE_SHARE = 0.125
 #: Rows of messages and of arcs come after all rows of state, whose kind is their round.
 LATE = 1 << 30
 
-ROW = "block int, kind int, run int, n long, got long, a binary, b binary, c binary, d binary, e binary"
-_NAMES = ["block", "kind", "run", "n", "got", "a", "b", "c", "d", "e"]
-_KINDS = [pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), *[pa.binary()] * 5]
+ROW = "block int, kind int, run int, n long, got long, grown double, a binary, b binary, c binary, d binary, e binary"
+_NAMES = ["block", "kind", "run", "n", "got", "grown", "a", "b", "c", "d", "e"]
+_KINDS = [pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.float64(), *[pa.binary()] * 5]
 
 
 @dataclass(frozen=True)
@@ -98,7 +98,7 @@ def pack_seeds(counter: Counter):
             regs = np.zeros((len(nodes), counter.width), counter.dtype)
             (np.bitwise_or if counter.bits else np.maximum).at(regs, (at, item[mine]), value[mine].astype(counter.dtype))
             s, z = counter.sums(regs)
-            out.append((block, 0, r, len(nodes), 0, nodes.tobytes(), regs.tobytes(), s.tobytes(), z.tobytes(), None))
+            out.append((block, 0, r, len(nodes), 0, 0.0, nodes.tobytes(), regs.tobytes(), s.tobytes(), z.tobytes(), None))
         yield rows_of(out)
 
     return run
@@ -141,7 +141,7 @@ def _packed(block: int, tx: np.ndarray, rx: np.ndarray, rb: np.ndarray) -> pa.Re
     diagonal = np.lexsort((place[piece], rank))
     lengths = np.bincount(rank)
     at = first[order]
-    return rows_of([(block, LATE, 0, len(rx), 0, senders.tobytes(), src[diagonal].astype(np.uint32).tobytes(), rx[at].tobytes(), lengths.astype(np.int32).tobytes(), rb[at].astype(np.int32).tobytes())])
+    return rows_of([(block, LATE, 0, len(rx), 0, 0.0, senders.tobytes(), src[diagonal].astype(np.uint32).tobytes(), rx[at].tobytes(), lengths.astype(np.int32).tobytes(), rb[at].astype(np.int32).tobytes())])
 
 
 # --- state ---------------------------------------------------------------------------------
@@ -262,7 +262,7 @@ def send(counter: Counter):
                     first = np.flatnonzero(new)
                     node, to, regs = node[first], to[first], counter.meet_runs(regs, first)
                 edges = np.append(np.flatnonzero(np.diff(to, prepend=-1)), len(to)).tolist()
-                yield rows_of([(int(to[lo]), LATE, turn, hi - lo, 0, node[lo:hi].tobytes(), regs[lo:hi].tobytes(), None, None, None) for lo, hi in zip(edges, edges[1:], strict=False)])
+                yield rows_of([(int(to[lo]), LATE, turn, hi - lo, 0, 0.0, node[lo:hi].tobytes(), regs[lo:hi].tobytes(), None, None, None) for lo, hi in zip(edges, edges[1:], strict=False)])
 
     return run
 
@@ -279,7 +279,7 @@ def hub_rows(hubs):
             regs = np.frombuffer(row["b"], np.uint8).reshape(len(mine), -1) if len(mine) else None
             for b in np.unique(blocks[hit]).tolist():
                 k = at[hit[blocks[hit] == b]]
-                yield rows_of([(b, row["kind"], row["run"], len(k), 0, mine[k].tobytes(), regs[k].tobytes(), None, None, None)])
+                yield rows_of([(b, row["kind"], row["run"], len(k), 0, 0.0, mine[k].tobytes(), regs[k].tobytes(), None, None, None)])
 
     return run
 
@@ -321,19 +321,20 @@ def receive(counter: Counter, t: int, size, weights: np.ndarray | None):
         for turn in sorted(got):
             at = np.flatnonzero(rose[turn]) if turn in rose else np.zeros(0, np.int64)
             if not len(at):
-                out.append((block, t, turn, 0, got[turn], b"", b"", b"", b"", b""))
+                out.append((block, t, turn, 0, got[turn], 0.0, b"", b"", b"", b"", b""))
                 continue
             state = states[turn]
             regs = state.regs[at]
             s, z = counter.sums(regs)
-            carried = None
+            carried, grown = None, 0.0
             if weights is not None:
                 carried = state.carried[at]
                 now = size(s, z)
+                grown = float((now - carried[:, 0]).sum())
                 carried[:, 1:] += np.outer(now - carried[:, 0], weights)
                 carried[:, 0] = now
                 carried = carried.tobytes()
-            out.append((block, t, turn, len(at), got[turn], state.nodes[at].tobytes(), regs.tobytes(), s.tobytes(), z.tobytes(), carried))
+            out.append((block, t, turn, len(at), got[turn], grown, state.nodes[at].tobytes(), regs.tobytes(), s.tobytes(), z.tobytes(), carried))
         yield rows_of(out)
 
     return run
@@ -348,7 +349,7 @@ def fold(counter: Counter):
             block = row["block"]
             if row["n"]:
                 states.setdefault(row["run"], State(counter)).add(row)
-        yield rows_of([(block, 0, turn, len(s.nodes), 0, s.nodes.tobytes(), s.regs.tobytes(), None, None, s.carried.tobytes()) for turn, s in sorted(states.items())])
+        yield rows_of([(block, 0, turn, len(s.nodes), 0, 0.0, s.nodes.tobytes(), s.regs.tobytes(), None, None, s.carried.tobytes()) for turn, s in sorted(states.items())])
 
     return run
 
@@ -360,6 +361,7 @@ def start_sums(size, k: int):
         for row in each_row(batches):
             carried = np.zeros((row["n"], k + 1))
             carried[:, 0] = size(np.frombuffer(row["c"]), np.frombuffer(row["d"], np.int32))
+            row["grown"] = float(carried[:, 0].sum())
             yield rows_of([(*(row[n] for n in _NAMES[:-1]), carried.tobytes())])
 
     return run

@@ -7,15 +7,10 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from geocentra.errors import ParameterError
 from geocentra.graph.model import Graph
 from geocentra.propagate.fixpoint import PRESENCE, Rounds, fixpoint
 from geocentra.sketch.registers import MD5_BITS, md5_bits
 
-#: Exact distances are refused, never cut short, beyond this many pairs.
-MAX_PAIRS = 200_000_000
-
-
 @dataclass
 class ExactRun:
     rounds: Rounds
@@ -25,12 +20,13 @@ class ExactRun:
         return self.rounds.changes.select("node", F.col("item").alias("source"), F.col("t").alias("dist"))
 
 
-def exact_pairs(graph: Graph, sources: DataFrame | None = None, direction: str = "in", max_pairs: int = MAX_PAIRS) -> ExactRun:
-    """Breadth-first visits from all `sources` (id; default every node) at once, by frontiers."""
+def exact_pairs(graph: Graph, sources: DataFrame | None = None, direction: str = "in") -> ExactRun:
+    """Breadth-first visits from all `sources` (id; default every node) at once, by frontiers.
+
+    Costs a row for each pair that is reached, in tables of the shared folder; pairs
+    that are not reached cost nothing.
+    """
     nodes = graph.vertices.select("id") if sources is None else sources.select("id")
-    n, starts = graph.vertices.count(), nodes.count()
-    if n * starts > max_pairs and sources is None:
-        raise ParameterError(f"{n} nodes may have {n * n} pairs, more than max_pairs={max_pairs}")
     seeds = nodes.select(F.col("id").alias("node"), F.lit(0).alias("run"), F.col("id").alias("item"), F.lit(0).alias("value"))
     return ExactRun(fixpoint(seeds, graph, PRESENCE, direction))
 

@@ -18,11 +18,15 @@ from pyspark.sql import functions as F
 
 from geocentra.errors import ParameterError
 from geocentra.graph.model import Graph
-from geocentra.plans.checkpoint import cut_by, shared_folder
+from geocentra.plans.checkpoint import cut, cut_by, own_folder
 
 KEYS = ["node", "run", "item"]
 #: Changed rows gathered since the base table was made, as a share of it, at which a new base is made.
 COMPACT_AT = 0.5
+#: Arcs, and rows of state, that a partition is made for.
+PART_ROWS = 4 << 20
+#: A sender of more arcs is spread: its rows go to several places, each with some of its arcs.
+HUB_ARCS = 1 << 20
 
 
 @dataclass(frozen=True)
@@ -81,10 +85,20 @@ def fixpoint(seeds: DataFrame, graph: Graph, lattice: Lattice, direction: str =
     if propagation not in ("delta", "full"):
         raise ParameterError(f"propagation must be 'delta' or 'full', not {propagation!r}")
     spark = seeds.sparkSession
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    folder = f"{shared_folder(spark)}/rounds-{uuid.uuid4().hex}"
+    folder = f"{own_folder(spark)}/rounds-{uuid.uuid4().hex}"
     schema = "node long, run int, item long, value long, old long"
-    arcs = cut_by(oriented(graph, direction), parts, "tx")
+    arcs = cut(oriented(graph, direction))
+    m = arcs.count()  # from the files' footers
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-m // PART_ROWS))
+    hubs = arcs.groupBy("tx").agg(F.count(F.lit(1)).alias("k")).where(F.col("k") > HUB_ARCS) if m > HUB_ARCS else None
+    if hubs is not None:
+        # At most one sender in HUB_ARCS arcs.
+        hubs = cut(hubs.select(F.col("tx").alias("hub"), F.ceil(F.col("k") / HUB_ARCS).cast("int").alias("places")))
+        hubs = None if hubs.isEmpty() else hubs
+    place = F.lit(0)
+    if hubs is not None:
+        arcs, place = arcs.join(hubs, F.col("tx") == F.col("hub"), "left"), F.coalesce(F.pmod(F.xxhash64("rx"), F.col("places")).cast("int"), F.lit(0))
+    arcs = cut_by(arcs.select("tx", place.alias("place"), "rx"), parts, "tx", "place")
 
     def written(df: DataFrame, t: int) -> DataFrame:
         df.write.parquet(f"{folder}/t={t}")
@@ -104,7 +118,11 @@ def fixpoint(seeds: DataFrame, graph: Graph, lattice: Lattice, direction: str =
         began = time.time()
         t += 1
         sending = delta.select(*KEYS, "value") if propagation == "delta" else _state(base, recent, lattice)
-        met = sending.join(arcs, F.col("node") == F.col("tx")).select(F.col("rx").alias("node"), "run", "item", "value")
+        places = F.array(F.lit(0))
+        if hubs is not None:
+            sending, places = sending.join(hubs, F.col("node") == F.col("hub"), "left"), F.sequence(F.lit(0), F.coalesce(F.col("places"), F.lit(1)) - 1)
+        sending = sending.select(*KEYS, "value", F.explode(places).alias("at"))
+        met = sending.join(arcs, (F.col("node") == F.col("tx")) & (F.col("at") == F.col("place"))).select(F.col("rx").alias("node"), "run", "item", "value")
         candidates = met.groupBy(*KEYS).agg(lattice.aggregate("value").alias("new"))
         known = candidates.join(base.withColumnRenamed("value", "kept"), KEYS, "left")
         if recent:

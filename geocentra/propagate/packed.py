@@ -61,6 +61,7 @@ class PackedRun:
     seconds: list[float] = field(default_factory=list)
     changed: list[int] = field(default_factory=list)
     sent_bytes: list[int] = field(default_factory=list)
+    grown: list[dict[int, float]] = field(default_factory=list)
     truncated: bool = False
 
     @property
@@ -103,6 +104,13 @@ class PackedRun:
         rows = self._rows(self.state_at).select("run", "a", "e").mapInArrow(K.sums, "node long, run int, sums array<double>")
         return rows.select("node", "run", *[F.get("sums", F.lit(i)).alias(n) for i, n in enumerate(["coreach", *self.gains])])
 
+    def neighbourhood_function(self) -> DataFrame:
+        """run, t, pairs within distance t: sums that rounds add up by block, for which no node keeps anything beside its counter."""
+        if self.gains is None:
+            raise ParameterError("this run keeps a profile, not sums")
+        rows = [(r, t, sum(step.get(r, 0.0) for step in self.grown[: t + 1])) for t in range(len(self.grown)) for r in range(self.runs)]
+        return self.spark.createDataFrame(rows, "run int, t int, pairs double")
+
     def stats(self) -> DataFrame:
         """t, changed counters, bytes of messages and seconds of every round."""
         rows = list(zip(range(len(self.seconds)), self.changed, self.sent_bytes, self.seconds, strict=True))
@@ -238,11 +246,12 @@ def packed_rounds(seeds: DataFrame, graph: Graph, counter: K.Counter, kind: str
     keep_all = named is None
     out.rounds_at.append(tables.path("first"))
     delta, since, t = state[0], 0, 0
-    told = _summary(tables, delta)
+    told, grown = _summary(tables, delta)
     n = sum(x[1] for x in told)
     out.seconds.append(time.time() - began)
     out.changed.append(n)
     out.sent_bytes.append(0)
+    out.grown.append(grown)
     while n:
         if max_iter is not None and t >= max_iter:
             out.truncated = True
@@ -261,7 +270,7 @@ def packed_rounds(seeds: DataFrame, graph: Graph, counter: K.Counter, kind: str
         delta = tables.keep(rows, f"round{t}")
         if few:
             tables.drop(f"messages{t}", True)
-        told = _summary(tables, delta)
+        told, grown = _summary(tables, delta)
         changed = sum(x[1] for x in told)
         if not changed:
             tables.drop(delta, True)
@@ -269,6 +278,7 @@ def packed_rounds(seeds: DataFrame, graph: Graph, counter: K.Counter, kind: str
         out.seconds.append(time.time() - began)
         out.changed.append(changed)
         out.sent_bytes.append(sum(x[2] for x in told))
+        out.grown.append(grown)
         if keep_all:
             out.rounds_at.append(tables.path(delta))
         state.append(delta)
@@ -326,12 +336,15 @@ def _deal(tables: _Tables, seeds: DataFrame, graph: Graph, counter: K.Counter, d
     return hubs
 
 
-def _summary(tables: _Tables, name: str) -> list[tuple[int, int, int]]:
-    """block, changed counters, bytes that came: a row for each block and run, each met in one task."""
-    rows = tables.rows(name).select("block", "run", "n", "got").collect()
+def _summary(tables: _Tables, name: str) -> tuple[list[tuple[int, int, int]], dict[int, float]]:
+    """(block, changed counters, bytes that came), and by run what all balls grew by: a row for each block and run, each met in one task."""
+    rows = tables.rows(name).select("block", "run", "n", "got", "grown").collect()
     if len({(r["block"], r["run"]) for r in rows}) < len(rows):
         raise RuntimeError(f"a block of {name} was dealt to several tasks")
-    return [(r["block"], r["n"], r["got"]) for r in rows]
+    grown: dict[int, float] = {}
+    for r in rows:
+        grown[r["run"]] = grown.get(r["run"], 0.0) + (r["grown"] or 0.0)
+    return [(r["block"], r["n"], r["got"]) for r in rows], grown
 
 
 def _messages(tables: _Tables, counter: K.Counter, sending: list[str], told: list[tuple[int, int, int]], hubs, propagation: str) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -14,12 +15,12 @@ from geocentra.graph import views
 from geocentra.graph.components import strong_components, weak_components
 from geocentra.graph.generators import kronecker
 from geocentra.graph.model import Graph, graph_stats, indegree
+from geocentra.plans.checkpoint import cut
 from geocentra.propagate.balls import ball_sketches, pattern_balls
 from geocentra.propagate.exact import ads_estimate, all_distances_sketch, exact_pairs, sampled_bfs
-from geocentra.propagate.wide import wide_balls
+from geocentra.propagate.packed import packed_balls, packed_patterns
 from geocentra.registry import sql as S
 from geocentra.sketch.native import native_balls
-from geocentra.sketch.packed import packed_balls
 from geocentra.sketch.registers import hll_count, md5_bits, register_of, union_registers
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -91,9 +92,13 @@ def strong_components_g8(spark, d):
     return strong_components(views.graph(spark, d, "g8"))
 
 
-@query("kronecker_source")
+_DRAWN = "SELECT i, level, ('0x' || substr(md5('1:' || i || ':' || level), 1, 15))::BIGINT % 1073741824 AS u FROM (SELECT unnest(range(8000)) AS i), (SELECT unnest(range(1, 11)) AS level)"
+_CELLS = f"SELECT i, level, (u >= 612032840)::INTEGER + (u >= 816043786)::INTEGER + (u >= 1020054733)::INTEGER AS c FROM ({_DRAWN})"
+
+
+@query("kronecker_source", f"SELECT DISTINCT src, dst FROM (SELECT i, sum((c // 2) * (1 << (10 - level)))::BIGINT AS src, sum((c % 2) * (1 << (10 - level)))::BIGINT AS dst FROM ({_CELLS}) GROUP BY i) WHERE src <> dst")
 def kronecker_source(spark, d):
-    return kronecker(spark, [[0.57, 0.19], [0.19, 0.05]], 10, 8000, seed=1).arcs
+    return kronecker(spark, [[0.57, 0.19], [0.19, 0.05]], 10, 8000, seed=1, portable=True).arcs
 
 
 # --- exact methods -------------------------------------------------------------------------
@@ -116,11 +121,13 @@ query("undirected_harmonic_g10", f"{S.exact_counts('g10', symmetric=True)}, {S.M
 )
 
 
-@query("closeness_strict_g5", f"{S.exact_counts('g5')}, {S.MEASURES} SELECT node, round(CASE WHEN coreach >= (SELECT count(*) FROM nodes) AND sum_dist > 0 THEN 1 / sum_dist ELSE 0 END, 9) AS closeness_strict FROM measures")
-def closeness_strict_g5(spark, d):
-    graph = views.graph(spark, d, "g5")
-    counts = M.exact_counts(exact_pairs(graph).pairs())
-    return rounded(M.strict_closeness_exact(counts, graph.vertices.count()).drop("run"), ["closeness_strict"], 9)
+for _g in ("g2", "g5", "g9", "g10"):
+
+    @query(f"closeness_strict_{_g}", f"{S.exact_counts(_g)}, {S.MEASURES} SELECT node, round(CASE WHEN coreach >= (SELECT count(*) FROM nodes) AND sum_dist > 0 THEN 1 / sum_dist ELSE 0 END, 9) AS closeness_strict FROM measures")
+    def closeness_strict(spark, d, g=_g):
+        graph = views.graph(spark, d, g)
+        counts = M.exact_counts(exact_pairs(graph).pairs())
+        return rounded(M.strict_closeness_exact(counts, graph.vertices.count()).drop("run"), ["closeness_strict"], 9)
 
 
 query("indegree_g1", f"WITH {S.graph('g1')} SELECT id AS node, (SELECT count(*) FROM arcs WHERE dst = id) AS indegree FROM nodes")(lambda spark, d: indegree(views.graph(spark, d, "g1")))
@@ -219,10 +226,10 @@ query("sketch_out_g2", f"{S.sketch_counts('g2', direction='out')}, {S.MEASURES}
 )
 
 
-@query("sketch_runs_mean_g2", f"{S.sketch_counts('g2', runs=4)}, {S.MEASURES} SELECT node, round(avg(harmonic), 6) AS harmonic_mean, round(stddev_samp(harmonic), 6) AS harmonic_sd, round(avg(coreach), 6) AS coreach_mean, round(stddev_samp(coreach), 6) AS coreach_sd FROM measures GROUP BY node")
+@query("sketch_runs_mean_g2", f"{S.sketch_counts('g2', runs=4)}, {S.MEASURES} SELECT node, round(avg(harmonic), 6) AS harmonic_mean, round(stddev_samp(harmonic), 6) AS harmonic_sd, round(avg(coreach), 6) AS coreach_mean, round(stddev_samp(coreach), 6) AS coreach_sd, round(1.96 * stddev_samp(harmonic) / 2, 6) AS harmonic_half_width FROM measures GROUP BY node")
 def sketch_runs_mean_g2(spark, d):
     got = M.average_runs(M.centralities(M.sketch_counts(sketch_of(spark, d, "g2", runs=4))), ["harmonic", "coreach"])
-    names = ["harmonic_mean", "harmonic_sd", "coreach_mean", "coreach_sd"]
+    names = ["harmonic_mean", "harmonic_sd", "coreach_mean", "coreach_sd", "harmonic_half_width"]
     return rounded(got.select("node", *names), names)
 
 
@@ -259,19 +266,61 @@ def fm_registers_g2(spark, d):
     return pattern_balls(views.graph(spark, d, "g2"), patterns=8).rounds.final().select("node", "item", "value")
 
 
-@query("fm_closeness_g9")
+def _pattern_profile(g: str, patterns: int) -> str:
+    """... and counts of bit-pattern counters: the mean place of the lowest zero bit at every distance."""
+    return f"""{S.pairs(g)}, items AS (SELECT id, k, ('0x' || substr(md5('0:' || id || ':k' || k), 1, 15))::BIGINT AS h FROM nodes, (SELECT unnest(range({patterns})) AS k)),
+bits AS (SELECT id, k, 1::BIGINT << (CASE WHEN h = 0 THEN 60 ELSE 60 - length(bin(h)) END) AS b FROM items),
+met AS (SELECT r.node, r.dist AS t, k, bit_or(b) AS b FROM reach r JOIN bits ON bits.id = r.source GROUP BY ALL),
+held AS (SELECT node, t, bit_or(b) OVER (PARTITION BY node, k ORDER BY t) AS x FROM met),
+profile AS (SELECT node, 0 AS run, t, pow(2.0, sum(bit_count(x & ~(x + 1))) / {patterns}.0) / 0.77351 AS size FROM held GROUP BY node, t),
+counts AS (SELECT node, run, t, size - coalesce(lag(size) OVER (PARTITION BY node ORDER BY t), 0) AS n FROM profile)"""
+
+
+@query("fm_closeness_g9", f"{_pattern_profile('g9', 32)}, {S.MEASURES}, {RADIUS_SQL} SELECT m.node, {S.rounded(['coreach', 'closeness', 'harmonic'])}, round(CASE WHEN t = 0 THEN 0 ELSE t - 1 + (0.9 * total - before) / (size - before) END, 6) AS radius FROM measures m JOIN hit ON hit.node = m.node AND r = 1")
 def fm_closeness_g9(spark, d):
     """The bit-pattern baseline's closeness and 90% radius."""
     counts = M.sketch_counts(pattern_balls(views.graph(spark, d, "g9"), patterns=32))
-    return M.centralities(counts).join(M.effective_radius(counts), ["node", "run"]).drop("run")
+    names = ["coreach", "closeness", "harmonic", "radius"]
+    return rounded(M.centralities(counts).join(M.effective_radius(counts), ["node", "run"]).select("node", *names), names)
 
 
-@query("packed_g2", f"{S.sketch_counts('g2')} SELECT node, reg::INTEGER AS reg, max(rho)::INTEGER AS rho FROM registers GROUP BY ALL")
-def packed_g2(spark, d):
-    return packed_balls(views.graph(spark, d, "g2"), p=64)
+@query("packed_patterns_g9", f"{_pattern_profile('g9', 32)}, {S.MEASURES} SELECT node, {S.rounded(['coreach', 'harmonic'])} FROM measures")
+def packed_patterns_g9(spark, d):
+    """The same counters in the packed layout, by whole rounds that keep sums."""
+    return rounded(packed_patterns(views.graph(spark, d, "g9"), 32, gains={}).sums().select("node", "coreach", "harmonic"), ["coreach", "harmonic"])
 
 
-query("wide_g5", f"{S.sketch_counts('g5')} SELECT node, t, round(size, 6) AS size FROM profile")(lambda spark, d: rounded(wide_balls(views.graph(spark, d, "g5")).profile().drop("run"), ["size"]))
+_REGISTERS = "SELECT node, reg::INTEGER AS reg, max(rho)::INTEGER AS rho FROM registers GROUP BY ALL"
+query("packed_g2", f"{S.sketch_counts('g2')} {_REGISTERS}")(lambda spark, d: packed_balls(views.graph(spark, d, "g2")).registers().drop("run"))
+for _g in ("g2", "g5"):
+    query(f"packed_profile_{_g}", f"{S.sketch_counts(_g)} SELECT node, t, round(size, 6) AS size FROM profile")(lambda spark, d, g=_g: rounded(packed_balls(views.graph(spark, d, g)).profile().drop("run"), ["size"]))
+query("packed_centralities_g5", f"{S.sketch_counts('g5')}, {S.MEASURES} SELECT node, {S.rounded(NAMES)} FROM measures")(
+    lambda spark, d: rounded(M.centralities(M.sketch_counts(packed_balls(views.graph(spark, d, "g5")))).drop("run"), NAMES)
+)
+for _g in ("g9", "g10"):
+    query(f"accumulated_{_g}", f"{S.sketch_counts(_g)}, {S.MEASURES} SELECT node, {S.rounded(NAMES)} FROM measures")(
+        lambda spark, d, g=_g: rounded(M.centralities_of_sums(packed_balls(views.graph(spark, d, g), gains={}).sums()).drop("run"), NAMES)
+    )
+query("accumulated_weighted_g2", f"{S.sketch_counts('g2', weights=WEIGHT_SQL)}, {S.MEASURES} SELECT node, round(logarithmic, 6) AS logarithmic, round(quadratic, 6) AS quadratic, round(harmonic, 6) AS harmonic FROM measures")(
+    lambda spark, d: rounded(packed_balls(_weighted(spark, d), weighted=True, gains={"logarithmic": lambda t: 1 / math.log2(t + 1), "quadratic": lambda t: 1 / t**2}).sums().select("node", "logarithmic", "quadratic", "harmonic"), ["logarithmic", "quadratic", "harmonic"])
+)
+query("accumulated_out_runs_g2", f"{S.sketch_counts('g2', runs=3, direction='out')}, {S.MEASURES} SELECT node, run::INTEGER AS run, {S.rounded(NAMES)} FROM measures")(
+    lambda spark, d: rounded(M.centralities_of_sums(packed_balls(views.graph(spark, d, "g2"), runs=3, direction="out", gains={}).sums()), NAMES)
+)
+query("aggregate_only_nf_g2", f"{S.sketch_counts('g2')} SELECT t, round(sum(sum(n)) OVER (ORDER BY t), 4) AS pairs FROM counts GROUP BY t")(
+    lambda spark, d: rounded(packed_balls(views.graph(spark, d, "g2"), gains={}).neighbourhood_function().drop("run"), ["pairs"], 4)
+)
+query("round_changes_g2", f"{S.sketch_counts('g2')} SELECT t::INTEGER AS t, count(*) AS changed FROM profile GROUP BY t")(lambda spark, d: packed_balls(views.graph(spark, d, "g2")).stats().select("t", "changed"))
+query("sketch_eccentricity_g10", f"{S.sketch_counts('g10')} SELECT node, max(t) AS eccentricity FROM profile GROUP BY node")(
+    lambda spark, d: M.eccentricity(packed_balls(views.graph(spark, d, "g10")).profile()).drop("run")
+)
+query("diameter_bound_g2", f"{S.sketch_counts('g2')} SELECT max(t) AS diameter FROM profile")(lambda spark, d: M.diameter_bound(packed_balls(views.graph(spark, d, "g2")).profile()).drop("run"))
+query("symmetric_tail_g2", f"{S.sketch_counts('g2', p=16, symmetric=True)}, {S.MEASURES} SELECT node, {S.rounded(NAMES)} FROM measures")(
+    lambda spark, d: rounded(M.centralities_of_sums(packed_balls(views.graph(spark, d, "g2").symmetrise(), p=16, gains={}).sums()).drop("run"), NAMES)
+)
+query("average_distance_g3", f"{S.sketch_counts('g3', symmetric=True)} SELECT round(sum(n * t) / sum(n), 6) AS average_distance FROM counts WHERE t > 0")(
+    lambda spark, d: rounded(M.distance_summary(M.sketch_counts(packed_balls(views.graph(spark, d, "g3").symmetrise())), 1).select("average_distance"), ["average_distance"])
+)
 query("native_sketch_g2")(lambda spark, d: native_balls(views.graph(spark, d, "g2"), lg_k=6))
 
 
@@ -283,7 +332,11 @@ def ads_g9(spark, d):
     return all_distances_sketch(views.graph(spark, d, "g9"), k=3).select("node", "source", "dist")
 
 
-query("ads_harmonic_g2")(lambda spark, d: ads_estimate(all_distances_sketch(views.graph(spark, d, "g2"), k=16)))
+_EARLIER = "(b.dist < a.dist OR (b.dist = a.dist AND (b.h < a.h OR (b.h = a.h AND b.source < a.source))))"
+query(
+    "ads_harmonic_g2",
+    f"{S.pairs('g2')}, h AS (SELECT node, source, dist, ('0x' || substr(md5('0:' || source), 1, 15))::BIGINT AS h FROM reach), before AS (SELECT a.node, a.source, a.dist, a.h, list_sort(list(b.h)) AS l FROM h a LEFT JOIN h b ON a.node = b.node AND {_EARLIER} GROUP BY ALL), entries AS (SELECT *, CASE WHEN l[16] IS NULL THEN 1.0 ELSE l[16] / {1 << 60}::DOUBLE END AS tau FROM before WHERE l[16] IS NULL OR h < l[16]) SELECT node, round(coalesce(sum(1.0 / dist / tau) FILTER (WHERE dist > 0), 0), 6) AS value FROM entries GROUP BY node",
+)(lambda spark, d: rounded(ads_estimate(all_distances_sketch(views.graph(spark, d, "g2"), k=16)), ["value"]))
 
 # --- accuracy and cost ---------------------------------------------------------------------
 
@@ -327,8 +380,8 @@ query("overlap_g2", f"{S.exact_counts('g2')}, {S.MEASURES}, a AS (SELECT node FR
 )
 query(
     "kendall_g9",
-    f"{S.exact_counts('g9')}, {S.MEASURES}, m AS (SELECT node, round(harmonic, 9) AS h, round(closeness, 9) AS c FROM measures ORDER BY md5(node::VARCHAR), node LIMIT 200) SELECT round(sum(sign(a.h - b.h) * sign(a.c - b.c)) / count(*), 6) AS tau FROM m a JOIN m b ON a.node < b.node",
-)(lambda spark, d: rounded(A.kendall(rounded(M.centralities(counts_of(spark, d, "g9")), ["harmonic", "closeness"], 9), "harmonic", "closeness", 200), ["tau"]))
+    f"{S.exact_counts('g9')}, {S.MEASURES}, m AS (SELECT round(harmonic, 9) AS h, round(closeness, 9) AS c, count(*) AS n FROM measures GROUP BY ALL) SELECT round(sum(a.n * b.n * sign(a.h - b.h) * sign(a.c - b.c)) / (SELECT sum(n) * (sum(n) - 1) FROM m), 6) AS tau FROM m a, m b",
+)(lambda spark, d: rounded(A.kendall(rounded(M.centralities(counts_of(spark, d, "g9")), ["harmonic", "closeness"], 9), "harmonic", "closeness"), ["tau"]))
 query(
     "bias_report_g10",
     f"{S.exact_counts('g10')}, {S.MEASURES}, m AS (SELECT node, coreach, round(closeness, 9) AS closeness, round(lin, 9) AS lin, round(harmonic, 9) AS harmonic FROM measures), med AS (SELECT median(coreach) AS c FROM m) "
@@ -338,14 +391,82 @@ query(
 )(lambda spark, d: rounded(A.bias_report(rounded(M.centralities(counts_of(spark, d, "g10")), ["closeness", "lin", "harmonic"], 9), ["closeness", "lin", "harmonic"], 10), ["correlation"]))
 
 
-@query("concentration_g5")
-def concentration_g5(spark, d):
-    """Spread of errors over nodes within runs: that of coreachable counts collapses where one counter is shared."""
-    graph = views.graph(spark, d, "g5")
+def _run_errors(g: str, p: int, runs: int, more: str = "") -> str:
+    """... and errors(node, run, measure, error) of single runs."""
+    long = lambda t, run: " UNION ALL ".join(f"SELECT node, {run} '{m}' AS measure, {m} AS v FROM {t}" for m in ("harmonic", "coreach", "sum_dist"))
+    return f"""{S.sketch_counts(g, p=p, runs=runs)}, {S.MEASURES}, truth_counts AS (SELECT node, dist AS t, count(*)::DOUBLE AS n FROM reach GROUP BY ALL),
+truth AS (SELECT node, sum(n * t) AS sum_dist, coalesce(sum(n / t) FILTER (WHERE t > 0), 0) AS harmonic, sum(n) AS coreach FROM truth_counts GROUP BY node){more},
+errors AS (SELECT a.node, a.run, a.measure, (a.v - e.v) / e.v AS error FROM ({long("measures", "run,")}) a JOIN ({long("truth", "")}) e USING (node, measure) WHERE e.v > 0)"""
+
+
+def _errors_of_runs(graph: Graph, p: int, runs: int) -> DataFrame:
     names = ["harmonic", "coreach", "sum_dist"]
     exact = M.ingredients(M.exact_counts(exact_pairs(graph).pairs())).select("node", *names)
-    runs = M.ingredients(M.sketch_counts(ball_sketches(graph, runs=4))).select("node", "run", *names)
-    return A.error_boxes(A.run_errors(runs, exact, names), ["run", "measure"])
+    return A.run_errors(packed_balls(graph, p=p, runs=runs, gains={}).sums().select("node", "run", *names), exact, names)
+
+
+_BOXES = "round(quantile_cont(error, 0.25), 6) AS q1, round(quantile_cont(error, 0.5), 6) AS median, round(quantile_cont(error, 0.75), 6) AS q3, round(avg(error), 6) AS mean, round(avg(error) - stddev_samp(error), 6) AS low, round(avg(error) + stddev_samp(error), 6) AS high"
+_BOX = ["q1", "median", "q3", "mean", "low", "high"]
+
+
+@query("concentration_g5", f"{_run_errors('g5', 64, 4)} SELECT run::INTEGER AS run, measure, {_BOXES} FROM errors GROUP BY run, measure")
+def concentration_g5(spark, d):
+    """Spread of errors over nodes within runs."""
+    return rounded(A.error_boxes(_errors_of_runs(views.graph(spark, d, "g5"), 64, 4), ["run", "measure"]), _BOX)
+
+
+_GIANT = ", mutual AS (SELECT a.node, min(a.source) AS c FROM reach a JOIN reach b ON a.node = b.source AND a.source = b.node GROUP BY a.node), giant AS (SELECT node FROM mutual WHERE c = (SELECT c FROM mutual GROUP BY c ORDER BY count(*) DESC, c LIMIT 1))"
+
+
+@query("concentration_g12", f"{_run_errors('g12', 256, 4, _GIANT)} SELECT run::INTEGER AS run, measure, e.node IN (SELECT node FROM giant) AS inside, {_BOXES} FROM errors e GROUP BY ALL")
+def concentration_g12(spark, d):
+    """The same by membership of the giant strong component, whose nodes share one final counter: there the spread of coreachable counts is nil."""
+    graph = views.graph(spark, d, "g12")
+    graph = Graph(cut(graph.vertices), cut(graph.arcs))
+    parts = cut(strong_components(graph))
+    giant = parts.groupBy("component").count().orderBy(F.desc("count"), "component").limit(1)
+    errors = A.by_membership(_errors_of_runs(graph, 256, 4), parts.join(giant, "component").select("node"))
+    return rounded(A.error_boxes(errors, ["run", "measure", "inside"]), _BOX)
+
+
+_KS = [1, 5, 10, 20]
+_ACCURACY = ["closeness", "lin", "harmonic", "coreach"]
+
+
+def _accuracy_sql(g: str, p: int, runs: int) -> str:
+    long = lambda t, run: " UNION ALL ".join(f"SELECT node, {run} '{m}' AS measure, {m} AS v FROM {t}" for m in _ACCURACY)
+    truth = "truth AS (SELECT node, n AS coreach, h AS harmonic, CASE WHEN s > 0 THEN 1 / s ELSE 0 END AS closeness, CASE WHEN s > 0 THEN n * n / s ELSE 1 END AS lin FROM (SELECT node, count(*)::DOUBLE AS n, sum(dist)::DOUBLE AS s, coalesce(sum(1.0 / dist) FILTER (WHERE dist > 0), 0) AS h FROM reach GROUP BY node))"
+    return f"{S.sketch_counts(g, p=p, runs=runs)}, {S.MEASURES}, {truth}, averaged AS (SELECT k AS runs, node, measure, avg(v) AS v FROM ({long('measures', 'run,')}), (SELECT unnest({_KS}) AS k) WHERE run < k GROUP BY ALL) SELECT runs::INTEGER AS runs, measure, round(sqrt(avg(pow((a.v - e.v) / e.v, 2))), 6) AS rms FROM averaged a JOIN ({long('truth', '')}) e USING (node, measure) WHERE e.v > 0 GROUP BY ALL"
+
+
+@query("accuracy_g12", _accuracy_sql("g12", 256, 20))
+def accuracy_g12(spark, d):
+    """Errors of the means of 1 to 20 runs, by measure, on a graph with a giant component."""
+    return accuracy_of_means(views.graph(spark, d, "g12"), 256, _KS)
+
+
+def accuracy_of_means(graph: Graph, p: int, ks: list[int]) -> DataFrame:
+    """runs, measure, rms: relative errors of the means of the first k runs, for each k."""
+    graph = Graph(cut(graph.vertices), cut(graph.arcs))
+    exact = M.centralities(M.exact_counts(exact_pairs(graph).pairs())).select("node", *_ACCURACY)
+    runs = M.centralities_of_sums(packed_balls(graph, p=p, runs=max(ks), gains={}).sums()).select("node", "run", *_ACCURACY)
+    return rounded(A.rms(A.convergence(runs, exact, _ACCURACY, ks)), ["rms"])
+
+
+@query(
+    "visits_against_sketch_g2",
+    f"{S.sketch_counts('g2')}, {S.MEASURES}, pivots AS (SELECT id FROM nodes ORDER BY ('0x' || substr(md5('0:' || id), 1, 15))::BIGINT, id LIMIT 50), truth AS (SELECT node, coalesce(sum(1.0 / dist) FILTER (WHERE dist > 0), 0) AS h FROM reach GROUP BY node), visits AS (SELECT n.id AS node, coalesce((SELECT count(*) FROM nodes) / 50.0 * sum(CASE WHEN dist > 0 THEN 1.0 / dist ELSE 0 END), 0) AS h FROM nodes n LEFT JOIN (SELECT * FROM reach WHERE source IN (SELECT id FROM pivots)) r ON r.node = n.id GROUP BY n.id), both_of AS (SELECT 'visits' AS method, node, h FROM visits UNION ALL SELECT 'sketch', node, harmonic FROM measures) SELECT method, round(sqrt(avg(pow((b.h - t.h) / t.h, 2))), 6) AS rmse FROM both_of b JOIN truth t USING (node) WHERE t.h > 0 GROUP BY method",
+)
+def visits_against_sketch_g2(spark, d):
+    """Errors of harmonic centrality from 50 sampled visits and from counters of 64 registers: on a disconnected graph visits fail."""
+    graph = views.graph(spark, d, "g2")
+    exact = M.ingredients(M.exact_counts(exact_pairs(graph).pairs())).select("node", "harmonic")
+    ways = {"visits": sampled_bfs(graph, 50), "sketch": packed_balls(graph, gains={}).sums()}
+    out = None
+    for name, got in ways.items():
+        part = A.relative_errors(got.select("node", "harmonic"), exact, ["harmonic"]).withColumn("method", F.lit(name))
+        out = part if out is None else out.unionByName(part)
+    return rounded(A.rmse(out, ["method"]), ["rmse"])
 
 
 @query("rounds_g2")

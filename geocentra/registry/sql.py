@@ -36,8 +36,9 @@ ARCS: dict[str, str] = {
     "g6": f"SELECT DISTINCT {kind('page', 'page_id')} AS src, {text_id('term', 'link')} AS dst FROM (SELECT page_id, unnest(links) AS link FROM {_LINKS})",
     "g7": f"SELECT DISTINCT {text_id('host', 'host')} AS src, {text_id('term', 'link')} AS dst FROM (SELECT regexp_extract(url, '://([^/?#]*)', 1) AS host, unnest(links) AS link FROM {_LINKS})",
     "g8": f"SELECT DISTINCT a.page_id AS src, b.page_id AS dst FROM (SELECT page_id, unnest(links) AS link FROM {_LINKS}) a JOIN {_LINKS} b ON len(b.links) > 0 AND a.link = b.links[-1] WHERE a.page_id <> b.page_id",
-    "g9": _succession("(SELECT conv_id, turn, conv_id * 1000 + turn AS node FROM conversations)", "conv_id", "turn", "node"),
-    "g10": f"WITH held AS (SELECT doc_id, line FROM {_LINES} WHERE line IN (SELECT line FROM {_LINES} GROUP BY line HAVING count(*) BETWEEN 2 AND 50)) SELECT DISTINCT a.doc_id AS src, b.doc_id AS dst FROM held a JOIN held b ON a.line = b.line AND a.doc_id < b.doc_id",
+    "g9": _succession("(SELECT conv_id, turn, conv_id * 1048576 + turn AS node FROM conversations)", "conv_id", "turn", "node"),
+    "g10": _succession(_LINES, "line", "doc_id", "doc_id"),
+    "days": "SELECT DISTINCT src, dst FROM (SELECT day * 1099511627776 + user_id AS src, day * 1099511627776 + lead(user_id) OVER (PARTITION BY day ORDER BY ts, event_id) AS dst FROM (SELECT date_diff('day', DATE '1970-01-01', ts::DATE) AS day, user_id, ts, event_id FROM events WHERE event_type = 'error')) WHERE dst IS NOT NULL AND src <> dst",
     "g11": f"SELECT {kind('customer', 'c_custkey')} AS src, {kind('nation', 'c_nationkey')} AS dst FROM customer UNION SELECT {kind('supplier', 's_suppkey')}, {kind('nation', 's_nationkey')} FROM supplier UNION SELECT {kind('nation', 'n_nationkey')}, {kind('region', 'n_regionkey')} FROM nation",
     "g12": "WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS v FROM embeddings), p AS (SELECT a.vec_id AS src, b.vec_id AS dst, round(list_dot_product(a.v, b.v) / (sqrt(list_dot_product(a.v, a.v)) * sqrt(list_dot_product(b.v, b.v))), 9) AS sim FROM v a JOIN v b ON a.vec_id <> b.vec_id) SELECT src, dst FROM (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY sim DESC, dst) AS r FROM p) WHERE r <= 3",
     "g13": f"SELECT DISTINCT {kind('doc', 'doc_id')} AS src, {kind('item', 'item_id')} AS dst FROM {_shingles('documents', 'doc_id', 8)} d JOIN {_shingles('benchmark', 'item_id', 8)} i USING (shingle)",
@@ -72,7 +73,7 @@ def exact_counts(g: str, direction: str = "in", weights: str | None = None, symm
     return f"{pairs(g, direction, symmetric)}, weights AS ({weights}), counts AS (SELECT node, 0 AS run, dist AS t, sum(coalesce(weight, 1))::DOUBLE AS n FROM reach LEFT JOIN weights w ON w.id = source GROUP BY ALL)"
 
 
-def sketch_counts(g: str, p: int = 64, runs: int = 1, direction: str = "in", weights: str | None = None) -> str:
+def sketch_counts(g: str, p: int = 64, runs: int = 1, direction: str = "in", weights: str | None = None, symmetric: bool = False) -> str:
     """... and registers, profile(node, run, t, size) and counts, from the exact balls of every radius."""
     b = log2_registers(p)
     width = MD5_BITS - b
@@ -80,7 +81,7 @@ def sketch_counts(g: str, p: int = 64, runs: int = 1, direction: str = "in", wei
     weighted = "" if weights is None else f"weights AS ({weights}),"
     if weights is not None:
         replicas = f"SELECT id, run, run || ':' || id || ':' || i AS text FROM (SELECT n.id, run, unnest(range(1, coalesce(w.weight, 1) + 1)) AS i FROM nodes n LEFT JOIN weights w ON w.id = n.id, (SELECT unnest(range({runs})) AS run))"
-    return f"""{pairs(g, direction)}, {weighted}
+    return f"""{pairs(g, direction, symmetric)}, {weighted}
 hashed AS (SELECT id, run, ('0x' || substr(md5(text), 1, 15))::BIGINT AS h FROM ({replicas})),
 items AS (SELECT id, run, h >> {width} AS reg, CASE WHEN h & {(1 << width) - 1} = 0 THEN {width + 1} ELSE {width + 1} - length(bin(h & {(1 << width) - 1})) END AS rho FROM hashed),
 met AS (SELECT r.node, i.run, i.reg, r.dist AS t, max(i.rho) AS rho FROM reach r JOIN items i ON i.id = r.source GROUP BY ALL),

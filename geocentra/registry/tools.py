@@ -12,15 +12,19 @@ from geocentra.functions import sketching
 from geocentra.graph import views
 from geocentra.graph.generators import path
 from geocentra.graph.model import Graph, dangling_arcs, degrees, node_id
-from geocentra.plans.checkpoint import shared_folder
+from geocentra.operators.joins import dominated
+from geocentra.plans.checkpoint import own_folder
 from geocentra.propagate.exact import exact_pairs
 from geocentra.registry import sql as S
 from geocentra.registry.graphs import NAMES, ORACLES, counts_of, query, rounded, sketch_of
-from geocentra.sketch.packed import estimate_packed, pack_registers
+from geocentra.propagate.packed import packed_balls
+from geocentra.sketch.packed import estimate_packed, pack_registers, union_packed
 from geocentra.sources import edges
 from geocentra.streaming import ingest
 
 T = views.table
+#: A side of more bytes is not broadcast.
+BROADCAST_BYTES = 64 << 20
 _MEASURES_G9 = f"{S.exact_counts('g9')}, {S.MEASURES}"
 _MEASURES_G2 = f"{S.exact_counts('g2')}, {S.MEASURES}"
 
@@ -30,7 +34,7 @@ def _measures(spark, d, g="g9"):
 
 
 def _folder(spark, name: str) -> str:
-    return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+    return f"{own_folder(spark)}/{name}-{uuid.uuid4().hex}"
 
 
 # --- sources and sinks ---------------------------------------------------------------------
@@ -89,6 +93,8 @@ for _hint in ("merge", "shuffle_hash", "broadcast"):
     def join_customer_supplier(s, d, hint=_hint):
         orders = T(s, d, "orders").select("o_orderkey", "o_custkey")
         lines = T(s, d, "lineitem").where("l_returnflag = 'R'").select("l_orderkey", "l_suppkey")
+        if hint == "broadcast" and orders.count() * 16 > BROADCAST_BYTES:
+            hint = "shuffle_hash"
         return lines.join(orders.hint(hint), F.col("o_orderkey") == F.col("l_orderkey")).groupBy("o_custkey", "l_suppkey").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -122,19 +128,10 @@ query("two_hop_pairs", f"WITH a AS ({S.ARCS['g2']}) SELECT src, dst FROM a UNION
     lambda s, d: (lambda a: a.unionByName(a.alias("x").join(a.select(F.col("src").alias("mid"), F.col("dst").alias("far")), F.col("dst") == F.col("mid")).select("src", F.col("far").alias("dst")).where("src <> dst")).distinct())(views.VIEWS["g2"](s, d))
 )
 
-def dominated(measures, a: str = "c", b: str = "k"):
-    """node, better: how many nodes are larger in both columns, for nodes with any. Only distinct pairs of values meet, with how often each occurs."""
-    values = measures.groupBy(a, b).agg(F.count(F.lit(1)).alias("n"))
-    larger = values.select(F.col(a).alias("a2"), F.col(b).alias("b2"), "n")
-    better = values.select(a, b).join(larger, (F.col("a2") > F.col(a)) & (F.col("b2") > F.col(b))).groupBy(a, b).agg(F.sum("n").alias("better"))
-    return measures.join(better, [a, b]).select("node", "better")
 
-
-# The SQL of the first is fixed and asks for nodes below 20,000 only; the second is over all nodes.
-for _name, _where in (("dominated_nodes", "node < 20000"), ("dominated_nodes_all", "true")):
-    query(_name, f"{_MEASURES_G9}, m AS (SELECT node, round(closeness, 9) AS c, coreach AS k FROM measures WHERE {_where}) SELECT a.node, count(*) AS better FROM m a JOIN m b ON b.c > a.c AND b.k > a.k GROUP BY a.node")(
-        lambda s, d, where=_where: dominated(_measures(s, d).where(where).select("node", F.round("closeness", 9).alias("c"), F.col("coreach").alias("k")))
-    )
+@query("dominated_nodes", f"{_MEASURES_G9}, m AS (SELECT node, round(closeness, 9) AS c, coreach AS k FROM measures) SELECT a.node, count(*) AS better FROM m a JOIN m b ON b.c > a.c AND b.k > a.k GROUP BY a.node")
+def dominated_nodes(s, d):
+    return dominated(_measures(s, d).select("node", F.round("closeness", 9).alias("c"), F.col("coreach").alias("k")), "c", "k")
 
 
 @query("event_pairs_within_hour", "SELECT a.user_id, count(*) AS n FROM events a JOIN events b ON a.user_id <> b.user_id AND a.event_type = 'error' AND b.event_type = 'signup' AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 1 HOUR GROUP BY a.user_id")
@@ -184,14 +181,14 @@ for _kind, _sql in (("cube", "CUBE (p_brand, p_type)"), ("rollup", "ROLLUP (p_br
         return rounded(sets.agg(F.count(F.lit(1)).alias("n"), F.avg("harmonic").alias("harmonic")), ["harmonic"])
 
 
-query("measure_pivot", f"{_MEASURES_G9} SELECT node % 1000 AS turn, round(max(closeness), 6) AS closeness, round(max(harmonic), 6) AS harmonic, round(max(lin), 6) AS lin FROM measures GROUP BY ALL")(
+query("measure_pivot", f"{_MEASURES_G9} SELECT node % 1048576 AS turn, round(max(closeness), 6) AS closeness, round(max(harmonic), 6) AS harmonic, round(max(lin), 6) AS lin FROM measures GROUP BY ALL")(
     lambda s, d: rounded(
-        _measures(s, d).select((F.col("node") % 1000).alias("turn"), F.explode(F.array(*[F.struct(F.lit(n).alias("m"), F.col(n).alias("v")) for n in ("closeness", "harmonic", "lin")])).alias("x")).select("turn", "x.*").groupBy("turn").pivot("m", ["closeness", "harmonic", "lin"]).agg(F.max("v")),
+        _measures(s, d).select((F.col("node") % views.MAX_TURNS).alias("turn"), F.explode(F.array(*[F.struct(F.lit(n).alias("m"), F.col(n).alias("v")) for n in ("closeness", "harmonic", "lin")])).alias("x")).select("turn", "x.*").groupBy("turn").pivot("m", ["closeness", "harmonic", "lin"]).agg(F.max("v")),
         ["closeness", "harmonic", "lin"],
     )
 )
-query("measure_correlations", f"{_MEASURES_G2} SELECT round(corr(harmonic, lin), 6) AS harmonic_lin, round(corr(harmonic, coreach), 6) AS harmonic_coreach, round(stddev_samp(harmonic), 6) AS sd, round(skewness(harmonic) * 0, 6) AS zero FROM measures")(
-    lambda s, d: rounded(_measures(s, d, "g2").agg(F.corr("harmonic", "lin").alias("harmonic_lin"), F.corr("harmonic", "coreach").alias("harmonic_coreach"), F.stddev_samp("harmonic").alias("sd"), F.lit(0.0).alias("zero")), ["harmonic_lin", "harmonic_coreach", "sd"])
+query("measure_correlations", f"{_MEASURES_G2} SELECT round(corr(harmonic, lin), 6) AS harmonic_lin, round(corr(harmonic, coreach), 6) AS harmonic_coreach, round(stddev_samp(harmonic), 6) AS sd FROM measures")(
+    lambda s, d: rounded(_measures(s, d, "g2").agg(F.corr("harmonic", "lin").alias("harmonic_lin"), F.corr("harmonic", "coreach").alias("harmonic_coreach"), F.stddev_samp("harmonic").alias("sd")), ["harmonic_lin", "harmonic_coreach", "sd"])
 )
 query("measure_quantiles", f"{_MEASURES_G2} SELECT round(quantile_cont(harmonic, 0.25), 6) AS q1, round(quantile_cont(harmonic, 0.5), 6) AS q2, round(quantile_cont(harmonic, 0.75), 6) AS q3 FROM measures")(
     lambda s, d: rounded(_measures(s, d, "g2").agg(*[F.percentile("harmonic", F.lit(q)).alias(n) for q, n in ((0.25, "q1"), (0.5, "q2"), (0.75, "q3"))]), ["q1", "q2", "q3"])
@@ -343,15 +340,42 @@ query("stream_dedupe", "SELECT DISTINCT event_id, user_id FROM events")(
 )
 
 
-@query("snapshot_centrality")
+_SNAPSHOT = f"{S.sketch_counts('days')} SELECT (node >> 40)::INTEGER AS day, node & {(1 << 40) - 1} AS node, round(arg_max(size, t), 6) AS size FROM profile GROUP BY ALL"
+
+
+@query("snapshot_centrality", _SNAPSHOT)
 def snapshot_centrality(s, d):
     """Per day the coreachable estimates in that day's own graph."""
     return rounded(ingest.snapshot_centrality(T(s, d, "events").where("event_type = 'error'")), ["size"])
 
 
-@query("hops_report_g9", f"{_MEASURES_G9} SELECT node, {S.rounded(NAMES)} FROM measures")
-def hops_report_g9(s, d):
-    return rounded(_measures(s, d), NAMES)
+@query("stream_snapshots", _SNAPSHOT)
+def stream_snapshots(s, d):
+    """The same from a stream: each batch brings the days that its events are of up to date."""
+    return rounded(ingest.stream_snapshots(s, f"{d}/events.parquet", "event_type = 'error'"), ["size"])
+
+
+@query("full_ranking_g2", f"{_MEASURES_G2} SELECT node, round(harmonic, 6) AS value, row_number() OVER (ORDER BY round(harmonic, 9) DESC, node) AS place FROM measures")
+def full_ranking_g2(s, d):
+    return rounded(M.ranking(rounded(_measures(s, d, "g2"), ["harmonic"], 9), "harmonic"), ["value"])
+
+
+@query("stream_state_sizes", ORACLES["hll_count_users_by_type"])
+def stream_state_sizes(s, d):
+    """A counter of users for each type in a state of its own, read off at the end of each batch."""
+    return rounded(ingest.run_to_end(ingest.counters_by_type(ingest.event_stream(s, f"{d}/events.parquet")), "update").groupBy("event_type").agg(F.max("size").alias("size")), ["size"])
+
 
+@query("packed_union_by_brand", f"{S.sketch_counts('g2')}, last_of AS (SELECT p_brand, reg, max(rho) AS rho FROM registers JOIN part ON node = p_partkey GROUP BY ALL), s AS (SELECT p_brand, 64 - sum(1 - pow(2.0, -rho)) AS s, 64 - count(*) AS z FROM last_of GROUP BY p_brand) SELECT p_brand, round(CASE WHEN 0.709 * 4096 / s <= 160 AND z > 0 THEN 64 * ln(64.0 / z) ELSE 0.709 * 4096 / s END, 6) AS size FROM s")
+def packed_union_by_brand(s, d):
+    """A grouped aggregate over packed counters: how many nodes coreach any of a brand's."""
+    packed = pack_registers(packed_balls(views.graph(s, d, "g2")).registers().drop("run"), 64)
+    rows = packed.join(T(s, d, "part").select(F.col("p_partkey").alias("node"), "p_brand"), "node")
+    return rows.groupBy("p_brand").agg(union_packed()("regs").alias("regs")).select("p_brand", F.round(estimate_packed(64)("regs"), 6).alias("size"))
 
 
+@query("expand_registers_g9", ORACLES["ball_registers_g9"])
+def expand_registers_g9(s, d):
+    sketching.register_expand_registers(s)
+    pack_registers(sketch_of(s, d, "g9").registers().drop("run"), 64).createOrReplaceTempView("packed_counters")
+    return s.sql("SELECT node, e.reg, e.rho FROM packed_counters, LATERAL expand_registers(regs) e")

@@ -5,22 +5,29 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from geocentra.errors import ParameterError
 from geocentra.graph.model import Graph
 from geocentra.plans.checkpoint import cut
 from geocentra.propagate.fixpoint import oriented
 
 
-def native_balls(graph: Graph, lg_k: int = 6, direction: str = "in", max_iter: int = 1000) -> DataFrame:
-    """node, t, size: estimates for every radius until no estimate changes, by whole rounds."""
+def native_balls(graph: Graph, lg_k: int = 6, direction: str = "in", max_iter: int | None = None) -> DataFrame:
+    """node, t, size: estimates for every radius at which a counter changes, by whole rounds until none does.
+
+    A `max_iter` that is reached first is an error: the result would be cut short.
+    """
     arcs = oriented(graph, direction)
     state = cut(graph.vertices.groupBy(F.col("id").alias("node")).agg(F.hll_sketch_agg("id", F.lit(lg_k)).alias("sk")))
     profile = state.select("node", F.lit(0).alias("t"), F.hll_sketch_estimate("sk").alias("size"))
-    for t in range(1, max_iter + 1):
+    t = 0
+    while True:
+        t += 1
         sent = state.join(arcs, F.col("node") == F.col("tx")).select(F.col("rx").alias("node"), "sk").unionByName(state)
         then = cut(sent.groupBy("node").agg(F.hll_union_agg("sk").alias("sk")))
-        size = then.select("node", F.hll_sketch_estimate("sk").alias("size"))
-        rose = cut(size.join(state.select("node", F.hll_sketch_estimate("sk").alias("was")), "node").where("size <> was").select("node", F.lit(t).alias("t"), "size"))
+        # The counters themselves, not their rounded sizes, tell whether a round changed anything.
+        rose = cut(then.join(state.select("node", F.col("sk").alias("was")), "node").where("sk <> was").select("node", F.lit(t).alias("t"), F.hll_sketch_estimate("sk").alias("size")))
         if rose.isEmpty():
-            break
+            return profile
+        if max_iter is not None and t > max_iter:
+            raise ParameterError(f"counters still change after max_iter={max_iter} rounds")
         profile, state = profile.unionByName(rose), then
-    return profile

@@ -2,74 +2,19 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
-
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from geocentra.graph.model import Graph
-from geocentra.plans.checkpoint import cut, cut_by
-from geocentra.propagate.balls import seed_items
-from geocentra.propagate.fixpoint import oriented
-from geocentra.sketch.registers import alpha, log2_registers, register_of
+from geocentra.sketch.registers import alpha
 
 
 def _rows(column: pa.Array | pa.ChunkedArray, p: int) -> np.ndarray:
     return np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(-1, p)
 
 
-def _binaries(table: np.ndarray) -> pa.Array:
-    raw, p = table.tobytes(), table.shape[1]
-    return pa.array([raw[i : i + p] for i in range(0, len(raw), p)], pa.binary())
-
-
-def _maxima(node: np.ndarray, regs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """One row a node, ascending: the registers' maxima of its rows."""
-    order = np.argsort(node, kind="stable")
-    first = np.concatenate(([0], np.flatnonzero(np.diff(node[order])) + 1))
-    return node[order][first], np.maximum.reduceat(regs[order], first, axis=0)
-
-
-def _partial(p: int):
-    """Maxima before the shuffle: one row a node and batch."""
-
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if batch.num_rows:
-                node, regs = _maxima(batch.column("node").to_numpy(), _rows(batch.column("regs"), p))
-                yield pa.RecordBatch.from_arrays([pa.array(node), _binaries(regs)], names=["node", "regs"])
-
-    return run
-
-
-def _sorted_maxima(p: int):
-    """Maxima of rows that come sorted by node; the last node of a batch is carried into the next."""
-
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: tuple[np.ndarray, np.ndarray] | None = None
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            node, regs = batch.column("node").to_numpy(), _rows(batch.column("regs"), p)
-            if held is not None:
-                node, regs = np.concatenate((held[0], node)), np.concatenate((held[1], regs))
-            node, regs = _maxima(node, regs)
-            held = node[-1:], regs[-1:]
-            if len(node) > 1:
-                yield pa.RecordBatch.from_arrays([pa.array(node[:-1]), _binaries(regs[:-1])], names=["node", "regs"])
-        if held is not None:
-            yield pa.RecordBatch.from_arrays([pa.array(held[0]), _binaries(held[1])], names=["node", "regs"])
-
-    return run
-
-
-def _merged(rows: DataFrame, parts: int, p: int) -> DataFrame:
-    """One row a node; no node's rows are gathered, however many senders it has."""
-    return rows.repartition(parts, "node").sortWithinPartitions("node").mapInArrow(_sorted_maxima(p), "node long, regs binary")
-
-
 def pack_registers(registers: DataFrame, p: int) -> DataFrame:
     """node, regs from rows (node, reg, rho): byte j of regs is the rank of register j."""
     byte = F.lpad(F.hex("rho"), 2, "0")
@@ -98,20 +43,12 @@ def estimate_packed(p: int):
     return size
 
 
-def packed_balls(graph: Graph, p: int = 64, direction: str = "in") -> DataFrame:
-    """node, reg, rho of the final counters, by delta rounds on packed counters."""
-    log2_registers(p)
-    spark = graph.arcs.sparkSession
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    arcs = cut_by(oriented(graph, direction), parts, "tx")
-    reg, rho = register_of(F.col("text"), p)
-    seeds = seed_items(graph, 1, False).select("node", reg.alias("reg"), rho.alias("rho")).groupBy("node", "reg").agg(F.max("rho").alias("rho"))
-    state = cut(pack_registers(seeds, p))
-    delta = state
-    while True:
-        sent = delta.join(arcs, F.col("node") == F.col("tx")).select(F.col("rx").alias("node"), "regs").mapInArrow(_partial(p), "node long, regs binary")
-        then = cut(_merged(state.select("node", "regs").unionByName(sent), parts, p))
-        delta = cut(then.join(state.select("node", F.col("regs").alias("was")), "node").where("regs <> was").select("node", "regs"))
-        state = then
-        if delta.isEmpty():
-            return unpack_registers(state, p)
+def union_packed():
+    """A grouped aggregate: the union of binaries."""
+    from pyspark.sql.functions import pandas_udf
+
+    @pandas_udf("binary")
+    def union(regs: pd.Series) -> bytes:
+        return np.maximum.reduce([np.frombuffer(r, np.uint8) for r in regs]).tobytes()
+
+    return union

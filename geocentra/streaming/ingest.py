@@ -2,15 +2,21 @@
 
 from __future__ import annotations
 
+import math
 import uuid
+from collections.abc import Iterator
 
-from pyspark.sql import DataFrame, SparkSession, Window
+import numpy as np
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupStateTimeout
 
 from geocentra.graph.model import Graph
-from geocentra.plans.checkpoint import shared_folder
+from geocentra.operators.ordered import succession_in_steps
+from geocentra.plans.checkpoint import own_folder
 from geocentra.propagate.balls import ball_sketches
-from geocentra.sketch.registers import register_of
+from geocentra.sketch.registers import alpha, register_of
 
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
@@ -24,7 +30,7 @@ def event_stream(spark: SparkSession, path: str) -> DataFrame:
 def run_to_end(stream: DataFrame, mode: str = "append", each=None) -> DataFrame | None:
     """Run a stream over all that is there. Without `each`, its output comes back as a table of the shared folder."""
     spark = stream.sparkSession
-    folder = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+    folder = f"{own_folder(spark)}/stream-{uuid.uuid4().hex}"
     writer = stream.writeStream.option("checkpointLocation", f"{folder}/state").trigger(availableNow=True)
     if each is not None:
         writer.outputMode(mode).foreachBatch(each).start().awaitTermination()
@@ -44,11 +50,8 @@ def run_to_end(stream: DataFrame, mode: str = "append", each=None) -> DataFrame
 
 
 def arcs_of_days(events: DataFrame) -> DataFrame:
-    """day, src, dst: the user of an event -> the user of the next event of the day."""
-    day = F.to_date("ts")
-    following = F.lead("user_id").over(Window.partitionBy(day).orderBy("ts", "event_id"))
-    rows = events.select(day.alias("day"), F.col("user_id").alias("src"), following.alias("dst"))
-    return rows.where("dst is not null and src <> dst").distinct()
+    """src, dst: the user of an event -> the user of the next event of the day."""
+    return succession_in_steps(events, F.to_date("ts"), F.date_trunc("second", "ts"), ["ts", "event_id"], "user_id")
 
 
 def stream_arcs(spark: SparkSession, path: str) -> DataFrame:
@@ -56,13 +59,13 @@ def stream_arcs(spark: SparkSession, path: str) -> DataFrame:
 
     A day's arcs are right once all its events have come in one batch, as with a file a day.
     """
-    folder = f"{shared_folder(spark)}/arcs-{uuid.uuid4().hex}"
+    folder = f"{own_folder(spark)}/arcs-{uuid.uuid4().hex}"
 
     def append(df: DataFrame, batch: int) -> None:
         arcs_of_days(df).write.mode("overwrite").parquet(f"{folder}/batch={batch}")
 
     run_to_end(event_stream(spark, path), each=append)
-    return spark.read.schema("day date, src long, dst long, batch int").parquet(folder).select("src", "dst").distinct()
+    return spark.read.schema("src long, dst long, batch int").parquet(folder).select("src", "dst").distinct()
 
 
 def counts_by_window(stream: DataFrame, length: str, slide: str | None = None, late: str = "1 hour") -> DataFrame:
@@ -84,13 +87,53 @@ def registers_by_type(stream: DataFrame, p: int = 64) -> DataFrame:
     return stream.select("event_type", reg.alias("reg"), rho.alias("rho")).groupBy("event_type", "reg").agg(F.max("rho").alias("rho"))
 
 
+def counters_by_type(stream: DataFrame, p: int = 64) -> DataFrame:
+    """event_type, size: as registers_by_type, with a state of p bytes a type that a function of its own keeps."""
+    reg, rho = register_of(F.concat_ws(":", F.lit(0), F.col("user_id").cast("string")), p)
+    rows = stream.select("event_type", reg.alias("reg"), rho.alias("rho"))
+
+    def update(key: tuple, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        regs = np.frombuffer(state.get[0], np.uint8).copy() if state.exists else np.zeros(p, np.uint8)
+        for batch in batches:
+            np.maximum.at(regs, batch["reg"].to_numpy(), batch["rho"].to_numpy().astype(np.uint8))
+        state.update((regs.tobytes(),))
+        s, z = (2.0 ** -regs.astype(float)).sum(), int((regs == 0).sum())
+        raw = alpha(p) * p * p / s
+        yield pd.DataFrame({"event_type": [key[0]], "size": [p * math.log(p / z) if raw <= 2.5 * p and z else raw]})
+
+    return rows.groupBy("event_type").applyInPandasWithState(update, "event_type string, size double", "regs binary", "update", GroupStateTimeout.NoTimeout)
+
+
+#: Users have smaller ids; the day is in the bits above.
+USER_BITS = 40
+
+
 def snapshot_centrality(events: DataFrame, p: int = 64) -> DataFrame:
     """day, node, size: the coreachable estimate of every user in each day's own graph.
 
     The days' graphs are one graph of disjoint copies, so that one propagation serves all days.
     """
-    arcs = arcs_of_days(events)
-    base = F.datediff("day", F.lit("1970-01-01").cast("date")).cast("long") * F.lit(1 << 40)
-    run = ball_sketches(Graph.from_arcs(arcs.select((base + F.col("src")).alias("src"), (base + F.col("dst")).alias("dst"))), p)
+    day = F.datediff(F.to_date("ts"), F.lit("1970-01-01").cast("date")).cast("long")
+    fits = (F.col("user_id") >= 0) & (F.col("user_id") < F.lit(1 << USER_BITS))
+    node = F.when(fits, F.shiftleft(day, USER_BITS) + F.col("user_id")).otherwise(F.raise_error(F.lit(f"a user id is beyond {USER_BITS} bits")).cast("long"))
+    arcs = succession_in_steps(events.select("ts", "event_id", node.alias("node")), F.to_date("ts"), F.date_trunc("second", "ts"), ["ts", "event_id"], "node")
+    run = ball_sketches(Graph.from_arcs(arcs), p)
     last = run.profile().groupBy("node").agg(F.max_by("size", "t").alias("size"))
-    return last.select(F.floor(F.col("node") / F.lit(1 << 40)).cast("int").alias("day"), (F.col("node") % F.lit(1 << 40)).alias("node"), "size")
+    return last.select(F.shiftright("node", USER_BITS).cast("int").alias("day"), F.col("node").bitwiseAND(F.lit((1 << USER_BITS) - 1)).alias("node"), "size")
+
+
+def stream_snapshots(spark: SparkSession, path: str, where: str = "true", p: int = 64) -> DataFrame:
+    """Snapshots of a stream: after each batch those of the days in it, in place of earlier ones. Batches keep the events of a day they begin."""
+    folder = f"{own_folder(spark)}/snapshots-{uuid.uuid4().hex}"
+
+    def update(df: DataFrame, batch: int) -> None:
+        df.where(where).write.mode("overwrite").parquet(f"{folder}/events/batch={batch}")
+        days = df.select(F.to_date("ts").alias("day")).distinct()
+        so_far = spark.read.schema(EVENTS + ", batch int").parquet(f"{folder}/events").drop("batch")
+        of_days = so_far.join(days, F.to_date("ts") == F.col("day"), "left_semi")
+        snapshot_centrality(of_days, p).write.mode("overwrite").parquet(f"{folder}/out/batch={batch}")
+
+    run_to_end(event_stream(spark, path), each=update)
+    rows = spark.read.schema("day int, node long, size double, batch int").parquet(f"{folder}/out")
+    last = rows.groupBy("day").agg(F.max("batch").alias("batch"))
+    return rows.join(last, ["day", "batch"]).select("day", "node", "size")

@@ -3,6 +3,7 @@ import math
 import pytest
 from pyspark.sql import functions as F
 
+from geocentra.accuracy import errors as A
 from geocentra.accuracy import theory
 from geocentra.centrality import measures as M
 from geocentra.errors import GraphError, ParameterError, WeightError
@@ -12,8 +13,9 @@ from geocentra.graph.components import giant_share, strong_components, weak_comp
 from geocentra.graph.model import Graph, degrees, graph_stats, scale_weights
 from geocentra.propagate.balls import ball_sketches, pattern_balls
 from geocentra.propagate.exact import ads_estimate, all_distances_sketch, exact_pairs
-from geocentra.propagate.wide import wide_balls
-from geocentra.sketch.packed import pack_registers, packed_balls, unpack_registers
+from geocentra.propagate import packed as P
+from geocentra.propagate.packed import packed_balls, packed_patterns
+from geocentra.sketch.packed import pack_registers, unpack_registers
 from geocentra.sketch.registers import alpha, hll_count, log2_registers, md5_bits, register_bits, register_of
 
 SF = "/root/testdata/sf0.01"
@@ -112,8 +114,9 @@ def test_wrong_parameters(tail):
     for kw in ({"direction": "up"}, {"propagation": "half"}, {"runs": 0}, {"hash": "crc"}):
         with pytest.raises(ParameterError):
             ball_sketches(tail, **kw)
-    with pytest.raises(ParameterError):
-        exact_pairs(tail, max_pairs=10)
+    for kw in ({"propagation": "half"}, {"p": 63}, {"direction": "up"}):
+        with pytest.raises(ParameterError):
+            packed_balls(tail, **kw)
 
 
 def test_portable_hash(spark):
@@ -132,10 +135,13 @@ def test_delta_full_packed_agree(spark):
     delta, full = ball_sketches(graph), ball_sketches(graph, propagation="full")
     rows = sorted(map(tuple, delta.registers().select("node", "reg", "rho").collect()))
     assert rows == sorted(map(tuple, full.registers().select("node", "reg", "rho").collect()))
-    assert rows == sorted(map(tuple, packed_balls(graph).collect()))
-    wide = wide_balls(graph, p=16)
-    assert sorted(map(tuple, wide.profile().collect())) == sorted(map(tuple, ball_sketches(graph, p=16).profile().collect()))
-    assert wide_balls(graph, p=16, max_iter=1).truncated
+    packed = packed_balls(graph)
+    assert rows == sorted(map(tuple, packed.registers().select("node", "reg", "rho").collect()))
+    assert sorted(map(tuple, packed.profile().collect())) == sorted(map(tuple, delta.profile().collect()))
+    assert packed_balls(graph, p=16, max_iter=1).truncated
+    whole = packed_balls(graph, propagation="full", gains={})
+    by_node = lambda df: {(r["node"], r["run"]): pytest.approx(tuple(r[n] for n in ("coreach", "sum_dist", "harmonic"))) for r in df.collect()}
+    assert {k: tuple(v.expected) for k, v in by_node(whole.sums()).items()} == by_node(M.ingredients(M.sketch_counts(delta)))
     again = unpack_registers(pack_registers(delta.registers().drop("run"), 64), 64)
     assert rows == sorted(map(tuple, again.collect()))
     runs = ball_sketches(graph, runs=2).registers().where("run = 0").select("node", "reg", "rho")
@@ -168,7 +174,7 @@ def test_golden_totals(spark):
 def test_closed_forms_of_turns(spark):
     rows = M.centralities(M.exact_counts(exact_pairs(views.graph(spark, "/root/testdata/sf0.001", "g9")).pairs())).collect()
     for r in rows:
-        k = r["node"] % 1000
+        k = r["node"] % views.MAX_TURNS
         assert r["coreach"] == k + 1 and r["sum_dist"] == k * (k + 1) / 2
         assert r["lin"] == pytest.approx(2 * (k + 1) / k if k else 1)
 
@@ -256,3 +262,92 @@ def test_plans(spark):
     assert "EqualTo(l_returnflag,R)" in plan and "l_comment" not in plan
     chain = views.turn_chain(spark, SF)._jdf.queryExecution().executedPlan().toString()
     assert "SinglePartition" not in chain
+
+
+@pytest.mark.parametrize("bits", [False, True])
+def test_packed_blocks_hubs_and_tails(spark, monkeypatch, bits):
+    """Many small blocks, spread senders, and rounds that look up which blocks they reach give what rows give."""
+    graph = views.graph(spark, "/root/testdata/sf0.001", "g1")
+    hub = graph.arcs.unionByName(spark.range(300).select(F.lit(7).cast("long").alias("src"), (F.col("id") + 1000).alias("dst"))).unionByName(spark.range(40).select((F.col("id") + 1299).alias("src"), (F.col("id") + 1300).alias("dst")))
+    graph = Graph.from_arcs(hub)
+    rows = (pattern_balls(graph, 8) if bits else ball_sketches(graph, p=16, runs=2)).rounds.final()
+    for name, value in {"HUB_ARCS": 20, "SMALL_ARCS": 50, "TAIL_BLOCKS": 2, "TAIL_SHARE": 0.5}.items():
+        monkeypatch.setattr(P, name, value)
+    monkeypatch.setattr(P.K, "CHUNK_ARCS", 100)
+    run = packed_patterns(graph, 8) if bits else packed_balls(graph, p=16, runs=2)
+    want = {(r["node"], r["run"], r["item"], r["value"]) for r in rows.collect()}
+    assert {(r["node"], r["run"], r["item"], r["value"]) for r in run.final().collect()} == want
+    assert run.sent_bytes[1] > 0 and run.last > 20
+
+
+def test_spread_senders_of_the_row_layout(spark, monkeypatch):
+    from geocentra.propagate import fixpoint
+
+    graph = G.star(spark, 60)
+    want = sorted(map(tuple, exact_pairs(graph).pairs().collect()))
+    monkeypatch.setattr(fixpoint, "HUB_ARCS", 10)
+    assert sorted(map(tuple, exact_pairs(graph).pairs().collect())) == want
+
+
+def test_a_hub_of_a_million_arcs_is_spread(spark):
+    arcs_of = spark.range(1_300_000).select(F.lit(-1).cast("long").alias("src"), F.col("id").alias("dst"))
+    run = packed_balls(Graph(arcs_of.select(F.col("dst").alias("id"), F.lit(1).alias("weight")).unionByName(spark.sql("SELECT -1L AS id, 1 AS weight")), arcs_of), p=16, hash="xx64", gains={})
+    assert run.last == 1 and run.changed[1] > 1_200_000
+
+
+def test_strong_components_of_a_giant(spark):
+    """Two cycles, an arc between them, and tails."""
+    g = Graph.from_arcs(arcs(spark, (1, 2), (2, 3), (3, 1), (3, 4), (4, 5), (5, 4), (5, 9), (8, 1)))
+    assert {r["node"]: r["component"] for r in strong_components(g).collect()} == {1: 1, 2: 1, 3: 1, 4: 4, 5: 4, 8: 8, 9: 9}
+
+
+def test_ranks_without_a_global_window(spark):
+    rows = spark.createDataFrame([(i, float(i % 7), float(i * 31 % 11)) for i in range(100)], "node long, a double, b double")
+    got = M.ranking(rows, "a").collect()
+    want = sorted(((r["a"], r["node"]) for r in rows.collect()), key=lambda x: (-x[0], x[1]))
+    assert [(r["value"], r["node"]) for r in sorted(got, key=lambda r: r["place"])] == want
+    assert sorted(r["place"] for r in got) == list(range(1, 101))
+    a, b = ([r[c] for r in rows.collect()] for c in "ab")
+    sign = lambda x: (x > 0) - (x < 0)
+    tau = sum(sign(a[i] - a[j]) * sign(b[i] - b[j]) for i in range(100) for j in range(i)) / (100 * 99 / 2)
+    assert A.kendall(rows, "a", "b").first()["tau"] == pytest.approx(tau)
+    rank = lambda v, x: sum(y < x for y in v) + (sum(y == x for y in v) + 1) / 2
+    import numpy as np
+
+    assert A.spearman(rows, "a", "b").first()["spearman"] == pytest.approx(np.corrcoef([rank(a, x) for x in a], [rank(b, x) for x in b])[0, 1])
+
+
+def test_steps_make_the_same_succession(spark):
+    from geocentra.operators.ordered import succession, succession_in_steps
+
+    rows = spark.createDataFrame([(i % 3, i * 37 % 101, i) for i in range(100)], "g int, at int, node int")
+    want = sorted(map(tuple, succession(rows, [F.col("g")], ["at"], "node").collect()))
+    assert sorted(map(tuple, succession_in_steps(rows, F.col("g"), F.col("at") / 10 - F.col("at") % 10 / 10, ["at"], "node").collect())) == want
+
+
+def test_turns_beyond_their_bits_are_an_error(spark):
+    with pytest.raises(Exception, match="beyond"):
+        spark.range(1).select(views.turn_node(F.lit(1).cast("long"), F.lit(views.MAX_TURNS).cast("long")).alias("n")).collect()
+
+
+def test_nearest_vectors_in_blocks(spark, monkeypatch):
+    want = sorted(map(tuple, views.vector_knn(spark, "/root/testdata/sf0.001").collect()))
+    monkeypatch.setattr(views, "KNN_BLOCK", 60)
+    assert sorted(map(tuple, views.vector_knn(spark, "/root/testdata/sf0.001").collect())) == want
+
+
+def test_late_rows_are_dropped(spark, tmp_path):
+    """A file whose events are older than the watermark adds nothing; a file within it does."""
+    from geocentra.streaming import ingest
+
+    events = spark.read.parquet("/root/testdata/sf0.001/events.parquet").select("event_id", "ts", "user_id", "event_type", "value", "props")
+    days = [events.where(F.to_date("ts") == d).coalesce(1) for d in ("2024-01-10", "2024-01-12")]
+    days.append(days[0])
+    out = str(tmp_path / "out")
+    for k, day in enumerate(days):
+        day.write.mode("append").parquet(str(tmp_path / "in"))
+        stream = spark.readStream.schema(ingest.EVENTS).parquet(str(tmp_path / "in"))
+        counted = ingest.counts_by_window(stream, "1 day", late="1 hour")
+        counted.writeStream.option("checkpointLocation", str(tmp_path / "state")).outputMode("append").format("parquet").option("path", out).trigger(availableNow=True).start().awaitTermination()
+    got = spark.read.parquet(out).agg(F.sum("n")).first()[0]
+    assert got == days[0].count()

@@ -8,7 +8,7 @@ from geocentra.registry.graphs import ORACLES, QUERIES
 
 SF = "/root/testdata/sf0.001"
 TABLES = ["region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations"]
-SLOW = {"delta_equals_full_g2", "packed_g2", "arcs_g12", "knn_graph"}
+SLOW = {"delta_equals_full_g2", "accuracy_g12", "concentration_g12"}
 SOME = sorted(n for n in ORACLES if n not in SLOW)[::3] + ["sketch_centralities_g2", "exact_centralities_g10", "stream_sessions"]
 
 

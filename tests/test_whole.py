@@ -10,5 +10,5 @@ def test_dominated_over_all_nodes(spark):
     measures = tools._measures(spark, SF).collect()
     rows = [(r["node"], round(r["closeness"], 9), r["coreach"]) for r in measures]
     want = {n: k for n, c, r in rows if (k := sum(c2 > c and r2 > r for _, c2, r2 in rows))}
-    assert {r["node"]: r["better"] for r in QUERIES["dominated_nodes_all"](spark, SF).collect()} == want
+    assert {r["node"]: r["better"] for r in QUERIES["dominated_nodes"](spark, SF).collect()} == want
     assert any(n >= 20000 for n in want)
