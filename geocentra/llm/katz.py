@@ -144,8 +144,7 @@ def _count(order: int):
         new[1:] = h[order_[1:]] != h[order_[:-1]]
         number = np.empty(len(h), np.int64)
         number[order_] = np.cumsum(new) - 1
-        total = np.zeros(int(number.max()) + 1, np.int64)
-        np.add.at(total, number, n)
+        total = np.add.reduceat(n[order_], np.flatnonzero(new))
         g, b, blob, count = [], [], [], []
         if order == 1:
             edges = np.concatenate(([0], np.cumsum([len(a[0]) for a in asked])))

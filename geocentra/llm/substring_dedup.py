@@ -18,7 +18,7 @@ BUCKET_BYTES = 16 << 20
 GROUP_BYTES = 8 << 20
 PIECE_BYTES = 8 << 20
 #: Bytes of a second, independent hash that travel with the seven of the first.
-CHECK_BYTES = 3
+CHECK_BYTES = 2
 
 
 def _send_windows(width: int, n_buckets: int):
@@ -192,8 +192,8 @@ def substring_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
     Each piece of text sends a hash once, however often it holds it, so that a window
     found everywhere costs one record a piece. Windows are equal if 56 bits of one rolling
-    hash and 24 of another, over words hashed with other bases, agree within a bucket that
-    fixes up to 8 more: of 10**13 different windows some 20 would be taken for copies.
+    hash and 16 of another, over words hashed with other bases, agree within a bucket that
+    fixes up to 8 more: of 10**12 different windows less than one is taken for a copy.
     """
     spark = docs.sparkSession
     size = text_bytes(docs, text_col)
