@@ -3,15 +3,18 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from geocentra.llm.plan import load
+from geocentra.llm import blocks as B
+from geocentra.llm.plan import cut, load, small_batches
 
 SHARD_ROWS = 4096
-QUERY_BLOCK = 4096
+QUERY_BLOCK = 2048
 STEP = 64
 
 
@@ -70,18 +73,55 @@ class SortedLists:
         return best_at, best
 
 
-def _search_shard(queries, k: int):
-    def run(table: pa.Table) -> pa.Table:
-        ids = table.column("vec_id").to_numpy()
-        lists = SortedLists(ids, _matrix(table.column("v")))
-        asked, wanted = queries.value
-        out = []
-        for q, vector in zip(asked.tolist(), wanted, strict=True):
-            if len(vector) == lists.vectors.shape[1]:
-                at, score = lists.search(vector, k, q)
-                out.append((np.full(len(at), q), lists.ids[at], score))
-        got = [np.concatenate(x) for x in zip(*out, strict=True)] if out else [np.zeros(0, np.int64)] * 3
-        return pa.table({n: pa.array(x, pa.int64()) for n, x in zip(("query_id", "vec_id", "score"), got, strict=True)})
+    def packed(self) -> bytes:
+        return B.pack(self.ids, self.vectors.ravel(), self.order.ravel().astype(np.int32))
+
+    @classmethod
+    def unpacked(cls, blob: bytes) -> SortedLists:
+        self = cls.__new__(cls)
+        self.ids, vectors, order = B.unpack(blob)
+        n = len(self.ids)
+        self.vectors, self.order = vectors.reshape(n, -1), order.reshape(n, -1).astype(np.int64)
+        self.values = np.take_along_axis(self.vectors, self.order, axis=0)
+        return self
+
+
+_BLOB = "shard int, kind int, dims int, blob binary"
+
+
+def _blob(shard: int, kind: int, dims: int, blob: bytes) -> pa.Table:
+    return pa.table({"shard": pa.array([shard], pa.int32()), "kind": pa.array([kind], pa.int32()), "dims": pa.array([dims], pa.int32()), "blob": pa.array([blob], pa.binary())})
+
+
+def _build_shard(table: pa.Table) -> pa.Table:
+    lists = SortedLists(table.column("vec_id").to_numpy(), _matrix(table.column("v")))
+    return _blob(table.column("shard")[0].as_py(), -1, table.column("dims")[0].as_py(), lists.packed())
+
+
+def _build_block(table: pa.Table) -> pa.Table:
+    return _blob(-1, table.column("kind")[0].as_py(), table.column("dims")[0].as_py(), B.pack(table.column("vec_id").to_numpy(), _matrix(table.column("v")).ravel()))
+
+
+def _search_shard(k: int):
+    """A shard's lists, which come first, and all blocks of queries, one after another."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lists: dict[int, SortedLists] = {}
+        for batch in batches:
+            for i in range(batch.num_rows):
+                shard, kind, dims, blob = (batch.column(c)[i].as_py() for c in ("shard", "kind", "dims", "blob"))
+                if kind < 0:
+                    lists[dims] = SortedLists.unpacked(blob)
+                    continue
+                if dims not in lists:
+                    continue
+                asked, wanted = B.unpack(blob)
+                out = []
+                for q, vector in zip(asked.tolist(), wanted.reshape(len(asked), -1), strict=True):
+                    at, score = lists[dims].search(vector, k, q)
+                    out.append((np.full(len(at), q), lists[dims].ids[at], score))
+                got = [np.concatenate(x) for x in zip(*out, strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(got[0]), shard), pa.int32()), *[pa.array(x, pa.int64()) for x in got]], names=["shard", "query_id", "vec_id", "score"])
 
     return run
 
@@ -104,27 +144,33 @@ def top_k(vectors: DataFrame, is_query, id_col: str = "vec_id", vector_col: str
     that repeat an id the one with the least vector counts. With fewer than k
     candidates all are returned; an empty table gives no rows.
 
-    Vectors are dealt to shards of about `SHARD_ROWS` by a hash of their id; queries
-    go out in blocks of at most `QUERY_BLOCK`, whose size is therefore bounded, and
-    each shard returns at most k rows a query.
+    Vectors are dealt once to shards of about `SHARD_ROWS` by a hash of their id and
+    written as sorted lists. Queries are written as blocks of about `QUERY_BLOCK` and
+    stream through every shard, a block at a time; one plan serves any number of them.
+    Each shard returns at most k rows a query.
     """
     spark = vectors.sparkSession
-    rows = integer_vectors(vectors, id_col, vector_col, scale).groupBy("vec_id").agg(F.min("v").alias("v"))
-    n = vectors.count()
-    n_shards = max(1, math.ceil(n / SHARD_ROWS))
-    dealt = rows.select("vec_id", "v", F.pmod(F.xxhash64("vec_id"), F.lit(n_shards)).cast("int").alias("shard"), F.size("v").alias("dims"))
+    rows = cut(integer_vectors(vectors, id_col, vector_col, scale).groupBy("vec_id").agg(F.min("v").alias("v")).select("vec_id", "v", F.size("v").alias("dims")))
+    n_shards = max(1, math.ceil(rows.count() / SHARD_ROWS))
     asked = rows.where(is_query)
-    n_blocks = max(1, math.ceil(asked.count() / (QUERY_BLOCK // 2)))
-    block = F.pmod(F.xxhash64("vec_id", F.lit(7)), F.lit(n_blocks))
-    found = None
-    for b in range(n_blocks):
-        got = asked.where(block == b).toArrow()
-        sent = spark.sparkContext.broadcast((got.column("vec_id").to_numpy(), [np.array(x, np.int64) for x in got.column("v").to_pylist()]))
-        part = dealt.groupBy("shard", "dims").applyInArrow(_search_shard(sent, k), "query_id long, vec_id long, score long")
-        found = part if found is None else found.unionByName(part)
-    # The k best of the shards' lists: a window over one query's rows, at most k a shard.
-    best = found.groupBy("query_id").agg(F.slice(F.array_sort(F.collect_list(F.struct((-F.col("score")).alias("s"), "vec_id"))), 1, k).alias("best"))
-    return best.select("query_id", F.posexplode("best").alias("rank", "x")).select("query_id", (F.col("rank") + 1).alias("rank"), "x.vec_id", (-F.col("x.s")).alias("score"))
+    n_blocks = max(1, math.ceil(asked.count() / QUERY_BLOCK))
+    spread = lambda n, seed: F.pmod(F.xxhash64("vec_id", F.lit(seed)), F.lit(n)).cast("int")
+    shards = rows.withColumn("shard", spread(n_shards, 3)).groupBy("shard", "dims").applyInArrow(_build_shard, _BLOB)
+    blocks = cut(asked.withColumn("kind", spread(n_blocks, 7)).groupBy("kind", "dims").applyInArrow(_build_block, _BLOB))
+    everywhere = blocks.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(n_shards - 1)))).select("shard", "kind", "dims", "blob")
+    with small_batches(spark, 16):
+        met = shards.unionByName(everywhere).repartition(n_shards, "shard").sortWithinPartitions("shard", "kind").groupBy("shard")
+        found = cut(met.applyInArrow(_search_shard(k), "shard int, query_id long, vec_id long, score long"))
+    # The k best of some shards' lists, then of these: never more than a few hundred rows of one query together.
+    width = math.isqrt(n_shards) + 1
+    if n_shards > 64:
+        found = _best(found.withColumn("shard", (F.col("shard") / width).cast("int")), ["query_id", "shard"], k)
+    return _best(found, ["query_id"], k).select("query_id", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")).alias("rank"), "vec_id", "score")
+
+
+def _best(found: DataFrame, by: list[str], k: int) -> DataFrame:
+    top = F.slice(F.array_sort(F.collect_list(F.struct((-F.col("score")).alias("s"), "vec_id"))), 1, k)
+    return found.groupBy(*by).agg(top.alias("best")).select(*by, F.explode("best").alias("x")).select(*by, "x.vec_id", (-F.col("x.s")).alias("score"))
 
 
 def op10_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
