@@ -23,11 +23,12 @@ GROUP_BYTES = 8 << 20
 PIECE_BYTES = 1 << 19
 #: Per language, at most this many trusted texts train the model: the documented bound of the training sample.
 MAX_TRAINING_TEXTS = 4000
-#: Languages that get a model.
-MAX_LANGUAGES = 256
+#: A shard of the model answers the groups of so much text; beyond it the shard is copied for other groups.
+SALT_BYTES = 16 << 30
 #: A threshold comes from texts within 0, 1 or 2 doublings of a length: the narrowest with so many, else from all of the language.
 MIN_CALIBRATION = 30
 WIDTHS = (0, 1, 2)
+WHOLE = 3
 
 
 def byte_grams(raw: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -137,6 +138,17 @@ class LowOrders:
         ones = (adjusted > 0).sum(axis=0).astype(float)
         self.two = self._level(adjusted, self._level(ones[None], np.full((1, 256), 1 / 256)))
 
+    def packed(self) -> bytes:
+        return B.pack(np.concatenate([self.discount[k] for k in range(3, ORDER + 1)]), self.two.astype(np.float32).ravel())
+
+    @classmethod
+    def read(cls, blob: bytes) -> LowOrders:
+        self = cls.__new__(cls)
+        discount, two = B.unpack(blob)
+        self.discount = {k: discount[4 * (k - 3) : 4 * (k - 2)] for k in range(3, ORDER + 1)}
+        self.two = two.reshape(256, 256).astype(float)
+        return self
+
     @staticmethod
     def _level(adjusted: np.ndarray, lower: np.ndarray) -> np.ndarray:
         """Interpolated probabilities of each row's continuations over the next lower level."""
@@ -211,26 +223,16 @@ def _group_grams(table: pa.Table) -> Iterator[tuple[int, np.ndarray]]:
     yield from sorted(found.items())
 
 
-def _answer(low: dict[int, LowOrders]):
-    """Join of one shard's counts with all groups that asked it."""
-
-    def run(model: pa.Table, asked: pa.Table) -> pa.Table:
-        B.release()
-        g, lang, blob = asked.column("g"), asked.column("lang"), []
-        counts = {}
-        for one, b in zip(model.column("lang").to_pylist(), model.column("blob").to_pylist(), strict=True):
-            gram, n = B.unpack(b)
-            counts[one] = np.cumsum(gram), n
-        none = np.zeros(0, np.int64)
-        shard = asked.column("shard")
-        for one, b in zip(lang.to_pylist(), asked.column("blob").to_pylist(), strict=True):
-            if one in low:
-                blob.append(B.pack(shard_scores(*counts.get(one, (none, none)), low[one], np.cumsum(B.unpack(b)[0])).astype(np.float32)))
-            else:
-                blob.append(None)
-        return pa.table({"g": g, "lang": lang, "shard": shard, "blob": pa.array(blob, pa.binary())})
-
-    return run
+def _answer(model: pa.Table, asked: pa.Table) -> pa.Table:
+    """Join of one shard's counts with all groups that ask this copy of it."""
+    B.release()
+    counts = {}
+    none = np.zeros(0, np.int64)
+    for one, b, low in zip(*(model.column(c).to_pylist() for c in ("lang", "blob", "low")), strict=True):
+        gram, n = B.unpack(b) if b is not None else (none, none)
+        counts[one] = np.cumsum(gram), n, LowOrders.read(low)
+    blob = [B.pack(shard_scores(*counts[one], np.cumsum(B.unpack(b)[0])).astype(np.float32)) if one in counts else None for one, b in zip(asked.column("lang").to_pylist(), asked.column("blob").to_pylist(), strict=True)]
+    return pa.table({"g": asked.column("g"), "lang": asked.column("lang"), "shard": asked.column("shard"), "blob": pa.array(blob, pa.binary())})
 
 
 def _score(docs: pa.Table, answers: pa.Table) -> pa.Table:
@@ -281,31 +283,32 @@ def score_texts(rows: DataFrame, trusted: DataFrame) -> DataFrame:
     """
     counted = trusted.mapInArrow(_count_grams, "shard int, lang long, blob binary").groupBy("shard", "lang").applyInArrow(_merge_counts, "shard int, lang long, kind int, key long, value long, blob binary")
     model = cut(counted)
-    low = _low_orders(model)
-    n_groups = parts_for(rows.sparkSession, text_bytes(rows, "text"), GROUP_BYTES)
+    # The low orders of each language, at most 65,536 numbers, beside each of its shards.
+    sums = model.where("kind > 0").groupBy("lang", "kind", "key").agg(F.sum("value").alias("value"))
+    low = sums.groupBy("lang").applyInArrow(_low_orders, "lang long, low binary").withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(N_SHARDS - 1))))
+    size = text_bytes(rows, "text")
+    n_salts = math.ceil(size / SALT_BYTES) or 1
+    shards = low.join(model.where("kind = 0").select("shard", "lang", "blob"), ["shard", "lang"], "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(n_salts - 1))))
+    n_groups = parts_for(rows.sparkSession, size, GROUP_BYTES)
     # Texts are compressed before they are dealt to groups.
     plain = rows.select("id", "text", "lang", "carried", _group(n_groups).alias("g"))
     kinds = T.StructType([T.StructField("id", T.LongType()), T.StructField("z", T.BinaryType()), T.StructField("lang", T.LongType()), T.StructField("g", T.IntegerType()), T.StructField("carried", rows.schema["carried"].dataType)])
     grouped = plain.mapInArrow(_shrink, kinds)
     asked = grouped.groupBy("g").applyInArrow(_ask_grams, "shard int, lang long, g int, blob binary")
-    told = model.where("kind = 0").select("shard", "lang", "blob").groupBy("shard").cogroup(asked.groupBy("shard")).applyInArrow(_answer(low), "g int, lang long, shard int, blob binary")
+    asked = asked.withColumn("salt", F.pmod("g", F.lit(n_salts)))
+    told = shards.select("shard", "salt", "lang", "blob", "low").groupBy("shard", "salt").cogroup(asked.groupBy("shard", "salt")).applyInArrow(_answer, "g int, lang long, shard int, blob binary")
     out = T.StructType([T.StructField("id", T.LongType()), T.StructField("n_tokens", T.LongType()), T.StructField("score", T.DoubleType()), T.StructField("carried", rows.schema["carried"].dataType)])
     return grouped.groupBy("g").cogroup(told.groupBy("g")).applyInArrow(_score, out)
 
 
-def _low_orders(model: DataFrame) -> dict[int, LowOrders]:
-    """The low orders of each language of the training sample: at most 65,536 numbers each, whatever the corpus."""
-    sums = model.where("kind > 0").groupBy("lang", "kind", "key").agg(F.sum("value").alias("value")).toArrow()
-    lang, kind, key, value = (sums.column(c).to_numpy() for c in ("lang", "kind", "key", "value"))
-    out = {}
-    for one in np.unique(lang).tolist():
-        counts = {k: [0] * 4 for k in range(3, ORDER + 1)}
-        high = np.flatnonzero((lang == one) & (kind > 2))
-        for i in high.tolist():
-            counts[int(kind[i])][int(key[i]) - 1] = int(value[i])
-        pairs = (lang == one) & (kind == 2)
-        out[one] = LowOrders(counts, key[pairs], value[pairs])
-    return out
+def _low_orders(sums: pa.Table) -> pa.Table:
+    """The low orders of one language."""
+    kind, key, value = (sums.column(c).to_numpy() for c in ("kind", "key", "value"))
+    counts = {k: [0] * 4 for k in range(3, ORDER + 1)}
+    for i in np.flatnonzero(kind > 2).tolist():
+        counts[int(kind[i])][int(key[i]) - 1] = int(value[i])
+    pairs = kind == 2
+    return pa.table({"lang": sums.column("lang").slice(0, 1), "low": pa.array([LowOrders(counts, key[pairs], value[pairs]).packed()], pa.binary())})
 
 
 def classify(
@@ -329,8 +332,8 @@ def classify(
 
     Returns id, version (the xxhash64 of the text), lang, n_tokens (bytes and one end),
     score (log10 probability), perplexity, rate (-log10 a token), threshold and
-    kept. Empty texts are kept. Languages without trusted text have no threshold and keep all; so do all but
-    the MAX_LANGUAGES languages with most trusted texts, which bounds the model.
+    kept. Empty texts are kept. Languages without trusted text have no threshold and keep
+    all. Models are rows of tables by language and shard, however many languages there are.
 
     Null texts are empty, a null language is a language of its own; null or repeated
     ids and repeated rows are judged row by row; empty tables are fine.
@@ -341,17 +344,15 @@ def classify(
     rows = docs.select(F.col(id_col).cast("long").alias("id"), text.alias("text"), name.alias("lang"), F.struct(name.alias("name"), F.col(lang_col).alias("lang"), F.xxhash64(text).alias("version")).alias("carried"))
     half = F.pmod(F.xxhash64("id", F.lit(11)), F.lit(2))
     # The bound on the sample: a share of each language by hash, and so spread over all data.
-    counted = rows.select("id", "lang").join(trusted.where(half == 0), "id").groupBy("lang").agg(F.count(F.lit(1)).alias("n"))
-    sizes = {r["lang"]: r["n"] for r in counted.orderBy(F.desc("n"), "lang").limit(MAX_LANGUAGES).collect()}
+    candidates = rows.select("id", "lang").join(trusted.where(half == 0), "id")
+    share = candidates.groupBy("lang").agg(F.least(F.lit(1.0), F.lit(float(max_training_texts)) / F.count(F.lit(1))).alias("share"))
     mark = F.pmod(F.xxhash64("id", F.lit(13)), F.lit(1 << 20))
-    chosen = F.lit(False)
-    for one, n in sizes.items():
-        chosen = chosen | ((F.col("lang") == one) & (mark < math.ceil((1 << 20) * min(1.0, max_training_texts / n))))
-    sample = rows.where(chosen & (half == 0)).select("id", "text", "lang").join(trusted, "id").select("text", "lang")
+    chosen = cut(candidates.join(share, "lang").where(mark < F.ceil(F.col("share") * (1 << 20))).select("id").distinct())
+    sample = rows.where(half == 0).select("id", "text", "lang").join(chosen, "id").select("text", "lang")
     scored = cut(score_texts(rows, sample).select("id", "n_tokens", "score", "carried.*"))
     rate = -F.col("score") / F.col("n_tokens")
     judged = scored.withColumn("rate", rate).withColumn("octave", _octave(F.col("n_tokens")))
-    limits = F.broadcast(_thresholds(judged.join(trusted.where(half == 1), "id").where("score is not null"), quantile, slack))
+    limits = _thresholds(judged.join(trusted.where(half == 1), "id").where("score is not null"), quantile, slack)
     told = judged.join(limits, ["name", "octave"], "left")
     perplexity = F.pow(F.lit(10.0), rate)
     kept = F.coalesce((F.col("rate") <= F.col("threshold")) | (F.col("n_tokens") <= 1), F.lit(True))
@@ -363,13 +364,14 @@ def _octave(n_tokens: Column) -> Column:
 
 
 def _thresholds(calibration: DataFrame, quantile: float, slack: float) -> DataFrame:
-    """name, octave, threshold: for every length of every language of `calibration` (name, octave, rate), at most 64 rows a language."""
+    """name, octave, threshold: for every length of every language of `calibration` (name, octave, rate), 64 rows a language."""
     near = [F.struct(F.lit(w).alias("w"), (F.col("octave") + k).alias("o")) for w in WIDTHS for k in range(-w, w + 1)]
-    spread = calibration.select("name", "rate", F.explode(F.array(*near, F.struct(F.lit(-1).alias("w"), F.lit(0).alias("o")))).alias("x")).select("name", "rate", "x.*")
+    spread = calibration.select("name", "rate", F.explode(F.array(*near, F.struct(F.lit(WHOLE).alias("w"), F.lit(0).alias("o")))).alias("x")).select("name", "rate", "x.*")
     found = spread.groupBy("name", "w", "o").agg(F.count(F.lit(1)).alias("n"), F.percentile_approx("rate", quantile, 100000).alias("t"))
-    at = {(r["name"], r["w"], r["o"]): r["t"] for r in found.where((F.col("w") < 0) | (F.col("n") >= MIN_CALIBRATION)).collect()}
-    rows = [(name, o, slack + next(at[k] for k in [*((name, w, o) for w in WIDTHS), (name, -1, 0)] if k in at)) for name in sorted({k[0] for k in at}) for o in range(64)]
-    return calibration.sparkSession.createDataFrame(rows, "name long, octave int, threshold double")
+    # All of a language serves every length; the narrowest of the others goes before it.
+    lengths = F.when(F.col("w") == WHOLE, F.sequence(F.lit(0), F.lit(63))).otherwise(F.array("o"))
+    usable = found.where((F.col("w") == WHOLE) | (F.col("n") >= MIN_CALIBRATION)).select("name", "w", "t", F.explode(lengths).alias("octave"))
+    return cut(usable.groupBy("name", "octave").agg((F.min_by("t", "w") + slack).alias("threshold")))
 
 
 def op3_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
