@@ -1,37 +1,5 @@
-"""Connected components of a graph of links, as joins and minima over checkpointed tables."""
+"""Connected components of a graph of links: the library's own."""
 
-from __future__ import annotations
+from geocentra.graph.components import connected as connected_components
 
-from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
-
-from geocentra.llm.plan import cut
-
-
-def connected_components(links: DataFrame) -> DataFrame:
-    """(node, component) for every node of `links` (columns a, b); a component is named by its smallest node.
-
-    Alternates the published large-star and small-star steps, which move every link to
-    ever smaller nodes until each component is a star around its smallest one. The
-    only group operation is a minimum, which Spark computes before it shuffles, so a
-    node with very many links costs one row per task.
-    """
-    now = cut(links.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
-    if now.isEmpty():
-        return now.select(F.col("a").alias("node"), F.col("b").alias("component"))
-    while True:
-        both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-        # large star: the larger neighbours of a node go to the smallest around it
-        large = both.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
-        # small star: the smaller neighbours of a node, and it, go to the smallest of them
-        least = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(least, "a")
-        then = cut(small.where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(least.select("a", F.col("m").alias("b"))).distinct())
-        done = then.groupBy("a").count().where("count > 1").limit(1).unionAll(
-            then.select("b").join(then.select("a"), F.col("b") == F.col("a"), "left_semi").select("b", F.lit(0).cast("long")).limit(1)
-        ).isEmpty()
-        now = then
-        if done:
-            break
-    return now.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(now.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())
+__all__ = ["connected_components"]

@@ -17,7 +17,7 @@ from geocentra.llm.plan import cut, cut_dealt, load, parts_for, text_bytes
 
 PIECE_BYTES = 4 << 20
 BUCKET_BYTES = 16 << 20
-BLOCK_ROWS = 1024
+BLOCK_ROWS = 512
 
 
 @dataclass(frozen=True)
@@ -257,7 +257,8 @@ def _compare_blocks(width: int, percent: int, agreeing: int):
         _, code = np.unique(np.concatenate(values), return_inverse=True)
         offs = np.concatenate(([0], np.cumsum(size)))
         mark = np.zeros(int(code.max(initial=0)) + 1, bool)
-        out: list[tuple[int, int]] = []
+        begun = component.copy()
+        out: list[tuple[int, int, int, int]] = []
         for x in range(len(ids)) if within else np.flatnonzero(~side).tolist():
             other = component != component[x]
             if not within:
@@ -273,13 +274,42 @@ def _compare_blocks(width: int, percent: int, agreeing: int):
             mark[mine] = False
             for k in y[100 * common >= percent * (size[x] + size[y] - common)].tolist():
                 if component[k] != component[x]:
-                    out.append((int(ids[x]), int(ids[k])))
+                    out.append((int(ids[x]), int(ids[k]), int(begun[x]), int(begun[k])))
                     component[component == component[k]] = component[x]
-        return pa.table({"a": pa.array([a for a, _ in out], pa.int64()), "b": pa.array([b for _, b in out], pa.int64())})
+        columns = zip(*out, strict=True) if out else [()] * 4
+        return pa.table({n: pa.array(list(c), pa.int64()) for n, c in zip(("a", "b", "ca", "cb"), columns, strict=True)})
 
     return run
 
 
+def _left_apart(seen: DataFrame, tried: DataFrame, component: DataFrame) -> DataFrame:
+    """side, grp, id, c, blocks, block: the groups of documents whose candidates must still be compared with each other.
+
+    What keys connect, directly or not, is a family. Of a family whose links so far leave
+    several components either all documents are one group (side 0), or those of each key
+    that has several components (side 1; equal sets of documents once), whichever
+    compares fewer pairs.
+    """
+    family = connected_components(tried)
+    ids = cut(family.select(F.col("node").alias("id"), F.col("component").alias("family")).join(component.select(F.col("node").alias("id"), "component"), "id", "left").select("id", "family", F.coalesce("component", "id").alias("c")))
+    apart = cut(ids.groupBy("family").agg(F.count(F.lit(1)).alias("k"), F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi and k > 2").select("family", "k"))
+    members = cut(seen.where("key is not null").select("key", F.col("a").alias("id")).distinct().join(ids, "id").select("key", "id", "family", "c"))
+    marks = [F.bit_xor(F.xxhash64("id", F.lit(i))).alias(f"f{i}") for i in (1, 2)]
+    by_key = members.groupBy("key").agg(F.count(F.lit(1)).alias("k"), F.min("c").alias("lo"), F.max("c").alias("hi"), F.min("family").alias("family"), *marks).where("lo <> hi and k > 2")
+    keys = cut(by_key.groupBy("family", "k", "f1", "f2").agg(F.min("key").alias("key")).select("family", "k", "key"))
+    cost = keys.groupBy("family").agg(F.sum(F.col("k").cast("double") * F.col("k")).alias("pairs"))
+    way = cut(apart.join(cost, "family").select("family", "k", (F.col("pairs") < F.col("k").cast("double") * F.col("k")).alias("by_keys")))
+    chosen = way.where("not by_keys").select(F.lit(0).alias("side"), F.col("family").alias("grp"), "k")
+    chosen = cut(chosen.unionByName(keys.join(way.where("by_keys").select("family"), "family").select(F.lit(1).alias("side"), F.col("key").alias("grp"), "k")))
+    rows = ids.select(F.lit(0).alias("side"), F.col("family").alias("grp"), "id", "c").unionByName(members.select(F.lit(1).alias("side"), F.col("key").alias("grp"), "id", "c"))
+    # Groups of a 4096th of all rows and more are 4096 at most: these go out whole, and no hot group is shuffled.
+    many = max(BLOCK_ROWS, (ids.count() + members.count()) // 4096)
+    hot = F.broadcast(chosen.where(F.col("k") >= many))
+    rest = rows.join(hot.select("side", "grp"), ["side", "grp"], "left_anti").join(chosen.where(F.col("k") < many), ["side", "grp"])
+    found = rows.join(hot, ["side", "grp"]).unionByName(rest).withColumn("blocks", F.ceil(F.col("k") / BLOCK_ROWS))
+    return found.select("side", "grp", "id", "c", "blocks", F.pmod(F.xxhash64("id"), F.col("blocks")).alias("block"))
+
+
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, banding: Banding = Banding()) -> DataFrame:
     """Group documents whose sets of `width`-word shingles (A-Z folded) have a Jaccard similarity of percent/100 or more.
 
@@ -293,10 +323,10 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     An empty table gives no rows.
 
     Equal sets are one class from the start. Of a key's documents each is compared to
-    the key's smallest. Documents that keys connect are a family; a family that these
-    links leave in several components is compared in blocks of BLOCK_ROWS, all that is
-    not yet connected with all, so no candidate is dropped. A large family is spread
-    over pairs of blocks; a block emits only links that join components.
+    the key's smallest. What these links leave apart is compared again, within its keys
+    or among all that keys connect, whichever is less (see _left_apart), so no candidate
+    is dropped. Groups are spread over pairs of blocks of BLOCK_ROWS; a pair of blocks
+    emits only links that join components.
     """
     spark = docs.sparkSession
     text = F.col(text_col).cast("string")
@@ -324,18 +354,14 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     tried = cut(seen.where("key is null").select("a", "b").distinct())
     links = cut(confirmed(tried))
     component = connected_components(links)
-    # Documents that keys connect, directly or not, are a family; what a family's links so far leave
-    # apart is compared in blocks, all with all.
-    family = connected_components(tried)
-    placed = cut(family.select(F.col("node").alias("id"), F.col("component").alias("family")).join(component.select(F.col("node").alias("id"), "component"), "id", "left").select("id", "family", F.coalesce("component", "id").alias("c")))
-    apart = placed.groupBy("family").agg(F.count(F.lit(1)).alias("k"), F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi and k > 2").select("family", F.ceil(F.col("k") / BLOCK_ROWS).alias("blocks"))
-    dealt = placed.join(apart, "family").select("family", "id", "c", "blocks", F.pmod(F.xxhash64("id"), F.col("blocks")).alias("block"))
-    paired = dealt.join(texts, "id").select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"))
-    tasks = paired.select("family", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "id", "c", "minima", "z")
-    more = cut(tasks.groupBy("family", "i", "j").applyInArrow(_compare_blocks(width, percent, banding.agreeing(percent)), "a long, b long"))
-    if not more.isEmpty():
-        component = connected_components(links.unionByName(more))
-    by_class = classes.select("n", "p1", "p2", F.col("id").alias("head")).join(component.select(F.col("node").alias("head"), "component"), "head", "left").select("n", "p1", "p2", F.coalesce("component", "head").alias("component"))
+    groups = _left_apart(seen, tried, component)
+    paired = groups.join(texts, "id").select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"))
+    tasks = paired.select("side", "grp", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "id", "c", "minima", "z")
+    more = cut(tasks.groupBy("side", "grp", "i", "j").applyInArrow(_compare_blocks(width, percent, banding.agreeing(percent)), "a long, b long, ca long, cb long"))
+    heads = classes.select("n", "p1", "p2", F.col("id").alias("head")).join(component.select(F.col("node").alias("head"), "component"), "head", "left").select("n", "p1", "p2", F.coalesce("component", "head").alias("c"))
+    # Later links join components: only these are connected once more.
+    joined = connected_components(more.select(F.col("ca").alias("a"), F.col("cb").alias("b")))
+    by_class = heads.join(joined.select(F.col("node").alias("c"), "component"), "c", "left").select("n", "p1", "p2", F.coalesce("component", "c").alias("component"))
     named = one.select("id", "version", "n", "p1", "p2").join(by_class, ["n", "p1", "p2"], "left")
     found = named.select("id", "version", F.col("n").alias("n_shingles"), F.coalesce("component", "id").alias("component"))
     nameless = signed.where("id is null").select("id", "version", F.col("n").alias("n_shingles"), F.lit(None).cast("long").alias("component"))
