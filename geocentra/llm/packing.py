@@ -139,7 +139,7 @@ def pack_best_fit(
     bins and a rest. Returns one row a piece: id, piece, first_token, n_tokens, bin,
     slot, start (the piece's place in the bin), source, cluster.
 
-    Texts are dealt by a hash of id and text to groups of about `group_rows`, and each
+    Texts are dealt by a hash of id and text (without an id: of their place in the input) to groups of about `group_rows`, and each
     group packs its own bins; so a frequent source or cluster is spread evenly, and
     bins left open are a vanishing share. Null texts are empty; empty texts become one
     piece of no tokens. A null source or cluster conflicts with nothing. Null and
@@ -153,7 +153,8 @@ def pack_best_fit(
         (n_tokens if n_tokens is not None else word_count(text)).cast("long").alias("n_tokens"),
         (F.col(source_col).cast("string") if source_col else F.lit(None).cast("string")).alias("source"),
         (cluster if cluster is not None else F.when(F.length(text) > 0, F.xxhash64(text))).cast("long").alias("cluster"),
-        F.xxhash64(id_col, text_col).alias("order"),
+        # Rows without an id, which may all be equal, are spread by their place in the input.
+        F.when(F.col(id_col).isNull(), F.xxhash64(F.monotonically_increasing_id())).otherwise(F.xxhash64(id_col, text_col)).alias("order"),
         F.xxhash64(F.col(text_col).cast("string")).alias("version"),
     )
     if clusters is not None:
