@@ -14,8 +14,8 @@ from geocentra.operators.ordered import clean_arcs, succession, succession_in_st
 
 #: Vectors of one block; blocks are compared with each other.
 KNN_BLOCK = 4096
-#: Turns of one conversation that have ids of their own.
-MAX_TURNS = 1 << 20
+#: Turns of one conversation that have ids of their own, and those of them with ids next to each other.
+MAX_TURNS, SHORT = 1 << 20, 1000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -83,9 +83,14 @@ def page_page(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def turn_node(conv: Column, turn: Column) -> Column:
-    """The node of a conversation's turn; turns that would meet the next conversation's ids are an error."""
-    fits = (turn >= 0) & (turn < MAX_TURNS)
-    return F.when(fits, conv * MAX_TURNS + turn).otherwise(F.raise_error(F.lit(f"a turn is beyond {MAX_TURNS}")).cast("long"))
+    """The node of a conversation's turn. Turns from SHORT on have negative ids; what has no id of its own is an error."""
+    short, long = (turn >= 0) & (turn < SHORT), (turn >= SHORT) & (turn < MAX_TURNS)
+    wrong = F.raise_error(F.lit(f"a conversation below 0, or a turn beyond {MAX_TURNS}")).cast("long")
+    return F.when((conv >= 0) & short, conv * SHORT + turn).when((conv >= 0) & long, -(conv * MAX_TURNS + turn)).otherwise(wrong)
+
+
+def turn_of(node: Column) -> Column:
+    return F.when(node >= 0, node % SHORT).otherwise(-node % MAX_TURNS)
 
 
 def turn_chain(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -162,6 +162,8 @@ class State:
         if self.nodes is None:
             self.nodes, self.regs, self.carried = nodes, regs, carried
             return
+        if carried.shape[1] != self.carried.shape[1]:  # a hub's copy comes without sums, and senders need none
+            carried, self.carried = carried[:, :0], self.carried[:, :0]
         at = np.minimum(np.searchsorted(self.nodes, nodes), max(0, len(self.nodes) - 1))
         known = self.nodes[at] == nodes if len(self.nodes) else np.zeros(len(nodes), bool)
         self.writable()

@@ -36,7 +36,7 @@ ARCS: dict[str, str] = {
     "g6": f"SELECT DISTINCT {kind('page', 'page_id')} AS src, {text_id('term', 'link')} AS dst FROM (SELECT page_id, unnest(links) AS link FROM {_LINKS})",
     "g7": f"SELECT DISTINCT {text_id('host', 'host')} AS src, {text_id('term', 'link')} AS dst FROM (SELECT regexp_extract(url, '://([^/?#]*)', 1) AS host, unnest(links) AS link FROM {_LINKS})",
     "g8": f"SELECT DISTINCT a.page_id AS src, b.page_id AS dst FROM (SELECT page_id, unnest(links) AS link FROM {_LINKS}) a JOIN {_LINKS} b ON len(b.links) > 0 AND a.link = b.links[-1] WHERE a.page_id <> b.page_id",
-    "g9": _succession("(SELECT conv_id, turn, conv_id * 1048576 + turn AS node FROM conversations)", "conv_id", "turn", "node"),
+    "g9": _succession("(SELECT conv_id, turn, CASE WHEN turn < 1000 THEN conv_id * 1000 + turn ELSE -(conv_id * 1048576 + turn) END AS node FROM conversations)", "conv_id", "turn", "node"),
     "g10": _succession(_LINES, "line", "doc_id", "doc_id"),
     "days": "SELECT DISTINCT src, dst FROM (SELECT day * 1099511627776 + user_id AS src, day * 1099511627776 + lead(user_id) OVER (PARTITION BY day ORDER BY ts, event_id) AS dst FROM (SELECT date_diff('day', DATE '1970-01-01', ts::DATE) AS day, user_id, ts, event_id FROM events WHERE event_type = 'error')) WHERE dst IS NOT NULL AND src <> dst",
     "g11": f"SELECT {kind('customer', 'c_custkey')} AS src, {kind('nation', 'c_nationkey')} AS dst FROM customer UNION SELECT {kind('supplier', 's_suppkey')}, {kind('nation', 's_nationkey')} FROM supplier UNION SELECT {kind('nation', 'n_nationkey')}, {kind('region', 'n_regionkey')} FROM nation",

@@ -181,9 +181,9 @@ for _kind, _sql in (("cube", "CUBE (p_brand, p_type)"), ("rollup", "ROLLUP (p_br
         return rounded(sets.agg(F.count(F.lit(1)).alias("n"), F.avg("harmonic").alias("harmonic")), ["harmonic"])
 
 
-query("measure_pivot", f"{_MEASURES_G9} SELECT node % 1048576 AS turn, round(max(closeness), 6) AS closeness, round(max(harmonic), 6) AS harmonic, round(max(lin), 6) AS lin FROM measures GROUP BY ALL")(
+query("measure_pivot", f"{_MEASURES_G9} SELECT CASE WHEN node >= 0 THEN node % 1000 ELSE -node % 1048576 END AS turn, round(max(closeness), 6) AS closeness, round(max(harmonic), 6) AS harmonic, round(max(lin), 6) AS lin FROM measures GROUP BY ALL")(
     lambda s, d: rounded(
-        _measures(s, d).select((F.col("node") % views.MAX_TURNS).alias("turn"), F.explode(F.array(*[F.struct(F.lit(n).alias("m"), F.col(n).alias("v")) for n in ("closeness", "harmonic", "lin")])).alias("x")).select("turn", "x.*").groupBy("turn").pivot("m", ["closeness", "harmonic", "lin"]).agg(F.max("v")),
+        _measures(s, d).select(views.turn_of(F.col("node")).alias("turn"), F.explode(F.array(*[F.struct(F.lit(n).alias("m"), F.col(n).alias("v")) for n in ("closeness", "harmonic", "lin")])).alias("x")).select("turn", "x.*").groupBy("turn").pivot("m", ["closeness", "harmonic", "lin"]).agg(F.max("v")),
         ["closeness", "harmonic", "lin"],
     )
 )
