@@ -12,16 +12,16 @@ from geocentra.accuracy import errors as A
 from geocentra.accuracy import theory
 from geocentra.centrality import measures as M
 from geocentra.graph import views
-from geocentra.graph.components import strong_components, weak_components
+from geocentra.graph.components import giant_share, strong_components, weak_components
 from geocentra.graph.generators import kronecker
-from geocentra.graph.model import Graph, graph_stats, indegree
+from geocentra.graph.model import Graph, graph_stats, indegree, scale_weights
 from geocentra.plans.checkpoint import cut
 from geocentra.propagate.balls import ball_sketches, pattern_balls
 from geocentra.propagate.exact import ads_estimate, all_distances_sketch, exact_pairs, sampled_bfs
 from geocentra.propagate.packed import packed_balls, packed_patterns
 from geocentra.registry import sql as S
 from geocentra.sketch.native import native_balls
-from geocentra.sketch.registers import hll_count, md5_bits, register_of, union_registers
+from geocentra.sketch.registers import hll_count, md5_bits, register_bits, register_of, union_registers
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -96,6 +96,19 @@ _DRAWN = "SELECT i, level, ('0x' || substr(md5('1:' || i || ':' || level), 1, 15
 _CELLS = f"SELECT i, level, (u >= 612032840)::INTEGER + (u >= 816043786)::INTEGER + (u >= 1020054733)::INTEGER AS c FROM ({_DRAWN})"
 
 
+@query("giant_share_g8", f"{S.pairs('g8')}, parts AS (SELECT a.node, min(a.source) AS component FROM reach a JOIN reach b ON a.node = b.source AND a.source = b.node GROUP BY a.node), sizes AS (SELECT count(*) AS k FROM parts GROUP BY component) SELECT round(max(k) / sum(k), 6) AS share FROM sizes")
+def giant_share_g8(spark, d):
+    return rounded(giant_share(strong_components(views.graph(spark, d, "g8"))), ["share"])
+
+
+query("scaled_weights", "SELECT p_partkey AS id, greatest(1, ceil(p_retailprice * 50 / (SELECT max(p_retailprice) FROM part)))::INTEGER AS weight FROM part")(
+    lambda spark, d: scale_weights(views.table(spark, d, "part").select(F.col("p_partkey").alias("id"), "p_retailprice"), "p_retailprice", 50).select("id", "weight")
+)
+query("register_sizing", "SELECT n, ceil(log2(log2(n)))::INTEGER AS bits FROM (SELECT unnest([1000, 1000000, 1000000000, 1000000000000]::BIGINT[]) AS n)")(
+    lambda spark, d: spark.createDataFrame([(10**k, register_bits(10**k)) for k in (3, 6, 9, 12)], "n long, bits int")
+)
+
+
 @query("kronecker_source", f"SELECT DISTINCT src, dst FROM (SELECT i, sum((c // 2) * (1 << (10 - level)))::BIGINT AS src, sum((c % 2) * (1 << (10 - level)))::BIGINT AS dst FROM ({_CELLS}) GROUP BY i) WHERE src <> dst")
 def kronecker_source(spark, d):
     return kronecker(spark, [[0.57, 0.19], [0.19, 0.05]], 10, 8000, seed=1, portable=True).arcs
