@@ -287,8 +287,8 @@ def _left_apart(seen: DataFrame, tried: DataFrame, component: DataFrame) -> Data
 
     What keys connect, directly or not, is a family. Of a family whose links so far leave
     several components either all documents are one group (side 0), or those of each key
-    that has several components (side 1; equal sets of documents once), whichever
-    compares fewer pairs.
+    that has several components (side 1; equal sets of documents once), if that compares
+    fewer pairs and sends no more texts.
     """
     family = connected_components(tried)
     ids = cut(family.select(F.col("node").alias("id"), F.col("component").alias("family")).join(component.select(F.col("node").alias("id"), "component"), "id", "left").select("id", "family", F.coalesce("component", "id").alias("c")))
@@ -297,8 +297,10 @@ def _left_apart(seen: DataFrame, tried: DataFrame, component: DataFrame) -> Data
     marks = [F.bit_xor(F.xxhash64("id", F.lit(i))).alias(f"f{i}") for i in (1, 2)]
     by_key = members.groupBy("key").agg(F.count(F.lit(1)).alias("k"), F.min("c").alias("lo"), F.max("c").alias("hi"), F.min("family").alias("family"), *marks).where("lo <> hi and k > 2")
     keys = cut(by_key.groupBy("family", "k", "f1", "f2").agg(F.min("key").alias("key")).select("family", "k", "key"))
-    cost = keys.groupBy("family").agg(F.sum(F.col("k").cast("double") * F.col("k")).alias("pairs"))
-    way = cut(apart.join(cost, "family").select("family", "k", (F.col("pairs") < F.col("k").cast("double") * F.col("k")).alias("by_keys")))
+    size = F.col("k").cast("double")
+    sent = size * F.ceil(F.col("k") / BLOCK_ROWS)
+    cost = keys.groupBy("family").agg(F.sum(size * size).alias("pairs"), F.sum(sent).alias("texts"))
+    way = cut(apart.join(cost, "family").select("family", "k", ((F.col("pairs") < size * size) & (F.col("texts") <= sent)).alias("by_keys")))
     chosen = way.where("not by_keys").select(F.lit(0).alias("side"), F.col("family").alias("grp"), "k")
     chosen = cut(chosen.unionByName(keys.join(way.where("by_keys").select("family"), "family").select(F.lit(1).alias("side"), F.col("key").alias("grp"), "k")))
     rows = ids.select(F.lit(0).alias("side"), F.col("family").alias("grp"), "id", "c").unionByName(members.select(F.lit(1).alias("side"), F.col("key").alias("grp"), "id", "c"))
