@@ -7,8 +7,10 @@ from geocentra.centrality import measures as M
 from geocentra.graph import generators as G
 from geocentra.graph.model import Graph
 from geocentra.propagate import local as L
+from geocentra.propagate import packed as P
 from geocentra.propagate.balls import ball_sketches, pattern_balls
 from geocentra.propagate.exact import exact_pairs
+from geocentra.propagate.packed import packed_balls, packed_patterns
 
 
 def rows(df):
@@ -60,3 +62,31 @@ def test_no_arcs(spark):
     assert rows(exact_pairs(graph).pairs()) == [(0, 0, 0), (1, 1, 0), (2, 2, 0)]
     assert rows(exact_pairs(graph).counts()) == [(k, 0, 0, 1.0) for k in range(3)]
     assert ball_sketches(graph, 16).profile().count() == 3
+
+
+def _left(run, sums):
+    return [run.changed, run.last, rows(run.final()), *([rows(run.sums()), rows(run.neighbourhood_function())] if sums else [rows(run.profile())])]
+
+
+@pytest.mark.parametrize("bits, gains, direction", [(False, None, "out"), (False, {"log": lambda t: 1 / (t + 1)}, "in"), (True, None, "in")])
+def test_packed_runs_of_tasks_and_of_tables_agree(spark, monkeypatch, graph, bits, gains, direction):
+    made = lambda: packed_patterns(graph, 8, 2, direction, gains=gains) if bits else packed_balls(graph, 16, 3, direction, gains=gains)
+    monkeypatch.setattr(P.W, "ROW_BYTES", 300)
+    monkeypatch.setattr(L, "TASK_BYTES", 200)
+    got = made()
+    assert got.last > 1 and got.sent_bytes[1] > 0
+    got = _left(got, gains is not None)
+    monkeypatch.setattr(P, "LOCAL_BYTES", 0)
+    want = _left(made(), gains is not None)
+    assert got[:3] == want[:3]
+    for a, b in zip(got[3:], want[3:], strict=True):
+        assert [x for r in a for x in r] == pytest.approx([x for r in b for x in r], abs=1e-9)
+
+
+def test_packed_rounds_of_a_long_path_are_no_jobs(spark):
+    graph = G.path(spark, 3000)
+    spark.sparkContext.setJobGroup("packed path", "packed path")
+    run = packed_balls(graph, 16, gains={})
+    spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("packed path")) < 25
+    assert run.last > 100 and run.sums().count() == 3000
