@@ -165,3 +165,29 @@ def test_blobs_come_back():
     arrays = [np.arange(5, dtype=np.int64), np.zeros(0, np.uint16), np.arange(14, dtype=np.uint8).reshape(2, 7), np.arange(1000, dtype=np.int32)]
     for a, b in zip(arrays, B.unpack(B.pack(*arrays)), strict=True):
         assert a.dtype == b.dtype and a.shape == b.shape and (a == b).all()
+
+
+@pytest.mark.parametrize("local", [0, 150, 1 << 21])
+def test_components_in_a_task_and_by_steps_agree(spark, monkeypatch, local):
+    monkeypatch.setattr("geocentra.propagate.local.LOCAL_ARCS", local)
+    monkeypatch.setattr("geocentra.propagate.local.OUT_ROWS", 70)
+    rng = np.random.default_rng(5)
+    order = rng.permutation(200)
+    ends = [(int(order[i]), int(order[i + 1])) for i in range(99)] + [(500, i) for i in range(600, 640)] + [(7 + 1000 * int(a), 7 + 1000 * int(b)) for a, b in rng.integers(1, 90, (60, 2))]
+    want = {x: x for e in ends for x in e}
+    for _ in want:
+        for a, b in ends:
+            want[a] = want[b] = min(want[a], want[b])
+    want = {x: c for x, c in want.items() if any(a != b for a, b in ends if x in (a, b))}
+    assert {r["node"]: r["component"] for r in connected_components(spark.createDataFrame(ends, "a long, b long")).collect()} == want
+
+
+def test_components_of_few_links_take_no_job_a_step(spark):
+    chain = spark.range(3000).selectExpr("id * 7919 % 3001 AS a", "(id + 1) * 7919 % 3001 AS b")
+    spark.sparkContext.setJobGroup("chain of links", "chain of links")
+    try:
+        found = connected_components(chain)
+        assert found.count() == 3001 and found.where("component <> 0").isEmpty()
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("chain of links")) < 12
