@@ -5,6 +5,7 @@ from pyspark.sql import functions as F
 
 from geocentra.centrality import measures as M
 from geocentra.graph import generators as G
+from geocentra.graph import views
 from geocentra.graph.model import Graph
 from geocentra.propagate import local as L
 from geocentra.propagate import packed as P
@@ -90,3 +91,15 @@ def test_packed_rounds_of_a_long_path_are_no_jobs(spark):
     spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
     assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("packed path")) < 25
     assert run.last > 100 and run.sums().count() == 3000
+
+
+def test_lines_of_documents_are_dealt_once_and_found_once(spark, tmp_path):
+    line = "a line of forty characters or more than that"
+    texts = [(1, f"{line}\n{line}\nshort"), (70000, line), (5, f"{line}\n{line} 2"), (9, f"{line} 2"), (140000, line), (None, line), (11, None)]
+    spark.createDataFrame(texts, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    arcs = views.VIEWS["g10"](spark, str(tmp_path))
+    assert rows(arcs) == [(1, 5), (5, 9), (5, 70000), (70000, 140000)]
+    graph = views.graph(spark, str(tmp_path), "g10")
+    assert rows(graph.vertices) == [(x, 1) for x in (1, 5, 9, 70000, 140000)]
+    for df in (graph.vertices, graph.arcs):
+        assert "documents.parquet" not in df._jdf.queryExecution().toString()
