@@ -46,3 +46,16 @@ def test_copies_of_pages_make_no_arcs(spark, tmp_path):
     rows_of.write.parquet(f"{tmp_path}/pages.parquet")
     found = R.QUERIES["exact_centralities_g8"](spark, str(tmp_path))
     assert [tuple(r) for r in found.groupBy("coreach", "sum_dist", "harmonic").count().collect()] == [(300000.0, 299999.0, 299999.0, 300000)]
+
+
+def test_pairs_of_copies_take_few_bytes_in_files(spark, tmp_path, monkeypatch):
+    """9,000,000 pairs: short repetitions of sources take a fifth of a byte a pair at most, and no task unfolds many times TASK_PAIRS."""
+    monkeypatch.setattr(C, "TASK_PAIRS", 200000)
+    spark.range(3000).select(F.col("id").alias("page_id"), F.lit("u").alias("url"), F.lit(html("a")).alias("html")).write.parquet(f"{tmp_path}/pages.parquet")
+    run = C.exact_pairs_of_classes(C.classes_of(views.page_keys(spark, str(tmp_path))))
+    assert run.n_pairs() == 9000000
+    assert run.pairs().rdd.getNumPartitions() == 45
+    R.QUERIES["exact_pairs_g8"](spark, str(tmp_path)).write.parquet(f"{tmp_path}/out")
+    got = spark.read.parquet(f"{tmp_path}/out")
+    assert got.count() == 9000000 and got.select("node", "source").distinct().count() == 9000000
+    assert sum(x.stat().st_size for x in (tmp_path / "out").glob("*.parquet")) < 9000000 / 5
