@@ -57,20 +57,25 @@ def shingle_sets(column: pa.Array, width: int) -> tuple[np.ndarray, np.ndarray]:
     starts, ends, by_text = B.words(raw, offs, B.NON_SPACE)
     h = B.word_hashes(raw, starts, ends)
     size = np.diff(by_text)
+    count = np.maximum(size - width + 1, size > 0)
+    first = np.cumsum(count) - count
+    value = np.empty(int(count.sum()), B.U64)
     at = B.window_starts(by_text, width)
-    value = B.window_hashes(h, width)[at] if len(at) else np.zeros(0, B.U64)
-    text = np.searchsorted(by_text, at, side="right") - 1
+    if len(at):
+        value[np.repeat(size >= width, count)] = B.window_hashes(h, width)[at]
     for n in range(1, width):
         short = np.flatnonzero(size == n)
         if len(short):
-            value = np.concatenate((value, B.mix(B.window_hashes(h, n)[by_text[short]] + B.U64(n))))
-            text = np.concatenate((text, short))
-    order = np.lexsort((value, text))
-    value, text = value[order], text[order]
+            value[first[short]] = B.mix(B.window_hashes(h, n)[by_text[short]] + B.U64(n))
+    # One short sort a text costs less than one of all texts by two keys.
+    for lo, k in zip(first.tolist(), count.tolist(), strict=True):
+        if k > 1:
+            value[lo : lo + k].sort()
     new = np.ones(len(value), bool)
-    new[1:] = (value[1:] != value[:-1]) | (text[1:] != text[:-1])
-    value, text = value[new], text[new]
-    return value, np.searchsorted(text, np.arange(len(size) + 1))
+    new[1:] = value[1:] != value[:-1]
+    new[first[count > 0]] = True
+    ends = np.concatenate(([0], np.cumsum(new)))
+    return value[new], ends[np.concatenate((first, [len(value)]))]
 
 
 def _sign(width: int, banding: Banding):
@@ -87,8 +92,10 @@ def _sign(width: int, banding: Banding):
             minima = np.zeros((piece.num_rows, banding.minima), np.uint32)
             prints = np.zeros((piece.num_rows, 2), B.U64)
             if len(full):
+                product = np.empty_like(value)
                 for j, f in enumerate(factor):
-                    minima[full, j] = np.minimum.reduceat((value * f) >> B.U64(32), first).astype(np.uint32)
+                    # The upper half of the least product is the least upper half.
+                    minima[full, j] = (np.minimum.reduceat(np.multiply(value, f, out=product), first) >> B.U64(32)).astype(np.uint32)
                 prints[full, 0] = np.add.reduceat(B.mix(value), first)
                 prints[full, 1] = np.bitwise_xor.reduceat(B.mix(value ^ B.U64(0x5851F42D4C957F2D)), first)
             blob = minima.tobytes()

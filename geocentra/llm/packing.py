@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterable, Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from geocentra.llm import blocks as B
 from geocentra.llm.minhash import near_duplicates
 from geocentra.llm.plan import load, parts_for
 
@@ -121,9 +124,12 @@ def _pack(capacity: int):
     return run
 
 
-def word_count(text: Column) -> Column:
-    """The number of words, runs without white space, of a text column."""
-    return F.regexp_count(text, F.lit(r"[^\x20\x09-\x0D]+")).cast("long")
+def _count_words(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows with the number of words, runs without white space, in place of their text."""
+    for piece in B.chunks(batches, "n_tokens"):
+        raw, offs = B.text_block(piece.column("n_tokens"))
+        by_text = B.words(raw, offs, B.NON_SPACE)[2]
+        yield piece.set_column(piece.schema.get_field_index("n_tokens"), "n_tokens", pa.array(np.diff(by_text), pa.int64()))
 
 
 def pack_best_fit(
@@ -150,13 +156,15 @@ def pack_best_fit(
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     rows = docs.select(
         F.col(id_col).cast("long").alias("id"),
-        (n_tokens if n_tokens is not None else word_count(text)).cast("long").alias("n_tokens"),
+        (n_tokens.cast("long") if n_tokens is not None else text).alias("n_tokens"),
         (F.col(source_col).cast("string") if source_col else F.lit(None).cast("string")).alias("source"),
         (cluster if cluster is not None else F.when(F.length(text) > 0, F.xxhash64(text))).cast("long").alias("cluster"),
         # Rows without an id, which may all be equal, are spread by their place in the input.
         F.when(F.col(id_col).isNull(), F.xxhash64(F.monotonically_increasing_id())).otherwise(F.xxhash64(id_col, text_col)).alias("order"),
         F.xxhash64(F.col(text_col).cast("string")).alias("version"),
     )
+    if n_tokens is None:
+        rows = rows.mapInArrow(_count_words, "id long, n_tokens long, source string, cluster long, order long, version long")
     if clusters is not None:
         rows = _renamed(rows, clusters)
     n_groups = parts_for(spark, docs.count(), group_rows)
