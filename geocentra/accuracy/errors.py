@@ -82,6 +82,7 @@ def kendall(measures: DataFrame, a: str, b: str, sample: int | None = None) -> D
 
 def bias_report(measures: DataFrame, names: list[str], k: int = 10) -> DataFrame:
     """measure, its correlation with the coreachable count, and the share of its k best with a count below the median."""
+    measures = cut(measures.select("node", "coreach", *names))
     median = measures.agg(F.percentile("coreach", F.lit(0.5)).alias("median"))
     out = None
     for name in names:
