@@ -89,3 +89,9 @@ def test_bias_report_reads_what_was_found(spark, chain):
     measures = M.centralities(exact_pairs(G.path(spark, 20)))
     plan = A.bias_report(measures, ["lin"])._jdf.queryExecution().toString()
     assert "FlatMapGroupsInArrow" not in plan
+
+
+def test_farthest_source_of_a_long_line(spark, chain):
+    plan = QUERIES["farthest_source"](spark, chain)
+    assert plan.select("node", "farthest", "sane", "nearest").where("farthest <> 0 or not sane or nearest <> 0").count() == 0
+    assert plan.count() == 6000
